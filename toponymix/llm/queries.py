@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import chat, decontaminate, packing, pii, sharding
+from . import chat, decontaminate, ngram_join, packing, pii, sharding
 from .common import table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -25,6 +25,10 @@ def op6_private_spans(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pii.report(spark, table(spark, sf_dir, "documents").select("doc_id", "text"))
 
 
+def op7_shingle_components(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ngram_join.similar_components(spark, table(spark, sf_dir, "documents"))
+
+
 def op8_prefix_target_chat(spark: SparkSession, sf_dir: str) -> DataFrame:
     rows = table(spark, sf_dir, "conversations").select("conv_id", "turn", "role", "text")
     return chat.digest(chat.format_conversations(rows.unionByName(chat.control_conversation(spark))))
@@ -35,8 +39,8 @@ def op9_jump_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Query]:
-    return {f.__name__: f for f in (op2_length_buckets, op4_contained_items, op6_private_spans, op8_prefix_target_chat, op9_jump_shards)}
+    return {f.__name__: f for f in (op2_length_buckets, op4_contained_items, op6_private_spans, op7_shingle_components, op8_prefix_target_chat, op9_jump_shards)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op4_contained_items": decontaminate.ORACLE, "op8_prefix_target_chat": chat.ORACLE}
+    return {"op4_contained_items": decontaminate.ORACLE, "op7_shingle_components": ngram_join.ORACLE, "op8_prefix_target_chat": chat.ORACLE}
