@@ -62,6 +62,12 @@ def band_width(item_class: int, doc_class: int, threshold: float) -> int:
     return max(fit, default=0)
 
 
+def _band_keys(item_class: int, doc_class: int, r: int) -> Column:
+    """One key for each band of r sketch values, told apart by class pair and band."""
+    key = lambda b: F.xxhash64(F.lit(item_class), F.lit(doc_class), b, F.slice("m", b * r + 1, F.lit(r)))
+    return F.transform(F.sequence(F.lit(0), F.lit(HASHES // r - 1)), key)
+
+
 def contained_items(spark: SparkSession, docs: DataFrame, items: DataFrame, threshold: float = 0.8, width: int = 5, text: str = "text") -> DataFrame:
     """(doc_id, item_id, n_item, n_shared, containment) of every pair with containment >= threshold."""
     its = materialise(item_shingles(items, width, text), spark)
@@ -75,26 +81,26 @@ def contained_items(spark: SparkSession, docs: DataFrame, items: DataFrame, thre
     every = F.concat(*[_shingles(F.col("ws"), k) for k in widths]) if widths else F.array().cast("array<bigint>")
     hits = hashed.select("doc_id", F.explode(every).alias("h")).join(universe, "h", "left_semi").distinct()
     need = threshold * smallest
-    minima = [F.min(F.xxhash64("h", F.lit(i))).alias(f"m{i}") for i in range(HASHES)]
+    seeds = F.sequence(F.lit(0), F.lit(HASHES - 1))
+    sketch = F.transform(seeds, lambda i: F.array_min(F.transform("hs", lambda h: F.xxhash64(h, i)))).alias("m")
     hits = materialise(hits, spark)
-    signed = hits.groupBy("doc_id").agg(F.count(F.lit(1)).alias("u"), *minima).where(F.col("u") >= need).withColumn("uc", size_class(F.col("u")))
-    signed = materialise(signed, spark)
-    queries = its.groupBy("item_id", "w").agg(F.count(F.lit(1)).alias("q"), *minima).withColumn("qc", size_class(F.col("q")))
+    signed = hits.groupBy("doc_id").agg(F.collect_list("h").alias("hs")).where(F.size("hs") >= need)
+    signed = materialise(signed.select("doc_id", size_class(F.size("hs")).alias("uc"), sketch), spark)
+    queries = its.groupBy("item_id", "w").agg(F.collect_list("h").alias("hs")).select("item_id", size_class(F.size("hs")).alias("qc"), sketch)
 
     doc_classes = [r.uc for r in signed.select("uc").distinct().collect()]
     item_classes = [r.qc for r in sizes.select(size_class(F.col("q")).alias("qc")).distinct().collect()]
     plan = [(a, j, band_width(a, j, threshold)) for a in item_classes for j in doc_classes if 2 ** (j + 1) - 1 >= threshold * 2**a]
 
-    def bands(side: DataFrame, key: str, own: str, kind: int) -> DataFrame:
+    def bands(side: DataFrame, key_column: str, own: str, kind: int) -> DataFrame:
         of: dict[int, list[Column]] = {}
         for a, j, r in plan:
             if r:
-                keys = [F.xxhash64(F.lit(a), F.lit(j), F.lit(b), *[F.col(f"m{b * r + i}") for i in range(r)]) for b in range(HASHES // r)]
-                of.setdefault((a, j)[kind], []).extend(keys)
+                of.setdefault((a, j)[kind], []).append(_band_keys(a, j, r))
         out = F.array().cast("array<bigint>")
         for c, keys in of.items():
-            out = F.when(F.col(own) == c, F.array(*keys)).otherwise(out)
-        return side.select(key, F.explode(out).alias("band"))
+            out = F.when(F.col(own) == c, F.concat(*keys)).otherwise(out)
+        return side.select(key_column, F.explode(out).alias("band"))
 
     by_band = bands(signed, "doc_id", "uc", 1).join(_maybe_broadcast(bands(queries, "item_id", "qc", 0), n_rows * HASHES // 8), "band").select("doc_id", "item_id").distinct()
     by_index = None
