@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import chat, decontaminate, ngram_join, packing, pii, sharding
+from . import chat, decontaminate, lm_scoring, ngram_join, packing, pii, sharding
 from .common import table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -38,8 +38,12 @@ def op9_jump_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sharding.shard_documents(table(spark, sf_dir, "documents").select("doc_id", "text"))
 
 
+def op10_log_bilinear_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return lm_scoring.score_texts(spark, table(spark, sf_dir, "documents").select("doc_id", "text"))
+
+
 def queries() -> dict[str, Query]:
-    return {f.__name__: f for f in (op2_length_buckets, op4_contained_items, op6_private_spans, op7_shingle_components, op8_prefix_target_chat, op9_jump_shards)}
+    return {f.__name__: f for f in (op2_length_buckets, op4_contained_items, op6_private_spans, op7_shingle_components, op8_prefix_target_chat, op9_jump_shards, op10_log_bilinear_scores)}
 
 
 def oracle_sql() -> dict[str, str]:
