@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import chat, decontaminate, lm_scoring, ngram_join, packing, pii, sharding
+from . import chat, decontaminate, lm_scoring, ngram_join, packing, pii, sharding, topk_search
 from .common import table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -21,6 +21,10 @@ def op4_contained_items(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontaminate.contained_items(spark, docs, items)
 
 
+def op5_cover_tree_top_k(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return topk_search.top_k(spark, table(spark, sf_dir, "embeddings"))
+
+
 def op6_private_spans(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pii.report(spark, table(spark, sf_dir, "documents").select("doc_id", "text"))
 
@@ -43,8 +47,8 @@ def op10_log_bilinear_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Query]:
-    return {f.__name__: f for f in (op2_length_buckets, op4_contained_items, op6_private_spans, op7_shingle_components, op8_prefix_target_chat, op9_jump_shards, op10_log_bilinear_scores)}
+    return {f.__name__: f for f in (op2_length_buckets, op4_contained_items, op5_cover_tree_top_k, op6_private_spans, op7_shingle_components, op8_prefix_target_chat, op9_jump_shards, op10_log_bilinear_scores)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op4_contained_items": decontaminate.ORACLE, "op7_shingle_components": ngram_join.ORACLE, "op8_prefix_target_chat": chat.ORACLE}
+    return {"op4_contained_items": decontaminate.ORACLE, "op5_cover_tree_top_k": topk_search.ORACLE, "op7_shingle_components": ngram_join.ORACLE, "op8_prefix_target_chat": chat.ORACLE}
