@@ -10,9 +10,9 @@ universe is hashed into m > H segments, so at most H segments differ and the res
   segment then only fails when two or more differences fall into it. Chosen for small sets in populous bands.
 
 Copies are one node (a set fingerprint). Each signature bucket is a star around its smallest node, so candidates grow
-with the rows, not with the square of a group. All stars are verified on whole texts. Members that failed against their
-bucket's centre are then compared with the other members of that bucket, unless they are already connected or the
-triangle inequality of Jaccard distance rules the pair out. So no link between different texts is lost that could
+with the rows, not with the square of a group. All stars are verified on whole texts. Buckets that are not one component
+then get stars around better-connected centres, and members still apart from their bucket's centre are compared with the
+other members, unless they are already connected or the triangle inequality of Jaccard distance rules the pair out. So no link between different texts is lost that could
 change a component.
 
 Edge cases: null and empty texts have no shingles and stay alone; a text shorter than the shingle width is one shingle;
@@ -187,7 +187,7 @@ def signature_rows(docs: DataFrame, t: Threshold, bands: list[Band], text: str =
                     if n[r] and x not in seen:
                         seen.add(x)
                         fresh[r] = True
-                if len(seen) > 500_000:
+                if len(seen) > 200_000:
                     seen.clear()
                 keep = fresh[o]
                 sig, who = signatures(t, bands, h[keep], o[keep], np.where(fresh, n, 0), node)
@@ -257,8 +257,8 @@ def components(spark: SparkSession, edges: DataFrame, most: int = 60) -> DataFra
     raise RuntimeError("components did not settle; raise `most`")
 
 
-def similar_components(spark: SparkSession, docs: DataFrame, t: Threshold = Threshold(), text: str = "text") -> DataFrame:
-    """(doc_id, n_shingles, component_id) of every row."""
+def similar_components(spark: SparkSession, docs: DataFrame, t: Threshold = Threshold(), text: str = "text", hubs: int = 3) -> DataFrame:
+    """(doc_id, n_shingles, component_id) of every row; `hubs` bounds the rounds that try a new centre per bucket."""
     docs = docs.select("doc_id", text)
     rows = materialise(shingle_nodes(docs, t, text), spark)
     nodes = rows.where("n > 0").groupBy("node", "n").agg(F.min("doc_id").alias("rep"))
@@ -281,23 +281,43 @@ def similar_components(spark: SparkSession, docs: DataFrame, t: Threshold = Thre
         return materialise(verify(spark, docs, sized, t, text), spark)
 
     linked = F.col("shared") * t.den >= (F.col("na") + F.col("nb") - F.col("shared")) * t.num
-    stars = checked(starred.where("node <> a").select("a", F.col("node").alias("b")).distinct())
+    stars = checked(starred.where("node <> a").select("a", F.col("node").alias("b")).distinct())  # the smallest node is a: a < b
     labels = components(spark, stars.where(linked))
 
-    label = labels.select("node", "label")
-    known = stars.select("a", F.col("b").alias("node"), (1 - F.col("shared") / (F.col("na") + F.col("nb") - F.col("shared"))).alias("d"))
-    full = starred.where("wide and node <> a").drop("wide").join(known, ["a", "node"], "left").join(label, "node", "left").withColumn("label", F.coalesce("label", "node"))
-    centre = label.select(F.col("node").alias("a"), F.col("label").alias("la"))
-    full = materialise(full.join(centre, "a", "left").withColumn("la", F.coalesce("la", "a")).select("sig", "node", "d", "label", "la"), spark)
-    y = full.where("label <> la").select("sig", F.col("node").alias("y"), F.col("d").alias("dy"), F.col("label").alias("ly"))
-    x = full.select("sig", F.col("node").alias("x"), F.col("d").alias("dx"), F.col("label").alias("lx"), (F.col("label") == F.col("la")).alias("inner"))
+    known = stars
+    wide = materialise(starred.where("wide").select("sig", "node", "a"), spark)
+    for _ in range(hubs + 1):
+        # Buckets whose members are not yet one component, with each member's distance to the bucket's last centre.
+        d = known.select("a", "b", (1 - F.col("shared") / (F.col("na") + F.col("nb") - F.col("shared"))).alias("d"))
+        d = d.unionByName(d.select(F.col("b").alias("a"), F.col("a").alias("b"), "d")).dropDuplicates(["a", "b"]).select("a", F.col("b").alias("node"), "d")
+        full = wide.join(d, ["a", "node"], "left").join(labels.select("node", "label"), "node", "left").withColumn("label", F.coalesce("label", "node"))
+        full = full.withColumns({"lo": F.min("label").over(w), "hi": F.max("label").over(w), "c": F.count("node").over(w)}).where("lo <> hi")
+        full = materialise(full.select("sig", "node", "a", "d", "label", "c"), spark)
+        if hubs == 0 or full.limit(1).count() == 0:
+            break
+        # The next centre of a bucket is its member that shares most buckets with others: the likely origin of a group.
+        degree = full.groupBy("node").agg(F.sum("c").alias("deg"))
+        ranked = full.select("sig", "node").join(degree, "node").withColumn("a", F.max(F.struct("deg", "node")).over(w)["node"])
+        moved = materialise(ranked.select("sig", "node", "a"), spark)
+        fresh = moved.where("node <> a").select(F.least("a", "node").alias("a"), F.greatest("a", "node").alias("b")).distinct()
+        fresh = fresh.join(known.select("a", "b"), ["a", "b"], "left_anti")
+        got = checked(fresh)
+        hubs -= 1
+        if got.limit(1).count() == 0:
+            hubs = 0
+        known, wide = materialise(known.unionByName(got), spark), moved
+        labels = components(spark, known.where(linked))
+
+    last = full.join(labels.select(F.col("node").alias("a"), F.col("label").alias("la")), "a", "left").withColumn("la", F.coalesce("la", "a"))
+    y = last.where("label <> la").select("sig", F.col("node").alias("y"), F.col("d").alias("dy"), F.col("label").alias("ly"))
+    x = last.where("node <> a").select("sig", F.col("node").alias("x"), F.col("d").alias("dx"), F.col("label").alias("lx"), (F.col("label") == F.col("la")).alias("inner"))
     slack = (t.den - t.num) / t.den + 1e-9
     near = F.coalesce(F.abs(F.col("dx") - F.col("dy")) <= slack, F.lit(True))
     more = y.join(x, "sig").where((F.col("lx") != F.col("ly")) & (F.col("inner") | (F.col("x") > F.col("y"))) & near)
     more = more.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct()
-    again = checked(more.join(stars.select("a", "b"), ["a", "b"], "left_anti")).where(linked)
+    again = checked(more.join(known.select("a", "b"), ["a", "b"], "left_anti")).where(linked)
     if again.limit(1).count():
-        labels = components(spark, stars.where(linked).select("a", "b").unionByName(again.select("a", "b")))
+        labels = components(spark, known.where(linked).select("a", "b").unionByName(again.select("a", "b")))
 
     named = nodes.join(labels, "node")
     least = named.groupBy("label").agg(F.min("rep").alias("component"))
