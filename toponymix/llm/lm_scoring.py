@@ -161,7 +161,7 @@ def _frequent(counts: DataFrame, most: int):
     return counts.where(frequent), counts.where(~frequent)
 
 
-def score_texts(spark: SparkSession, docs: DataFrame, held_out=None, n_classes: int = 1024, frequent: int = 1 << 20) -> DataFrame:
+def score_texts(spark: SparkSession, docs: DataFrame, held_out=None, n_classes: int = 1024, frequent: int = 1 << 19) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score of every row of docs (doc_id, text)."""
     rule = (crc_bucket(7) == 2) if held_out is None else held_out
     docs = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text"))
@@ -169,8 +169,10 @@ def score_texts(spark: SparkSession, docs: DataFrame, held_out=None, n_classes:
     counts = materialise(token_counts(train_docs), spark)
     total, distinct = counts.agg(F.coalesce(F.sum("c"), F.lit(0)), F.count(F.lit(1))).first()
     common, rare = _frequent(counts, frequent)
-    table = common.toPandas().sort_values("h")
-    keys, c = table["h"].to_numpy(np.int64), table["c"].to_numpy(np.int64)
+    table = common.select("h", "c").toArrow()
+    keys, c = (table.column(x).to_numpy().astype(np.int64) for x in ("h", "c"))
+    by = np.argsort(keys)
+    keys, c = keys[by], c[by]
     order = np.lexsort((keys, -c))
     ranked = order[keys[order] != END][: n_classes - 2]
     ids = np.full(len(keys), OTHER, np.int32)
@@ -181,9 +183,9 @@ def score_texts(spark: SparkSession, docs: DataFrame, held_out=None, n_classes:
     end_count = int(c[keys == END].sum()) or int(counts.where(F.col("h") == END).agg(F.coalesce(F.sum("c"), F.lit(0))).first()[0])
 
     vocab = spark.sparkContext.broadcast(Vocabulary(keys, c, ids))
-    found = pair_counts(train_docs, vocab, n_classes).toPandas()
+    found = pair_counts(train_docs, vocab, n_classes).toArrow()
     pairs = np.zeros((n_classes + 1) * n_classes)
-    pairs[found["pair"].to_numpy(np.int64)] = found["c"].to_numpy(np.float64)
+    pairs[found.column("pair").to_numpy()] = found.column("c").to_numpy()
     model = spark.sparkContext.broadcast(train(pairs.reshape(n_classes + 1, n_classes)))
 
     schema = "rid long, h long, tf long, doc_id long, n_tokens long, known long, lg double, lp double, n_other long"
