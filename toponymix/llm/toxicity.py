@@ -1,7 +1,7 @@
 r"""Toxicity by weak supervision: voters, a generative label model with correlations, a linear classifier.
 
 1. A bounded sample of labelled training rows (`most_labelled`, by hash order) gives lexicon entries: words and word
-   stems (prefixes of 4 to 6 letters) far more frequent in toxic texts. Counts are summed on the cluster.
+   stems (prefixes of 4 to 7 letters, by times of occurrence) far more frequent in toxic texts. Counts are summed on the cluster.
 2. Entries that share a stem form a lexicon voter; pattern voters look at shouting, masked words and repeated marks, and one
    voter speaks for clean texts. Labels play no part from here on.
 3. A generative model of the votes, fitted by expectation-maximisation, holds the accuracy of each voter in either class and the
@@ -21,6 +21,7 @@ import re
 from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass, field
+from functools import cached_property
 
 import numpy as np
 import pandas as pd
@@ -30,7 +31,11 @@ from pyspark.sql import functions as F
 
 from .common import crc_bucket
 
-STEMS = (4, 5, 6)
+STEMS = (4, 5, 6, 7)
+#: A stem is an entry of its own for each of these numbers of occurrences: 'lowe*', 'lowe**', and so on.
+TIMES = (1, 2, 3, 5)
+#: The share of a lexicon voter's votes that the label model may blame on clean texts while its parent is silent.
+FALSE_SHARE = 0.003
 PATTERNS = (re.compile(r"[A-Z]{5,}\s+[A-Z]{5,}"), re.compile(r"\b\w+[*@#$]{2,}\w+\b"), re.compile(r"!{3,}|\?!"))
 _WORD = re.compile(r"[^\W\d_]+")
 PIECE = 1 << 20
@@ -47,18 +52,22 @@ def pieces(text: str) -> Iterator[str]:
     yield text[at:]
 
 
-def units(text: str) -> tuple[set[str], int]:
-    """Distinct words and stems ('lowe*') of a text, and its number of words."""
-    words: set[str] = set()
-    n = 0
+def word_counts(text: str) -> Counter:
+    out: Counter = Counter()
     for p in pieces(text):
-        found = _WORD.findall(p.lower())
-        n += len(found)
-        words.update(found)
-    out = set(words)
-    for k in STEMS:
-        out.update([w[:k] + "*" for w in words if len(w) >= k])
-    return out, n
+        out.update(_WORD.findall(p.lower()))
+    return out
+
+
+def units(text: str) -> set[str]:
+    """Distinct words and stems of a text, a stem with as many stars as it is met at least."""
+    words = word_counts(text)
+    stems: Counter = Counter()
+    for w, c in words.items():
+        for k in STEMS:
+            if len(w) >= k:
+                stems[w[:k]] += c
+    return {*words, *(s + "*" * t for s, c in stems.items() for t in TIMES if t <= c)}
 
 
 @dataclass
@@ -71,18 +80,25 @@ class Model:
     def feature_ids(self, text: str) -> tuple[list[int], int]:
         """Ids of the entries and patterns in a text, and its number of words."""
         hits: set[int] = set()
-        n = 0
-        get = self.entries.get
-        for p in pieces(text):
-            words = _WORD.findall(p.lower())
-            n += len(words)
-            for w in set(words):
-                for u in (w, w[:4] + "*", w[:5] + "*", w[:6] + "*"):
-                    i = get(u)
-                    if i is not None:
-                        hits.add(i)
-        hits.update(len(self.entries) + k for k, r in enumerate(PATTERNS) if r.search(text))
-        return sorted(hits), n
+        words = word_counts(text)
+        stems: Counter = Counter()
+        entries, tracked = self.entries, self.tracked
+        for w, c in words.items():
+            if w in entries:
+                hits.add(entries[w])
+            for k in STEMS:
+                if w[:k] in tracked and len(w) >= k:
+                    stems[w[:k]] += c
+        for s, c in stems.items():
+            for t in TIMES:
+                if t <= c and s + "*" * t in entries:
+                    hits.add(entries[s + "*" * t])
+        hits.update(len(entries) + k for k, r in enumerate(PATTERNS) if r.search(text))
+        return sorted(hits), sum(words.values())
+
+    @cached_property
+    def tracked(self) -> set[str]:
+        return {e.rstrip("*") for e in self.entries if e.endswith("*")}
 
     def score(self, text: str) -> float:
         z = self.weights[-1] + sum(self.weights[i] for i in self.feature_ids(text)[0])
@@ -90,13 +106,18 @@ class Model:
 
 
 def select_entries(counts: list[tuple[str, int, int]], pos: int, neg: int, most: int) -> list[str]:
-    """The units whose smoothed log odds are clearly positive, strongest first."""
+    """The units whose share of toxic rows is too high for chance among all units tried, strongest first.
+
+    Evidence is the log likelihood ratio of the unit's own toxic share against the overall one.
+    """
     ranked = []
+    base = (pos + 1) / (pos + neg + 2)
+    need = np.log(max(len(counts), 1)) + 5
     for unit, p, n in counts:
-        odds = np.log((p + 0.5) / (pos + 1)) - np.log((n + 0.5) / (neg + 1))
-        z = odds / np.sqrt(1 / (p + 0.5) + 1 / (n + 0.5))
-        if p >= 4 and z > 2.5 and p / (pos + 1) > 4 * (n + 0.5) / (neg + 1):
-            ranked.append((-z, unit))
+        share = (p + 0.25) / (p + n + 0.5)
+        evidence = p * np.log(share / base) + n * np.log((1 - share) / (1 - base))
+        if p >= 4 and share > 0.93 and evidence > need:
+            ranked.append((-evidence, unit))
     return [u for _, u in sorted(ranked)[:most]]
 
 
@@ -173,8 +194,11 @@ def fit_label_model(v: np.ndarray, n: np.ndarray, toxic_votes: np.ndarray, round
         for y, w in ((0, n * (1 - q)), (1, n * q)):
             for s in (0, 1):
                 there = (above == s) * w[:, None]
-                base = np.where(toxic_votes, (0.02, 0.3)[y], (0.6, 0.3)[y])
+                base = np.where(toxic_votes, (0.002, 0.2)[y], (0.5, 0.1)[y])
                 model.chance[:, y, s] = ((there * v).sum(0) + 2 * base) / (there.sum(0) + 2)
+        # Better than chance: a lexicon voter whose parent is silent fires on clean texts for a small share of its votes only.
+        most = np.maximum(FALSE_SHARE * (n @ v) / n.sum() / (1 - model.prior), 1e-5)
+        model.chance[toxic_votes, 0, 0] = np.minimum(model.chance[toxic_votes, 0, 0], most[toxic_votes])
         q = model.posterior(v)
     return model, info
 
@@ -199,23 +223,54 @@ def fit(spark: SparkSession, docs: DataFrame, labels: DataFrame, most_labelled:
     chosen = chosen.select("doc_id", F.col("toxic").cast("int").alias("toxic")).orderBy(F.xxhash64("doc_id"), "doc_id", "toxic").limit(most_labelled)
     rows = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).join(F.broadcast(chosen), "doc_id").select("text", "toxic")
 
-    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def count(batches: Iterator[pa.RecordBatch], hold: int = 200_000) -> Iterator[pa.RecordBatch]:
         seen: tuple[Counter, Counter] = (Counter(), Counter())
-        size = [0, 0]
+
+        def flush() -> pa.RecordBatch:
+            keys = list(seen[0].keys() | seen[1].keys())
+            out = [pa.array(keys, pa.string()), *(pa.array([seen[y][k] for k in keys], pa.int64()) for y in (1, 0))]
+            seen[0].clear(), seen[1].clear()
+            return pa.RecordBatch.from_arrays(out, ["unit", "pos", "neg"])
+
         for batch in batches:
             for text, y in zip(batch.column("text").to_pylist(), batch.column("toxic").to_pylist(), strict=True):
-                seen[y > 0].update(units(text)[0])
-                size[y > 0] += 1
-        keys = list(seen[0].keys() | seen[1].keys()) + [""]
-        pos, neg = [seen[1][k] for k in keys[:-1]] + [size[1]], [seen[0][k] for k in keys[:-1]] + [size[0]]
-        yield pa.RecordBatch.from_arrays([pa.array(keys), pa.array(pos, pa.int64()), pa.array(neg, pa.int64())], ["unit", "pos", "neg"])
+                seen[y > 0].update(units(text))
+                seen[y > 0][""] += 1
+                if len(seen[0]) + len(seen[1]) > hold:
+                    yield flush()
+        yield flush()
 
     summed = rows.mapInArrow(count, "unit string, pos long, neg long").groupBy("unit").agg(F.sum("pos").alias("pos"), F.sum("neg").alias("neg"))
     # The empty unit carries the numbers of rows; of the others only those often seen in toxic rows can be entries.
     strong = summed.where((F.col("unit") == "") | ((F.col("pos") >= 4) & (F.col("pos") > F.col("neg") / 2))).orderBy((F.col("unit") != "").cast("int"), F.col("pos").desc(), "unit")
-    found = [tuple(r) for r in strong.limit(4 * most_entries + 1).collect()]
+    found = [tuple(r) for r in strong.limit(8 * most_entries + 1).collect()]
     pos, neg = next(((p, n) for u, p, n in found if u == ""), (0, 0))
-    entries = select_entries([f for f in found if f[0]], pos, neg, most_entries)
+    tried = {u for u, _, _ in found if u}
+
+    def settings(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """(unit, word before it) in toxic rows: copies of a text share these, so they count once."""
+        seen: set[tuple[str, str]] = set()
+
+        def flush() -> pa.RecordBatch:
+            out = [pa.array([k[i] for k in seen], pa.string()) for i in (0, 1)]
+            seen.clear()
+            return pa.RecordBatch.from_arrays(out, ["unit", "before"])
+
+        for batch in batches:
+            for text, y in zip(batch.column("text").to_pylist(), batch.column("toxic").to_pylist(), strict=True):
+                for p in pieces(text) if y > 0 else ():
+                    before = ""
+                    for w in _WORD.findall(p.lower()):
+                        stems = [w[:k] for k in STEMS if len(w) >= k]
+                        seen.update([(u, before) for u in (w, *(x + "*" * k for x in stems for k in TIMES)) if u in tried])
+                        before = w
+                if len(seen) > 100_000:
+                    yield flush()
+        yield flush()
+
+    varied = rows.mapInArrow(settings, "unit string, before string").distinct().groupBy("unit").count().collect() if tried else []
+    varied = {r[0]: r[1] for r in varied}
+    entries = select_entries([(u, min(p, varied.get(u, 0)), n) for u, p, n in found if u], pos, neg, most_entries)
     model = Model({e: i for i, e in enumerate(entries)}, np.zeros(len(entries) + len(PATTERNS) + 1))
     prior = min((pos + 0.5) / (pos + neg + 1), 0.45)
     model.weights[-1] = np.log(prior / (1 - prior))
