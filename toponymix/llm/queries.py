@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import chat, decontaminate, lm_scoring, ngram_join, packing, pii, sharding, topk_search, toxicity
+from . import chat, decontaminate, lm_scoring, ngram_join, packing, pii, sharding, suffix_dedup, topk_search, toxicity
 from .common import table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -20,6 +20,10 @@ def op2_length_buckets(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(spark, table(spark, sf_dir, "documents").select("doc_id", "text"))
 
 
+def op3_repeated_bytes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffix_dedup.dedup(spark, table(spark, sf_dir, "documents"))
+
+
 def op4_contained_items(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs, items = table(spark, sf_dir, "documents").select("doc_id", "text"), table(spark, sf_dir, "benchmark")
     return decontaminate.contained_items(spark, docs, items)
@@ -51,7 +55,7 @@ def op10_log_bilinear_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Query]:
-    return {f.__name__: f for f in (op1_weak_supervision_toxicity, op2_length_buckets, op4_contained_items, op5_cover_tree_top_k, op6_private_spans, op7_shingle_components, op8_prefix_target_chat, op9_jump_shards, op10_log_bilinear_scores)}
+    return {f.__name__: f for f in (op1_weak_supervision_toxicity, op2_length_buckets, op3_repeated_bytes, op4_contained_items, op5_cover_tree_top_k, op6_private_spans, op7_shingle_components, op8_prefix_target_chat, op9_jump_shards, op10_log_bilinear_scores)}
 
 
 def oracle_sql() -> dict[str, str]:
