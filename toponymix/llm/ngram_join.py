@@ -11,8 +11,8 @@ universe is hashed into m > H segments, so at most H segments differ and the res
 
 Copies are one node (a set fingerprint). Each signature bucket is a star around its smallest node, so candidates grow
 with the rows, not with the square of a group. All stars are verified on whole texts. Buckets that are not one component
-then get stars around better-connected centres, and members still apart from their bucket's centre are compared with the
-other members, unless they are already connected or the triangle inequality of Jaccard distance rules the pair out. So no link between different texts is lost that could
+then get stars around better-connected centres; clusters of members around a centre that are still several components
+are compared whole, in blocks and by matrix products, so rows are made for links only. So no link between different texts is lost that could
 change a component.
 
 Edge cases: null and empty texts have no shingles and stay alone; a text shorter than the shingle width is one shingle;
@@ -242,6 +242,70 @@ def verify(spark: SparkSession, docs: DataFrame, pairs: DataFrame, t: Threshold,
     return joined.mapInArrow(run, "a long, b long, na long, nb long, shared long").dropDuplicates(["a", "b"])
 
 
+def block_links(t: Threshold, left: list[tuple], right: list[tuple]) -> list[tuple[int, int]]:
+    """Links between members (node, label, shingles) of two blocks: for each member one link to each other label."""
+
+    def cells(block: list[tuple]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        n = np.array([len(m[2]) for m in block])
+        return n, np.repeat(np.arange(len(block)), n), np.concatenate([m[2] for m in block])
+
+    (n1, o1, h1), (n2, o2, h2) = cells(left), cells(right)
+    both = np.intersect1d(h1, h2)
+    shared = np.zeros((len(left), len(right)), np.float32)
+    keep1, keep2 = np.isin(h1, both), np.isin(h2, both)
+    v1, v2, o1, o2 = np.searchsorted(both, h1[keep1]), np.searchsorted(both, h2[keep2]), o1[keep1], o2[keep2]
+    for at in range(0, len(both), 2048):
+        one, two = np.zeros((len(left), 2048), np.float32), np.zeros((len(right), 2048), np.float32)
+        in1, in2 = (v1 >= at) & (v1 < at + 2048), (v2 >= at) & (v2 < at + 2048)
+        one[o1[in1], v1[in1] - at] = 1
+        two[o2[in2], v2[in2] - at] = 1
+        shared += one @ two.T
+    i = shared.astype(np.int64)
+    l1, l2 = np.array([m[1] for m in left]), np.array([m[1] for m in right])
+    hit = (i * t.den >= (n1[:, None] + n2[None, :] - i) * t.num) & (l1[:, None] != l2[None, :])
+    out: dict[tuple[int, int], tuple[int, int]] = {}
+    for x, y in zip(*np.nonzero(hit), strict=True):
+        out.setdefault((left[x][0], right[y][1]), (left[x][0], right[y][0]))
+    return list(out.values())
+
+
+def cluster_links(spark: SparkSession, docs: DataFrame, members: DataFrame, nodes: DataFrame, t: Threshold, text: str, block: int = 250_000) -> DataFrame:
+    """(a, b) links between members of different labels in each cluster (a, node, label) around a centre.
+
+    Members of a cluster are packed into blocks of about `block` shingles; pairs of blocks are compared by matrix
+    products, so no row is made for a pair of members unless it is a link.
+    """
+    sized = members.join(nodes.select("node", F.col("n"), F.col("rep").alias("id")), "node").where(F.col("id").isNotNull())
+    spread = sized.groupBy("a").agg(F.min("label").alias("lo"), F.max("label").alias("hi"), F.ceil(F.sum("n") / block).cast("int").alias("blocks")).where("lo <> hi")
+    sized = materialise(sized.join(spread.select("a", "blocks"), "a").withColumn("blk", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int")), spark)
+
+    def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            data, off = text_bytes(batch.column("text"))
+            for i, j in row_slices(off):
+                h, o = shingle_sets(*word_hashes(data[off[i] : off[j]], off[i : j + 1] - off[i]), t.width)
+                cut = np.searchsorted(o, np.arange(j - i + 1))
+                body = pa.array([h[x:y].tobytes() for x, y in zip(cut, cut[1:])], pa.binary())
+                yield pa.RecordBatch.from_arrays([batch.column("id").slice(i, j - i), body], ["id", "body"])
+
+    bodies = _only(docs, sized.select("id"), text).mapInArrow(pack, "id long, body binary").dropDuplicates(["id"])
+    packed = sized.join(bodies, "id").groupBy("a", "blk", "blocks").agg(F.collect_list(F.struct("node", "label", "body")).alias("m"))
+    packed = materialise(packed, spark)
+    left = packed.select("a", F.col("m").alias("ml"), F.explode(F.sequence(F.col("blk"), F.col("blocks") - 1)).alias("blk"))
+    pairs = left.join(packed.select("a", "blk", F.col("m").alias("mr")), ["a", "blk"]).select("ml", "mr")
+
+    def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        def block_of(cell) -> list[tuple]:
+            return [(m["node"], m["label"], np.frombuffer(m["body"], np.uint64)) for m in cell.as_py()]
+
+        for batch in batches:
+            for r in range(batch.num_rows):
+                links = block_links(t, block_of(batch.column("ml")[r]), block_of(batch.column("mr")[r]))
+                yield pa.RecordBatch.from_arrays([pa.array([x[i] for x in links], pa.int64()) for i in (0, 1)], ["a", "b"])
+
+    return materialise(pairs.mapInArrow(compare, "a long, b long").distinct(), spark)
+
+
 def components(spark: SparkSession, edges: DataFrame, most: int = 60) -> DataFrame:
     """(node, label): the smallest node reachable; minimum labels over neighbours, then a jump to the label's label."""
     both = materialise(edges.select("a", "b").unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct(), spark)
@@ -257,7 +321,7 @@ def components(spark: SparkSession, edges: DataFrame, most: int = 60) -> DataFra
     raise RuntimeError("components did not settle; raise `most`")
 
 
-def similar_components(spark: SparkSession, docs: DataFrame, t: Threshold = Threshold(), text: str = "text", hubs: int = 3) -> DataFrame:
+def similar_components(spark: SparkSession, docs: DataFrame, t: Threshold = Threshold(), text: str = "text", hubs: int = 1) -> DataFrame:
     """(doc_id, n_shingles, component_id) of every row; `hubs` bounds the rounds that try a new centre per bucket."""
     docs = docs.select("doc_id", text)
     rows = materialise(shingle_nodes(docs, t, text), spark)
@@ -287,12 +351,10 @@ def similar_components(spark: SparkSession, docs: DataFrame, t: Threshold = Thre
     known = stars
     wide = materialise(starred.where("wide").select("sig", "node", "a"), spark)
     for _ in range(hubs + 1):
-        # Buckets whose members are not yet one component, with each member's distance to the bucket's last centre.
-        d = known.select("a", "b", (1 - F.col("shared") / (F.col("na") + F.col("nb") - F.col("shared"))).alias("d"))
-        d = d.unionByName(d.select(F.col("b").alias("a"), F.col("a").alias("b"), "d")).dropDuplicates(["a", "b"]).select("a", F.col("b").alias("node"), "d")
-        full = wide.join(d, ["a", "node"], "left").join(labels.select("node", "label"), "node", "left").withColumn("label", F.coalesce("label", "node"))
+        # Buckets whose members are not yet one component.
+        full = wide.join(labels.select("node", "label"), "node", "left").withColumn("label", F.coalesce("label", "node"))
         full = full.withColumns({"lo": F.min("label").over(w), "hi": F.max("label").over(w), "c": F.count("node").over(w)}).where("lo <> hi")
-        full = materialise(full.select("sig", "node", "a", "d", "label", "c"), spark)
+        full = materialise(full.select("sig", "node", "a", "label", "c"), spark)
         if hubs == 0 or full.limit(1).count() == 0:
             break
         # The next centre of a bucket is its member that shares most buckets with others: the likely origin of a group.
@@ -308,16 +370,9 @@ def similar_components(spark: SparkSession, docs: DataFrame, t: Threshold = Thre
         known, wide = materialise(known.unionByName(got), spark), moved
         labels = components(spark, known.where(linked))
 
-    last = full.join(labels.select(F.col("node").alias("a"), F.col("label").alias("la")), "a", "left").withColumn("la", F.coalesce("la", "a"))
-    y = last.where("label <> la").select("sig", F.col("node").alias("y"), F.col("d").alias("dy"), F.col("label").alias("ly"))
-    x = last.where("node <> a").select("sig", F.col("node").alias("x"), F.col("d").alias("dx"), F.col("label").alias("lx"), (F.col("label") == F.col("la")).alias("inner"))
-    slack = (t.den - t.num) / t.den + 1e-9
-    near = F.coalesce(F.abs(F.col("dx") - F.col("dy")) <= slack, F.lit(True))
-    more = y.join(x, "sig").where((F.col("lx") != F.col("ly")) & (F.col("inner") | (F.col("x") > F.col("y"))) & near)
-    more = more.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct()
-    again = checked(more.join(known.select("a", "b"), ["a", "b"], "left_anti")).where(linked)
-    if again.limit(1).count():
-        labels = components(spark, known.where(linked).select("a", "b").unionByName(again.select("a", "b")))
+    apart = cluster_links(spark, docs, full.select("a", "node", "label").distinct(), nodes, t, text)
+    if apart.limit(1).count():
+        labels = components(spark, known.where(linked).select("a", "b").unionByName(apart))
 
     named = nodes.join(labels, "node")
     least = named.groupBy("label").agg(F.min("rep").alias("component"))
