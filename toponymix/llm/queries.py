@@ -54,8 +54,14 @@ def op10_log_bilinear_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
     return lm_scoring.score_texts(spark, table(spark, sf_dir, "documents").select("doc_id", "text"))
 
 
+def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import corpus_pipeline
+
+    return corpus_pipeline.run(spark, sf_dir)
+
+
 def queries() -> dict[str, Query]:
-    return {f.__name__: f for f in (op1_weak_supervision_toxicity, op2_length_buckets, op3_repeated_bytes, op4_contained_items, op5_cover_tree_top_k, op6_private_spans, op7_shingle_components, op8_prefix_target_chat, op9_jump_shards, op10_log_bilinear_scores)}
+    return {f.__name__: f for f in (op1_weak_supervision_toxicity, op2_length_buckets, op3_repeated_bytes, op4_contained_items, op5_cover_tree_top_k, op6_private_spans, op7_shingle_components, op8_prefix_target_chat, op9_jump_shards, op10_log_bilinear_scores, pipeline)}
 
 
 def oracle_sql() -> dict[str, str]:
