@@ -26,11 +26,11 @@ from pyspark.sql import functions as F
 
 from .common import _BYTE, materialise, mix, signed, text_bytes
 
-GRAM = 32
+GRAM = 128
 SLICE = 1 << 19
 #: Distinct pieces of a group up to which it is indexed as a whole (about 600 bytes each).
-GROUP_PIECES = 3000
-BATCH_BYTES = 3 << 19
+GROUP_PIECES = 1200
+BATCH_BYTES = 5 << 17
 _POS = np.uint64((1 << 20) - 1)
 _B = np.uint64(0x9E3779B97F4A7C15 | 1)
 _powers: list[np.ndarray] = []
