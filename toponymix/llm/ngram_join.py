@@ -269,14 +269,14 @@ def block_links(t: Threshold, left: list[tuple], right: list[tuple]) -> list[tup
     return list(out.values())
 
 
-def cluster_links(spark: SparkSession, docs: DataFrame, members: DataFrame, nodes: DataFrame, t: Threshold, text: str, block: int = 250_000) -> DataFrame:
+def cluster_links(spark: SparkSession, docs: DataFrame, members: DataFrame, nodes: DataFrame, t: Threshold, text: str, block: int = 100_000) -> DataFrame:
     """(a, b) links between members of different labels in each cluster (a, node, label) around a centre.
 
-    Members of a cluster are packed into blocks of about `block` shingles; pairs of blocks are compared by matrix
+    Members of a cluster are packed into blocks of about `block` shingles and 600 members at most; pairs of blocks are compared by matrix
     products, so no row is made for a pair of members unless it is a link.
     """
     sized = members.join(nodes.select("node", F.col("n"), F.col("rep").alias("id")), "node").where(F.col("id").isNotNull())
-    spread = sized.groupBy("a").agg(F.min("label").alias("lo"), F.max("label").alias("hi"), F.ceil(F.sum("n") / block).cast("int").alias("blocks")).where("lo <> hi")
+    spread = sized.groupBy("a").agg(F.min("label").alias("lo"), F.max("label").alias("hi"), F.greatest(F.ceil(F.sum("n") / block), F.ceil(F.count(F.lit(1)) / 600)).cast("int").alias("blocks")).where("lo <> hi")
     sized = materialise(sized.join(spread.select("a", "blocks"), "a").withColumn("blk", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int")), spark)
 
     def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
