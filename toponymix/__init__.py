@@ -1 +1 @@
-"""Place-alias discovery on Spark."""
+"""Place-alias discovery on Spark: footprints of place names, their similarity, and what follows from it."""
