@@ -10,6 +10,8 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from ..sources.tables import settle
+
 #: A cut below every score: everything that has a score is accepted.
 ALL = -1.7976931348623157e308
 
@@ -89,11 +91,11 @@ def cross_validate(scored: DataFrame, truth: DataFrame, by: list[str] | None = N
     seen = lab.select(*by).distinct() if by else None
     n_true = t.where("role = 'train'").groupBy("fold").agg(F.count(F.lit(1)).alias("n_true"))
     n_true = n_true.crossJoin(seen) if by else n_true
-    cuts = tune(pr_curve(lab.where("role = 'train'"), n_true, runs), runs)
+    cuts = settle(tune(settle(pr_curve(lab.where("role = 'train'"), n_true, runs)), runs))
     test = accept_rows(lab.where("role = 'test'").join(cuts.select(*runs, "cut"), runs))
     got = test.groupBy(*runs).agg(F.sum("acc").alias("n_accepted"), F.sum("ok").alias("n_correct"))
     want = t.where("role = 'test'").groupBy("fold").agg(F.count(F.lit(1)).alias("n_true"))
-    per = got.join(want, "fold", "left").fillna(0, ["n_true"])
+    per = settle(got.join(want, "fold", "left").fillna(0, ["n_true"]))
     per = per.select(*runs, "n_accepted", "n_correct", "n_true", *measures(F.col("n_correct"), F.col("n_accepted"), F.col("n_true")))
     sums = per.groupBy(*by).agg(*[F.sum(c).alias(c) for c in ("n_accepted", "n_correct", "n_true")], *[F.avg(c).alias("m_" + c) for c in ("precision", "recall", "f1")])
     micro = sums.select(*by, F.lit(-1).alias("fold"), "n_accepted", "n_correct", "n_true", *measures(F.col("n_correct"), F.col("n_accepted"), F.col("n_true")))
@@ -112,7 +114,7 @@ def best_cut(scored: DataFrame, truth: DataFrame, by: list[str] | None = None, c
     lab = label(scored.where(F.col("city") == city), truth)
     n_true = truth.where(F.col("city") == city).agg(F.count(F.lit(1)).alias("n_true"))
     n_true = n_true.crossJoin(lab.select(*by).distinct()) if by else n_true
-    return tune(pr_curve(lab, n_true, by), by)
+    return settle(tune(settle(pr_curve(lab, n_true, by)), by))
 
 
 def transfer(scored: DataFrame, truth: DataFrame, by: list[str] | None = None) -> DataFrame:

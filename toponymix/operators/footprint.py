@@ -29,14 +29,13 @@ def mentions(addr: DataFrame, names: DataFrame, mode: str = "parsed", q: int = 6
     """
     if mode == "parsed":
         return addr.join(names.select("city", "district", F.col("name").alias("place_name")), ["city", "district", "place_name"]).select("city", "district", "place_name", "user_id")
-    size = F.least(F.length("name"), F.lit(q))
-    keyed = names.where(F.length("name") > 0).select("city", "district", "name", size.alias("k"), F.substr("name", F.length("name") - size + 1, size).alias("piece"))
-    lengths = F.array(*[F.lit(k) for k in range(1, q + 1)])
-    cut = lambda k: F.transform(F.sequence(F.lit(1), F.greatest(F.length("addr_text") - k + 1, F.lit(1))), lambda i: F.struct(k.alias("k"), F.substr("addr_text", i, k).alias("piece")))
-    used = keyed.select("k").distinct()
-    pieces = addr.select("city", "district", "user_id", "addr_text", F.explode(lengths).alias("len")).join(F.broadcast(used), F.col("len") == F.col("k"), "left_semi")
-    pieces = pieces.select("city", "district", "user_id", "addr_text", F.explode(F.array_distinct(cut(F.col("len")))).alias("s")).select("city", "district", "user_id", "addr_text", "s.k", "s.piece")
-    hit = pieces.join(keyed, ["city", "district", "k", "piece"]).where(F.contains("addr_text", "name"))
+    keyed = names.where(F.length("name") > 0).select("city", "district", "name", F.length("name").alias("n"))
+    keyed = keyed.withColumn("k", F.least("n", F.lit(q))).withColumn("piece", F.expr("right(name, k)"))
+    sizes_used = F.broadcast(keyed.select("k").distinct())
+    texts = addr.select("city", "district", "user_id", "addr_text").distinct().crossJoin(sizes_used)
+    at = F.explode(F.sequence(F.lit(1), F.greatest(F.length("addr_text") - F.col("k") + 1, F.lit(1)))).alias("at")
+    pieces = texts.select("city", "district", "user_id", "addr_text", "k", at).withColumn("piece", F.expr("substring(addr_text, at, k)"))
+    hit = pieces.join(keyed.drop("n"), ["city", "district", "k", "piece"]).where(F.contains("addr_text", "name"))
     return hit.select("city", "district", F.col("name").alias("place_name"), "user_id")
 
 

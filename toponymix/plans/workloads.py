@@ -11,6 +11,7 @@ from pyspark.sql import functions as F
 from ..functions.geo import EARTH_M, extent_u, great_circle_m
 from ..operators import divergence, evaluate, footprint, locate, raster, rollup, score, textbase
 from ..sources.fixtures import Tables, oracle_prefix
+from ..sources.tables import settle
 from . import discover as D
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -311,7 +312,7 @@ def _union(t: Tables, methods=D.METHODS) -> DataFrame:
     for m in methods:
         part = D.scored(t, m).select(F.lit(m).alias("method"), "city", "district", "std_name", "cand_name", F.col("score").cast("double").alias("score"))
         out = part if out is None else out.unionByName(part)
-    return out.persist()  # pairs are few; every fold, cut and test reads them again
+    return settle(out)  # pairs are few; every fold, cut and test reads them again
 
 
 def _cv(t: Tables, methods) -> DataFrame:
@@ -329,7 +330,7 @@ for _m in D.METHODS:
     register(f"e_transfer_{_m.lower()}", lambda t, m=_m: _tr(t, [m]), f"SELECT method, round(cut, 6) AS cut, {EVAL_COLS} FROM tr", *sql_scored([_m]), *sql_eval())
 
     def _curve(t: Tables, m: str = _m) -> DataFrame:
-        lab = evaluate.label(D.scored(t, m).where("city = 0"), t.truth).persist()
+        lab = settle(evaluate.label(D.scored(t, m).where("city = 0"), t.truth))
         return rounded(evaluate.pr_curve(lab, t.truth.where("city = 0").agg(F.count(F.lit(1)).alias("n_true")), []))
 
     register(
@@ -341,7 +342,7 @@ for _m in D.METHODS:
     )
     register(
         f"e_best_cut_{_m.lower()}",
-        lambda t, m=_m: rounded(evaluate.best_cut(D.scored(t, m).persist(), t.truth).select("cut", "train_f1")),
+        lambda t, m=_m: rounded(evaluate.best_cut(settle(D.scored(t, m)), t.truth).select("cut", "train_f1")),
         "SELECT round(cut, 6) AS cut, round(best_f1, 6) AS train_f1 FROM cut WHERE fold = -9",
         *sql_scored([_m]),
         *sql_eval(),
@@ -373,7 +374,7 @@ SIZES = [20, 50, 100, 150, 300, 500]
 
 def resolution(t: Tables, sizes: list[int] | None = None) -> DataFrame:
     """F1 by method, resolution and task (best in the source city; transferred to the target city)."""
-    s = D.resolution_scores(t, sizes or SIZES).persist()
+    s = settle(D.resolution_scores(t, sizes or SIZES))
     by = ["method", "n_grid"]
     own = evaluate.best_cut(s, t.truth, by).select(*by, F.lit("source").alias("task"), F.round("train_f1", 6).alias("f1"))
     return own.unionByName(evaluate.transfer(s, t.truth, by).select(*by, F.lit("transfer").alias("task"), F.round("f1", 6).alias("f1")))

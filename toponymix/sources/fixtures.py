@@ -6,14 +6,19 @@ this module: it feeds workloads and tests.
 
 from __future__ import annotations
 
+import re
 from functools import cached_property
 
 from pyspark.sql import DataFrame, SparkSession
 
-from .tables import load
+from .tables import load, settle
 
 BASE = ("region", "nation", "customer", "supplier", "part", "orders", "lineitem", "events", "documents", "embeddings", "pages", "benchmark", "labels", "conversations")
 
+_WRITTEN: dict[tuple[str, str, str], DataFrame] = {}
+#: Views of at most a few rows per customer or supplier.
+KEPT = ("place", "place_name", "resident", "address", "truth")
+
 
 def views(spark_dialect: bool) -> dict[str, str]:
     """Name -> SELECT text, in dependency order."""
@@ -55,9 +60,9 @@ FROM (SELECT m.*, {h} AS h, {jx} AS jx, {jy} AS jy, r.poi_id, r.city, pl.lat_u -
         "place_name": f"""SELECT city, district, poi_id, 'standard' AS kind, concat(p_name, ' ', {pad('poi_id')}) AS name FROM place JOIN {{part}} ON p_partkey = poi_id
   UNION ALL SELECT city, district, poi_id, 'alias1', CASE WHEN poi_id % 5 = 0 THEN concat(a.p_name, ' ', {pad('poi_id')}, 's')
     ELSE concat(b.p_name, ' 1', {pad('(poi_id * 7919 + 13) % 100000')}) END
-  FROM place JOIN {{part}} a ON a.p_partkey = poi_id JOIN {{part}} b ON b.p_partkey = (poi_id * 7 + 3) % (SELECT count(*) FROM {{part}}) WHERE n_alias >= 1
+  FROM place CROSS JOIN (SELECT count(*) AS n_part FROM {{part}}) np JOIN {{part}} a ON a.p_partkey = poi_id JOIN {{part}} b ON b.p_partkey = (poi_id * 7 + 3) % n_part WHERE n_alias >= 1
   UNION ALL SELECT city, district, poi_id, 'alias2', concat(p_name, ' 2', {pad('(poi_id * 4099 + 7) % 100000')})
-  FROM place JOIN {{part}} ON p_partkey = (poi_id * 11 + 5) % (SELECT count(*) FROM {{part}}) WHERE n_alias = 2
+  FROM place CROSS JOIN (SELECT count(*) AS n_part FROM {{part}}) np JOIN {{part}} ON p_partkey = (poi_id * 11 + 5) % n_part WHERE n_alias = 2
   UNION ALL SELECT city, district, cast(NULL as bigint), 'decoy', concat('locker ', cast(district as string), '-', cast(k as string))
   FROM (SELECT DISTINCT city, district FROM zone) d CROSS JOIN (SELECT 0 AS k UNION ALL SELECT 1 UNION ALL SELECT 2) ks""",
         "resident": """SELECT user_id, poi_id, city, district, n_alias, row_number() OVER (PARTITION BY poi_id ORDER BY user_id) - 1 AS r
@@ -91,19 +96,31 @@ class Tables:
     def __init__(self, spark: SparkSession, sf_dir: str):
         self.spark, self.dir = spark, sf_dir
         self._text = views(True)
+        self._made: dict[str, DataFrame] = {}
 
     def base(self, name: str) -> DataFrame:
         return load(self.spark, self.dir, name)
 
     def view(self, name: str) -> DataFrame:
-        upto = list(self._text)[: list(self._text).index(name) + 1]
-        used = {b for b in BASE if any("{" + b + "}" in self._text[k] for k in upto)}
-        head = ",\n".join(f"{k} AS ({self._text[k]})" for k in upto)
-        return self.spark.sql(f"WITH {head} SELECT * FROM {name}", **{b: self.base(b) for b in used})
+        """The view over its own inputs; small views that others read are kept, so plans stay short."""
+        if name not in self._made:
+            inner = re.compile(r"\b(FROM|JOIN) (" + "|".join(self._text) + r")\b")
+            text = inner.sub(r"\1 {\2}", self._text[name])
+            used = set(re.findall(r"\{(\w+)\}", text))
+            made = self.spark.sql(text, **{u: self.base(u) if u in BASE else self.view(u) for u in used})
+            self._made[name] = self._settled(name, made) if name in KEPT else made
+        return self._made[name]
+
+    def _settled(self, name: str, made: DataFrame) -> DataFrame:
+        """Written once per session and scale, as a pipeline would keep its entity tables."""
+        key = (self.spark.sparkContext.applicationId, self.dir, name)
+        if key not in _WRITTEN:
+            _WRITTEN[key] = settle(made)
+        return _WRITTEN[key]
 
     @cached_property
     def address(self) -> DataFrame:
-        return self.view("address").select("user_id", "addr_seq", "city", "district", "place_name", "addr_text").persist()
+        return self.view("address").select("user_id", "addr_seq", "city", "district", "place_name", "addr_text")
 
     @cached_property
     def ping(self) -> DataFrame:
@@ -118,8 +135,8 @@ class Tables:
 
     @cached_property
     def standard(self) -> DataFrame:
-        return self.view("place_name").where("kind = 'standard'").select("city", "district", "name").persist()
+        return self.view("place_name").where("kind = 'standard'").select("city", "district", "name")
 
     @cached_property
     def truth(self) -> DataFrame:
-        return self.view("truth").persist()
+        return self.view("truth")

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import types as T
 
@@ -34,3 +36,20 @@ def write_partitioned(df: DataFrame, path: str) -> None:
 def save_bucketed(df: DataFrame, table: str, buckets: int = 512) -> None:
     """A table bucketed by user: author sets and pings saved this way join without a shuffle."""
     df.write.mode("overwrite").bucketBy(buckets, "user_id").sortBy("user_id").saveAsTable(table)
+
+
+def scratch_dir(spark: SparkSession) -> str:
+    """The folder shared by driver and executors; a local one only where the session names none."""
+    named = spark.sparkContext.getCheckpointDir() or spark.conf.get("spark.checkpoint.dir", None)
+    if not named:
+        named = f"/tmp/checkpoints/{spark.sparkContext.applicationId}"
+        spark.sparkContext.setCheckpointDir(named)
+    return named
+
+
+def settle(df: DataFrame) -> DataFrame:
+    """df written once to the shared folder and read back: a short plan that survives lost executors."""
+    spark = df.sparkSession
+    path = f"{scratch_dir(spark)}/settled-{uuid.uuid4().hex}"
+    df.write.parquet(path)
+    return spark.read.schema(df.schema).parquet(path)
