@@ -1,4 +1,168 @@
-"""Surrounding operators."""
+"""Operators around the method: filters, joins, aggregates, windows, set and scalar functions on its own entities.
 
-QUERIES: dict = {}
-ORACLES: dict = {}
+Each entry is a query beside its SQL; sketches, samplers and Python functions without exact SQL have rows only.
+"""
+
+from __future__ import annotations
+
+from collections.abc import Callable
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Window as W
+from pyspark.sql import functions as F
+
+from ..functions import udfs
+from ..functions.geo import great_circle_m
+from ..operators import footprint, locate, score
+from ..sources.fixtures import Tables, oracle_prefix
+from . import discover as D
+
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
+ORACLES: dict[str, str] = {}
+FP = """authors AS (SELECT DISTINCT city, district, place_name, user_id FROM address),
+fp AS (SELECT a.city, a.district, a.place_name, a.user_id, p.lat_u, p.lon_u, p.ts FROM authors a JOIN ping p ON p.user_id = a.user_id)"""
+
+
+def add(name: str, query: Callable[[Tables], DataFrame], sql: str | None = None, *parts: str, views: bool = True) -> None:
+    QUERIES[name] = lambda spark, sf_dir: query(Tables(spark, sf_dir))
+    if sql is not None:
+        ORACLES[name] = (",\n".join([oracle_prefix(), *parts]) + "\n" if views else "") + sql
+
+
+def count(name: str = "n"):
+    return F.count(F.lit(1)).alias(name)
+
+
+# Filters and projections
+add("x_projection", lambda t: t.ping.select("user_id", "lat_u", (F.col("lat_u") % 1000).alias("low"), F.expr("lat_u div 1000").alias("high")).groupBy("user_id").agg(F.sum("low").alias("low"), F.sum("high").alias("high")),
+    "SELECT user_id, sum(lat_u % 1000)::BIGINT AS low, sum(lat_u // 1000)::BIGINT AS high FROM ping GROUP BY 1")
+add("x_filter_time", lambda t: t.ping.where("ts >= timestamp_ntz'1995-01-01' AND ts < timestamp_ntz'1996-01-01'").groupBy("city").agg(count()),
+    "SELECT city, count(*) AS n FROM ping WHERE ts >= '1995-01-01' AND ts < '1996-01-01' GROUP BY 1")
+add("x_filter_action", lambda t: t.base("events").where(F.col("event_type").isin("view", "click")).groupBy("event_type").agg(count(), F.countDistinct("user_id").alias("users")),
+    "SELECT event_type, count(*) AS n, count(DISTINCT user_id) AS users FROM events WHERE event_type IN ('view', 'click') GROUP BY 1", views=False)
+add("x_filter_box", lambda t: t.ping.where("lat_u between 30050000 and 30150000 and lon_u between 120050000 and 120150000").agg(count()),
+    "SELECT count(*) AS n FROM ping WHERE lat_u BETWEEN 30050000 AND 30150000 AND lon_u BETWEEN 120050000 AND 120150000")
+add("x_filter_name", lambda t: t.view("place_name").where(F.col("name").rlike("[0-9]{5}s$") | F.col("name").startswith("locker") | F.col("name").like("%ring%")).select("name"),
+    "SELECT name FROM place_name WHERE regexp_matches(name, '[0-9]{5}s$') OR starts_with(name, 'locker') OR name LIKE '%ring%'")
+add("x_json_props", lambda t: t.base("events").select("event_id", F.get_json_object("props", "$.k").cast("bigint").alias("k")).where("k is not null"),
+    "SELECT event_id, json_extract_string(props, '$.k')::BIGINT AS k FROM events WHERE json_extract_string(props, '$.k') IS NOT NULL", views=False)
+add("x_sample_mod", lambda t: t.ping.where("user_id % 10 = 3").groupBy("user_id").agg(count()), "SELECT user_id, count(*) AS n FROM ping WHERE user_id % 10 = 3 GROUP BY 1")
+
+# Joins
+JOINED = "SELECT a.place_name, count(*) AS n FROM authors a JOIN ping p ON p.user_id = a.user_id GROUP BY 1"
+for _name, _hint in (("j_broadcast", "broadcast"), ("j_merge", "merge"), ("j_shuffle_hash", "shuffle_hash")):
+    add(_name, lambda t, h=_hint: t.ping.join(D.author_sets(t).hint(h), "user_id").groupBy("place_name").agg(count()), JOINED, FP)
+add("j_semi", lambda t: score.candidates(t.address, t.standard).select("district", "name"),
+    "SELECT DISTINCT district, place_name AS name FROM address a WHERE NOT EXISTS (SELECT 1 FROM place_name s WHERE s.kind = 'standard' AND s.district = a.district AND s.name = a.place_name)")
+add("j_anti", lambda t: t.view("resident").select("user_id").join(t.ping.select("user_id"), "user_id", "left_anti"), "SELECT user_id FROM resident WHERE user_id NOT IN (SELECT user_id FROM ping)")
+add("j_left_pairs", lambda t: t.view("place_name").where("kind = 'standard'").join(D.author_sets(t), F.col("name") == F.col("place_name"), "left").groupBy("name").agg(F.count("user_id").alias("n")),
+    "SELECT name, count(a.user_id) AS n FROM place_name LEFT JOIN authors a ON a.place_name = name WHERE kind = 'standard' GROUP BY 1", FP)
+add("j_full_support", lambda t: t.ping.where("user_id % 2 = 0").groupBy("lat_u").agg(count("a")).join(t.ping.where("user_id % 2 = 1").groupBy("lat_u").agg(count("b")), "lat_u", "full").select(F.coalesce("a", F.lit(0)).alias("a"), F.coalesce("b", F.lit(0)).alias("b")).groupBy("a", "b").agg(count()),
+    "SELECT coalesce(a, 0) AS a, coalesce(b, 0) AS b, count(*) AS n FROM (SELECT lat_u, count(*) AS a FROM ping WHERE user_id % 2 = 0 GROUP BY 1) x FULL JOIN (SELECT lat_u, count(*) AS b FROM ping WHERE user_id % 2 = 1 GROUP BY 1) y USING (lat_u) GROUP BY 1, 2")
+NEAR = "m1 AS (SELECT city, place_name, sum(lat_u)::DOUBLE / count(*) / 1e6 AS lat, sum(lon_u)::DOUBLE / count(*) / 1e6 AS lon FROM fp GROUP BY ALL)"
+SIN2 = "sin((radians(b.lat) - radians(a.lat)) / 2) * sin((radians(b.lat) - radians(a.lat)) / 2) + cos(radians(a.lat)) * cos(radians(b.lat)) * sin((radians(b.lon) - radians(a.lon)) / 2) * sin((radians(b.lon) - radians(a.lon)) / 2)"
+add("j_near", lambda t: score.near(D.centroids(t), 1500.0).select("std_name", "cand_name", F.round("dist_m", 2).alias("dist_m")),
+    f"SELECT a.place_name AS std_name, b.place_name AS cand_name, round(12742017.6 * asin(sqrt({SIN2})), 2) AS dist_m FROM m1 a JOIN m1 b ON a.city = b.city AND a.place_name < b.place_name WHERE 12742017.6::DOUBLE * asin(sqrt({SIN2})) <= 1500", FP, NEAR)
+add("j_range", lambda t: t.ping.select("city", "lat_u", "lon_u").join(t.view("place").select("city", "poi_id", F.col("lat_u").alias("a"), F.col("lon_u").alias("o"), F.explode(F.array(*[F.expr(f"lat_u div 4000 + {k}") for k in (-1, 0, 1)])).alias("s")).where("s is not null"),
+    ["city"]).where("lat_u div 4000 = s and abs(lat_u - a) <= 2000 and abs(lon_u - o) <= 2000").groupBy("poi_id").agg(count()),
+    "SELECT poi_id, count(*) AS n FROM ping p JOIN place q ON p.city = q.city AND abs(p.lat_u - q.lat_u) <= 2000 AND abs(p.lon_u - q.lon_u) <= 2000 GROUP BY 1")
+
+
+def _asof(t: Tables) -> DataFrame:
+    """The last event of the user at or before each click: union of both, then the last non-null in a running frame."""
+    e = t.base("events").select("user_id", "ts", "event_id", (F.col("event_type") == "click").alias("ask"))
+    w = W.partitionBy("user_id").orderBy("ts", "event_id").rowsBetween(W.unboundedPreceding, -1)
+    return e.withColumn("prior_id", F.last(F.when(~F.col("ask"), F.col("event_id")), ignorenulls=True).over(w)).where("ask").select("event_id", "prior_id")
+
+
+add("j_asof", _asof, "SELECT event_id, prior_id FROM (SELECT *, last_value(CASE WHEN event_type <> 'click' THEN event_id END IGNORE NULLS) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS prior_id FROM events) WHERE event_type = 'click'", views=False)
+
+
+def _interval(t: Tables) -> DataFrame:
+    """Views within an hour before a purchase of the same user."""
+    e = t.base("events").select("user_id", "ts", "event_type", "event_id")
+    a, b = e.where("event_type = 'view'").alias("a"), e.where("event_type = 'purchase'").alias("b")
+    return a.join(b, F.expr("a.user_id = b.user_id AND a.ts <= b.ts AND a.ts >= b.ts - INTERVAL 1 HOUR")).select(F.col("a.event_id").alias("view_id"), F.col("b.event_id").alias("purchase_id"))
+
+
+add("j_interval", _interval, "SELECT a.event_id AS view_id, b.event_id AS purchase_id FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type = 'view' AND b.event_type = 'purchase' AND a.ts <= b.ts AND a.ts >= b.ts - INTERVAL 1 HOUR", views=False)
+
+# Aggregates
+add("a_hash", lambda t: t.ping.groupBy("user_id").agg(count(), F.sum("lat_u").alias("lat_sum"), F.sum("lon_u").alias("lon_sum")), "SELECT user_id, count(*) AS n, sum(lat_u)::BIGINT AS lat_sum, sum(lon_u)::BIGINT AS lon_sum FROM ping GROUP BY 1")
+add("a_collect", lambda t: D.author_sets(t).groupBy("place_name").agg(F.array_join(F.array_sort(F.collect_list(F.col("user_id"))).cast("array<string>"), ",").alias("users")), "SELECT place_name, string_agg(user_id::VARCHAR, ',' ORDER BY user_id) AS users FROM authors GROUP BY 1", FP)
+add("a_distinct", lambda t: D.author_sets(t).groupBy("district").agg(F.countDistinct("user_id").alias("users"), F.countDistinct("place_name").alias("names")), "SELECT district, count(DISTINCT user_id) AS users, count(DISTINCT place_name) AS names FROM authors GROUP BY 1", FP)
+add("a_approx", lambda t: t.ping.groupBy("city").agg(F.approx_count_distinct("user_id", 0.02).alias("users"), F.hll_sketch_estimate(F.hll_sketch_agg("user_id")).alias("users_hll"), F.percentile_approx("lat_u", 0.5).alias("lat_median")))
+GROUPS = "SELECT city, district, place_name, count(*) AS n, grouping(city, district, place_name)::BIGINT AS gid FROM authors GROUP BY "
+_rolled = lambda g: g.agg(count(), F.grouping_id().alias("gid"))
+add("a_rollup", lambda t: _rolled(D.author_sets(t).rollup("city", "district", "place_name")), GROUPS + "ROLLUP (city, district, place_name)", FP)
+add("a_cube", lambda t: _rolled(D.author_sets(t).cube("city", "district", "place_name")), GROUPS + "CUBE (city, district, place_name)", FP)
+add("a_grouping_sets", lambda t: _rolled(D.author_sets(t).groupingSets([["city"], ["district"]], "city", "district")), "SELECT city, district, count(*) AS n, grouping(city, district)::BIGINT AS gid FROM authors GROUP BY GROUPING SETS ((city), (district))", FP)
+add("a_spread", lambda t: t.ping.groupBy("city").agg(F.round(F.stddev_pop("lat_u"), 3).alias("lat_sd"), F.max_by("user_id", F.struct("lat_u", "lon_u", "user_id")).alias("north_user")),
+    "SELECT city, round(stddev_pop(lat_u), 3) AS lat_sd, arg_max(user_id, (lat_u, lon_u, user_id)) AS north_user FROM ping GROUP BY 1")
+add("a_box", lambda t: t.ping.groupBy("city").agg(*[f(c).alias(f"{c}_{n}") for c in ("lat_u", "lon_u") for n, f in (("min", F.min), ("max", F.max))]), "SELECT city, min(lat_u) AS lat_u_min, max(lat_u) AS lat_u_max, min(lon_u) AS lon_u_min, max(lon_u) AS lon_u_max FROM ping GROUP BY 1")
+add("a_pivot", lambda t: t.view("place_name").groupBy("district").pivot("kind", ["standard", "alias1", "alias2", "decoy"]).agg(F.count("name")).fillna(0),
+    "SELECT district, count(*) FILTER (kind = 'standard') AS standard, count(*) FILTER (kind = 'alias1') AS alias1, count(*) FILTER (kind = 'alias2') AS alias2, count(*) FILTER (kind = 'decoy') AS decoy FROM place_name GROUP BY 1")
+
+# Windows, sorting, sets
+SIZE = "sz AS (SELECT district, place_name, count(*) AS n FROM authors GROUP BY ALL)"
+_sz = lambda t: D.author_sets(t).groupBy("district", "place_name").agg(count())
+_by = W.partitionBy("district").orderBy(F.desc("n"), "place_name")
+add("win_rank", lambda t: _sz(t).select("district", "place_name", F.row_number().over(_by).alias("rn"), F.rank().over(W.partitionBy("district").orderBy(F.desc("n"))).alias("rk"), F.dense_rank().over(W.partitionBy("district").orderBy(F.desc("n"))).alias("dr"), F.ntile(4).over(_by).alias("nt"), F.round(F.percent_rank().over(W.partitionBy("district").orderBy(F.desc("n"))), 6).alias("pr")),
+    "SELECT district, place_name, row_number() OVER (PARTITION BY district ORDER BY n DESC, place_name)::INT AS rn, rank() OVER w AS rk, dense_rank() OVER w AS dr, ntile(4) OVER (PARTITION BY district ORDER BY n DESC, place_name)::INT AS nt, round(percent_rank() OVER w, 6) AS pr FROM sz WINDOW w AS (PARTITION BY district ORDER BY n DESC)", FP, SIZE)
+add("win_lag", lambda t: t.base("events").select("event_id", F.lag("event_id").over(W.partitionBy("user_id").orderBy("ts", "event_id")).alias("before"), F.lead("event_id").over(W.partitionBy("user_id").orderBy("ts", "event_id")).alias("after")),
+    "SELECT event_id, lag(event_id) OVER w AS before, lead(event_id) OVER w AS after FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)", views=False)
+add("win_rows", lambda t: _sz(t).select("district", "place_name", F.sum("n").over(_by.rowsBetween(W.unboundedPreceding, 0)).alias("upto")), "SELECT district, place_name, (sum(n) OVER (PARTITION BY district ORDER BY n DESC, place_name ROWS UNBOUNDED PRECEDING))::BIGINT AS upto FROM sz", FP, SIZE)
+add("win_range", lambda t: t.ping.select("city", "lat_u").distinct().select("city", "lat_u", F.count(F.lit(1)).over(W.partitionBy("city").orderBy("lat_u").rangeBetween(0, 500)).alias("n")), "SELECT city, lat_u, count(*) OVER (PARTITION BY city ORDER BY lat_u RANGE BETWEEN CURRENT ROW AND 500 FOLLOWING) AS n FROM (SELECT DISTINCT city, lat_u FROM ping)")
+add("win_share", lambda t: _sz(t).select("place_name", F.round(F.col("n") / F.sum("n").over(W.partitionBy("district")), 6).alias("p")), "SELECT place_name, round(n::DOUBLE / sum(n) OVER (PARTITION BY district), 6) AS p FROM sz", FP, SIZE)
+add("k_topk", lambda t: _sz(t).orderBy(F.desc("n"), "place_name").limit(10), "SELECT * FROM sz ORDER BY n DESC, place_name LIMIT 10", FP, SIZE)
+add("k_topk_per_group", lambda t: _sz(t).withColumn("rn", F.row_number().over(_by)).where("rn <= 3").select("district", "place_name", "n"), "SELECT district, place_name, n FROM sz QUALIFY row_number() OVER (PARTITION BY district ORDER BY n DESC, place_name) <= 3", FP, SIZE)
+_home = lambda t: t.address.where("addr_seq = 0").select("user_id")
+_two = lambda t: t.address.where("addr_seq = 1").select("user_id")
+for _name, _op, _sql in (("set_union", "union", "UNION"), ("set_intersect", "intersect", "INTERSECT"), ("set_except", "exceptAll", "EXCEPT")):
+    add(_name, lambda t, op=_op: getattr(_home(t), op)(_two(t)).distinct(), f"SELECT user_id FROM address WHERE addr_seq = 0 {_sql} SELECT user_id FROM address WHERE addr_seq = 1")
+
+# Scalar functions
+add("f_string", lambda t: t.address.select("user_id", "addr_seq", F.upper("place_name").alias("up"), F.element_at(F.split("addr_text", "/"), -1).alias("unit"), F.regexp_replace("place_name", "[0-9]", "#").alias("masked"), F.instr("addr_text", "district").alias("at"), F.lpad(F.col("user_id").cast("string"), 8, "0").alias("padded")),
+    "SELECT user_id, addr_seq, upper(place_name) AS up, split_part(addr_text, '/', -1) AS unit, regexp_replace(place_name, '[0-9]', '#', 'g') AS masked, instr(addr_text, 'district')::INT AS at, lpad(user_id::VARCHAR, 8, '0') AS padded FROM address")
+add("f_date", lambda t: t.ping.groupBy(F.year("ts").alias("y"), F.month("ts").alias("m")).agg(count(), F.max(F.datediff(F.to_date("ts"), F.to_date(F.lit("1992-01-01")))).alias("last_day")), "SELECT year(ts)::INT AS y, month(ts)::INT AS m, count(*) AS n, max(date_diff('day', DATE '1992-01-01', ts::DATE))::INT AS last_day FROM ping GROUP BY 1, 2")
+add("f_geo_distance", lambda t: t.view("place").join(t.box, "city").select("poi_id", F.round(great_circle_m(F.col("lat_u") / 1e6, F.col("lon_u") / 1e6, F.col("lat_min_u") / 1e6, F.col("lon_min_u") / 1e6), 2).alias("m")),
+    f"WITH_SPLIT SELECT poi_id, round(12742017.6 * asin(sqrt({SIN2})), 2) AS m FROM (SELECT poi_id, city, lat_u / 1e6 AS lat, lon_u / 1e6 AS lon FROM place) a JOIN (SELECT city, off_lat / 1e6 AS lat, off_lon / 1e6 AS lon FROM city_box) b USING (city)".replace("WITH_SPLIT ", ""))
+add("f_array", lambda t: t.view("place_name").select("name", F.size(F.filter(F.split("name", " "), lambda x: F.length(x) > 4)).alias("long_words"), F.aggregate(F.transform(F.split("name", " "), F.length), F.lit(0), lambda a, x: a + x).alias("letters")),
+    "SELECT name, len(list_filter(string_split(name, ' '), lambda x: length(x) > 4))::INT AS long_words, list_sum(list_transform(string_split(name, ' '), lambda x: length(x)))::INT AS letters FROM place_name")
+add("f_null", lambda t: t.view("place_name").select("name", F.coalesce("poi_id", F.lit(-1)).alias("poi"), F.try_divide(F.lit(10), F.col("poi_id") % 3).alias("q")), "SELECT name, coalesce(poi_id, -1) AS poi, CASE WHEN poi_id % 3 = 0 THEN NULL ELSE 10e0 / (poi_id % 3) END AS q FROM place_name")
+add("x_author_jaccard", lambda t: _author_jaccard(t), "SELECT a.place_name AS x, b.place_name AS y, count(*) AS shared FROM authors a JOIN authors b ON a.user_id = b.user_id AND a.place_name < b.place_name GROUP BY 1, 2", FP)
+
+
+def _author_jaccard(t: Tables) -> DataFrame:
+    """Names with shared authors: an inverted index on users."""
+    a = D.author_sets(t)
+    b = a.select("user_id", F.col("place_name").alias("y"))
+    return a.select("user_id", F.col("place_name").alias("x")).join(b, "user_id").where("x < y").groupBy("x", "y").agg(count("shared"))
+
+
+# SQL surface and Python functions
+def _sql_m1(t: Tables) -> DataFrame:
+    text = "SELECT a.place_name, count(*) AS n, sum(p.lat_u) AS lat_sum, sum(p.lon_u) AS lon_sum FROM {a} a JOIN {p} p ON a.user_id = p.user_id GROUP BY a.place_name"
+    return t.spark.sql(text, a=D.author_sets(t), p=t.ping)
+
+
+add("sql_m1", _sql_m1, "SELECT place_name, count(*) AS n, sum(lat_u)::BIGINT AS lat_sum, sum(lon_u)::BIGINT AS lon_sum FROM fp GROUP BY 1", FP)
+add("udf_distance", lambda t: t.view("place").join(t.box, "city").select("poi_id", F.round(udfs.great_circle(F.col("lat_u") / 1e6, F.col("lon_u") / 1e6, F.col("lat_min_u") / 1e6, F.col("lon_min_u") / 1e6), 2).alias("m")), ORACLES["f_geo_distance"], views=False)
+add("udaf_centroid", lambda t: t.ping.groupBy("city").agg(F.round(udfs.mean_micro(F.col("lat_u")), 2).alias("lat")), "SELECT city, round(avg(lat_u), 2) AS lat FROM ping GROUP BY 1")
+add("udtf_cells", lambda t: udfs.parent_cells(t.spark, t.view("place").join(t.box, "city")),
+    "SELECT poi_id, n_grid, least(n_grid - 1, (lat_u - off_lat) * n_grid // 300000)::INT AS r, least(n_grid - 1, (lon_u - off_lon) * n_grid // 300000)::INT AS c FROM place p JOIN city_box b ON b.city = p.city CROSS JOIN (SELECT unnest([20, 50, 150]) AS n_grid)")
+
+
+# Ablations
+def _anchor_error(t: Tables) -> DataFrame:
+    """Mean metres from each standard name's anchor to its place: overall centroid against densest window."""
+    where = t.view("place_name").where("kind = 'standard'").select("poi_id", F.col("name").alias("place_name")).join(t.view("place").select("poi_id", "lat_u", "lon_u"), "poi_id")
+    out = None
+    for m, a in (("M1", D.centroids(t)), ("M2", locate.densest_window(footprint.build(D.author_sets(t), t.ping), t.box, engine="bounded"))):
+        d = great_circle_m(F.col("lat"), F.col("lon"), F.col("lat_u") / 1e6, F.col("lon_u") / 1e6)
+        part = a.join(where, "place_name").agg(F.lit(m).alias("method"), F.round(F.avg(d), 1).alias("mean_error_m"))
+        out = part if out is None else out.unionByName(part)
+    return out
+
+
+add("x_anchor_error", _anchor_error)
