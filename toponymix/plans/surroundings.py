@@ -15,6 +15,7 @@ from ..functions import udfs
 from ..functions.geo import great_circle_m
 from ..operators import footprint, locate, score
 from ..sources.fixtures import Tables, oracle_prefix
+from ..streaming import footprints as streams
 from . import discover as D
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -166,3 +167,19 @@ def _anchor_error(t: Tables) -> DataFrame:
 
 
 add("x_anchor_error", _anchor_error)
+
+
+# Streaming operators on their batch twin
+def _events(t: Tables) -> DataFrame:
+    return streams.zoned(t.base("events"))
+
+
+add("s_dedupe", lambda t: streams.deduplicated(_events(t).unionAll(_events(t))).groupBy("event_type").agg(count()), "SELECT event_type, count(*) AS n FROM events GROUP BY 1", views=False)
+add("s_tumbling", lambda t: streams.windowed_counts(_events(t)), "SELECT event_type, date_trunc('day', ts)::TIMESTAMP AS start, count(*) AS n FROM events GROUP BY 1, 2", views=False)
+add("s_sliding", lambda t: streams.windowed_counts(_events(t), "24 hours", "6 hours"),
+    "SELECT event_type, (time_bucket(INTERVAL 6 HOUR, ts) - k * INTERVAL 6 HOUR)::TIMESTAMP AS start, count(*) AS n FROM events CROSS JOIN range(4) r(k) GROUP BY 1, 2", views=False)
+add("s_session", lambda t: streams.sessions(_events(t)),
+    """WITH a AS (SELECT user_id, ts, event_id, CASE WHEN ts < lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) + INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS fresh FROM events),
+b AS (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS s FROM a) SELECT user_id, min(ts) AS start, count(*) AS n FROM b GROUP BY user_id, s""", views=False)
+add("s_static_join", lambda t: streams.by_place(_events(t), D.author_sets(t)).groupBy("place_name").agg(count()), "SELECT place_name, count(*) AS n FROM events e JOIN authors a ON a.user_id = e.user_id GROUP BY 1", FP)
+add("s_stream_join", lambda t: streams.view_before_purchase(_events(t)), ORACLES["j_interval"], views=False)
