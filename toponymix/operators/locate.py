@@ -37,7 +37,7 @@ def _with_extents(points: DataFrame, box: DataFrame, side_m: float) -> DataFrame
 def densest_window(points: DataFrame, box: DataFrame, side_m: float = 640.0, engine: str = "sql", bins: int = 16) -> DataFrame:
     """(city, place_name, n_window, lat0_u, lon0_u, lat, lon): the closed window with most pings and its centroid.
 
-    Lower edges lie on pings; ties go to the smallest (lat0_u, lon0_u). Engines: `sql` (all edges), `bounded` (prunes by
+    Lower edges lie on pings of the window; ties go to the smallest (lat0_u, lon0_u). Engines: `sql` (all edges), `bounded` (prunes by
     counts of d-cells, then `sql`), `sweep` (one pandas group per footprint), `microbin` (bounds of the count only).
     """
     e = extents(box, side_m)
@@ -62,7 +62,8 @@ def _windows(pts: DataFrame, e: dict[int, tuple[int, int]]) -> DataFrame:
     counted = None
     for city, (_, dlon) in e.items():
         w = W.partitionBy(*NAME, "lat0_u").orderBy("lon_u").rangeBetween(0, dlon)
-        part = inside.where(F.col("city") == city).select(*NAME, "lat0_u", F.col("lon_u").alias("lon0_u"), F.count(F.lit(1)).over(w).alias("n"))
+        part = inside.where(F.col("city") == city).select(*NAME, "lat0_u", F.col("lon_u").alias("lon0_u"), F.count(F.lit(1)).over(w).alias("n"), F.min("lat_u").over(w).alias("low"))
+        part = part.where("low = lat0_u").drop("low")  # both edges lie on pings of the window itself
         counted = part if counted is None else counted.unionByName(part)
     top = F.max(F.struct("n", (-F.col("lat0_u")).alias("a"), (-F.col("lon0_u")).alias("b"))).alias("t")
     return counted.groupBy(*NAME).agg(top).select(*NAME, F.col("t.n").alias("n_window"), (-F.col("t.a")).alias("lat0_u"), (-F.col("t.b")).alias("lon0_u"))
@@ -83,7 +84,7 @@ def _sweep(pts: DataFrame) -> DataFrame:
     import numpy as np
     import pandas as pd
 
-    def one(key, g: pd.DataFrame) -> pd.DataFrame:
+    def one(key: tuple, g: pd.DataFrame) -> pd.DataFrame:
         lat, lon = g["lat_u"].to_numpy(), g["lon_u"].to_numpy()
         dlat, dlon = int(g["dlat"].iloc[0]), int(g["dlon"].iloc[0])
         by = np.argsort(lat, kind="stable")
@@ -94,7 +95,10 @@ def _sweep(pts: DataFrame) -> DataFrame:
             if j - i < best[0]:
                 continue
             x = np.sort(lon[i:j])
-            n = np.searchsorted(x, x + dlon, side="right") - np.searchsorted(x, x)
+            edge = np.sort(lon[i : np.searchsorted(lat, a + 1)])
+            at = np.searchsorted(edge, x)
+            held = (at < len(edge)) & (edge[np.minimum(at, len(edge) - 1)] <= x + dlon)
+            n = np.where(held, np.searchsorted(x, x + dlon, side="right") - np.searchsorted(x, x), 0)
             k = int(np.argmax(n))
             best = max(best, (int(n[k]), -int(a), -int(x[k])))
         return pd.DataFrame([(*key, best[0], -best[1], -best[2])], columns=[*NAME, "n_window", "lat0_u", "lon0_u"])

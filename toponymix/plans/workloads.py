@@ -55,9 +55,10 @@ M1_SQL = "m1 AS (SELECT city, district, place_name, count(*) AS n, sum(lat_u)::D
 def sql_windows(side_m: float) -> str:
     (a0, o0), (a1, o1) = extent_u(side_m, 30.15), extent_u(side_m, 39.15)
     return f"""ext AS (SELECT 0 AS city, {a0} AS dlat, {o0} AS dlon UNION ALL SELECT 1, {a1}, {o1}),
-win AS (SELECT e.city, e.place_name, lat0_u, lon_u AS lon0_u, dlat, dlon, count(*) OVER (PARTITION BY e.city, e.place_name, lat0_u ORDER BY lon_u RANGE BETWEEN CURRENT ROW AND dlon FOLLOWING) AS n_window
-  FROM (SELECT DISTINCT city, place_name, lat_u AS lat0_u FROM fp) e JOIN ext ON ext.city = e.city JOIN fp p ON p.city = e.city AND p.place_name = e.place_name AND p.lat_u BETWEEN lat0_u AND lat0_u + dlat),
-best AS (SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY city, place_name ORDER BY n_window DESC, lat0_u, lon0_u) AS rn FROM win) WHERE rn = 1),
+win AS (SELECT e.city, e.place_name, lat0_u, lon_u AS lon0_u, dlat, dlon, count(*) OVER w AS n_window, min(lat_u) OVER w AS low
+  FROM (SELECT DISTINCT city, place_name, lat_u AS lat0_u FROM fp) e JOIN ext ON ext.city = e.city JOIN fp p ON p.city = e.city AND p.place_name = e.place_name AND p.lat_u BETWEEN lat0_u AND lat0_u + dlat
+  WINDOW w AS (PARTITION BY e.city, e.place_name, lat0_u ORDER BY lon_u RANGE BETWEEN CURRENT ROW AND dlon FOLLOWING)),
+best AS (SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY city, place_name ORDER BY n_window DESC, lat0_u, lon0_u) AS rn FROM win WHERE low = lat0_u) WHERE rn = 1),
 m2 AS (SELECT b.city, b.place_name, n_window, lat0_u, lon0_u, sum(lat_u)::DOUBLE / n_window / 1e6 AS lat, sum(lon_u)::DOUBLE / n_window / 1e6 AS lon
   FROM best b JOIN fp p ON p.city = b.city AND p.place_name = b.place_name AND p.lat_u BETWEEN lat0_u AND lat0_u + dlat AND p.lon_u BETWEEN lon0_u AND lon0_u + dlon GROUP BY b.city, b.place_name, n_window, lat0_u, lon0_u)"""
 

@@ -5,11 +5,11 @@ from __future__ import annotations
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import types as T
+from pyspark.sql.types import StructType
 
-ADDRESS = T.StructType.fromDDL("user_id bigint, addr_seq int, city int, district int, place_name string, addr_text string")
-PING = T.StructType.fromDDL("user_id bigint, city int, lat_u bigint, lon_u bigint, ts timestamp_ntz")
-ALIAS_LIST = T.StructType.fromDDL("city int, district int, std_name string, cand_name string")
+ADDRESS = "user_id bigint, addr_seq int, city int, district int, place_name string, addr_text string"
+PING = "user_id bigint, city int, lat_u bigint, lon_u bigint, ts timestamp_ntz"
+ALIAS_LIST = "city int, district int, std_name string, cand_name string"
 
 
 def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -17,7 +17,7 @@ def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def read_table(spark: SparkSession, path: str, fmt: str, schema: T.StructType) -> DataFrame:
+def read_table(spark: SparkSession, path: str, fmt: str, schema: str | StructType) -> DataFrame:
     """An address, ping or alias file as CSV, JSON, ORC or Parquet, by its declared schema."""
     reader = spark.read.schema(schema)
     return reader.option("header", "true").csv(path) if fmt == "csv" else reader.format(fmt).load(path)

@@ -6,12 +6,12 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql import types as T
+from pyspark.sql.types import StructType
 
-EVENT = T.StructType.fromDDL("event_id bigint, user_id bigint, ts timestamp_ntz, event_type string, props string")
+EVENT = "event_id bigint, user_id bigint, ts timestamp_ntz, event_type string, props string"
 
 
-def source(spark: SparkSession, path: str, schema: T.StructType, files_per_batch: int = 1) -> DataFrame:
+def source(spark: SparkSession, path: str, schema: str | StructType, files_per_batch: int = 1) -> DataFrame:
     """A file stream; event time becomes a zoned timestamp, which watermarks need."""
     raw = spark.readStream.schema(schema).option("maxFilesPerTrigger", files_per_batch).parquet(path)
     return zoned(raw)
