@@ -2,12 +2,16 @@
 
 from __future__ import annotations
 
+import zlib
 from collections.abc import Callable
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ..sources.tables import settle
+
 GRAMS = 256
 
 
@@ -26,12 +30,15 @@ def trigrams(name: Column) -> Column:
     return F.array_distinct(F.transform(F.sequence(F.lit(1), F.length(padded) - 2), lambda i: F.substr(padded, i, F.lit(3))))
 
 
-def hashed_vector(name: Column, dims: int = GRAMS) -> Column:
-    """Unit vector of hashed trigram counts: the default encoder."""
-    ids = F.transform(trigrams(name), lambda g: F.pmod(F.xxhash64(g), F.lit(dims)).cast("int"))
-    v = F.transform(F.sequence(F.lit(0), F.lit(dims - 1)), lambda k: F.size(F.filter(ids, lambda i: i == k)).cast("double"))
-    norm = F.sqrt(F.aggregate(v, F.lit(0.0), lambda a, x: a + x * x))
-    return F.transform(v, lambda x: F.try_divide(x, norm))
+def hashed_trigrams(names: pd.Series, dims: int = GRAMS) -> pd.Series:
+    """Unit vectors of hashed trigram counts: the default encoder."""
+
+    def one(name: str) -> list[float]:
+        padded = f"  {name.lower()} "
+        v = np.bincount([zlib.crc32(padded[i : i + 3].encode()) % dims for i in range(len(padded) - 2)], minlength=dims).astype(float)
+        return (v / np.linalg.norm(v)).tolist()
+
+    return names.map(one)
 
 
 def cosine(a: Column, b: Column) -> Column:
@@ -40,14 +47,18 @@ def cosine(a: Column, b: Column) -> Column:
 
 def encode(names: DataFrame, encoder: Callable[[pd.Series], pd.Series] | None = None) -> DataFrame:
     """(city, district, name, v): each name once; an encoder maps a series of names to lists of floats."""
-    if encoder is None:
-        return names.withColumn("v", hashed_vector(F.col("name")))
-    return names.withColumn("v", F.pandas_udf(encoder, "array<double>")(F.col("name")))
+    encoder = encoder or hashed_trigrams
+
+    @F.pandas_udf("array<double>")
+    def run(x: pd.Series) -> pd.Series:
+        return encoder(x)
+
+    return names.withColumn("v", run(F.col("name")))
 
 
 def embed_match(pairs: DataFrame, names: DataFrame, encoder: Callable[[pd.Series], pd.Series] | None = None) -> DataFrame:
     """T3 stand-in: cosine of both names' vectors."""
-    v = encode(names.select("city", "district", "name").distinct(), encoder)
+    v = settle(encode(names.select("city", "district", "name").distinct(), encoder))  # each name is encoded once, not once a pair
     s = v.select("city", "district", F.col("name").alias("std_name"), F.col("v").alias("a"))
     c = v.select("city", "district", F.col("name").alias("cand_name"), F.col("v").alias("b"))
     j = pairs.join(s, ["city", "district", "std_name"]).join(c, ["city", "district", "cand_name"])

@@ -107,16 +107,16 @@ add("a_pivot", lambda t: t.view("place_name").groupBy("district").pivot("kind",
 # Windows, sorting, sets
 SIZE = "sz AS (SELECT district, place_name, count(*) AS n FROM authors GROUP BY ALL)"
 _sz = lambda t: D.author_sets(t).groupBy("district", "place_name").agg(count())
-_by = W.partitionBy("district").orderBy(F.desc("n"), "place_name")
-add("win_rank", lambda t: _sz(t).select("district", "place_name", F.row_number().over(_by).alias("rn"), F.rank().over(W.partitionBy("district").orderBy(F.desc("n"))).alias("rk"), F.dense_rank().over(W.partitionBy("district").orderBy(F.desc("n"))).alias("dr"), F.ntile(4).over(_by).alias("nt"), F.round(F.percent_rank().over(W.partitionBy("district").orderBy(F.desc("n"))), 6).alias("pr")),
+_by = lambda: W.partitionBy("district").orderBy(F.desc("n"), "place_name")
+add("win_rank", lambda t: _sz(t).select("district", "place_name", F.row_number().over(_by()).alias("rn"), F.rank().over(W.partitionBy("district").orderBy(F.desc("n"))).alias("rk"), F.dense_rank().over(W.partitionBy("district").orderBy(F.desc("n"))).alias("dr"), F.ntile(4).over(_by()).alias("nt"), F.round(F.percent_rank().over(W.partitionBy("district").orderBy(F.desc("n"))), 6).alias("pr")),
     "SELECT district, place_name, row_number() OVER (PARTITION BY district ORDER BY n DESC, place_name)::INT AS rn, rank() OVER w AS rk, dense_rank() OVER w AS dr, ntile(4) OVER (PARTITION BY district ORDER BY n DESC, place_name)::INT AS nt, round(percent_rank() OVER w, 6) AS pr FROM sz WINDOW w AS (PARTITION BY district ORDER BY n DESC)", FP, SIZE)
 add("win_lag", lambda t: t.base("events").select("event_id", F.lag("event_id").over(W.partitionBy("user_id").orderBy("ts", "event_id")).alias("before"), F.lead("event_id").over(W.partitionBy("user_id").orderBy("ts", "event_id")).alias("after")),
     "SELECT event_id, lag(event_id) OVER w AS before, lead(event_id) OVER w AS after FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)", views=False)
-add("win_rows", lambda t: _sz(t).select("district", "place_name", F.sum("n").over(_by.rowsBetween(W.unboundedPreceding, 0)).alias("upto")), "SELECT district, place_name, (sum(n) OVER (PARTITION BY district ORDER BY n DESC, place_name ROWS UNBOUNDED PRECEDING))::BIGINT AS upto FROM sz", FP, SIZE)
+add("win_rows", lambda t: _sz(t).select("district", "place_name", F.sum("n").over(_by().rowsBetween(W.unboundedPreceding, 0)).alias("upto")), "SELECT district, place_name, (sum(n) OVER (PARTITION BY district ORDER BY n DESC, place_name ROWS UNBOUNDED PRECEDING))::BIGINT AS upto FROM sz", FP, SIZE)
 add("win_range", lambda t: t.ping.select("city", "lat_u").distinct().select("city", "lat_u", F.count(F.lit(1)).over(W.partitionBy("city").orderBy("lat_u").rangeBetween(0, 500)).alias("n")), "SELECT city, lat_u, count(*) OVER (PARTITION BY city ORDER BY lat_u RANGE BETWEEN CURRENT ROW AND 500 FOLLOWING) AS n FROM (SELECT DISTINCT city, lat_u FROM ping)")
 add("win_share", lambda t: _sz(t).select("place_name", F.round(F.col("n") / F.sum("n").over(W.partitionBy("district")), 6).alias("p")), "SELECT place_name, round(n::DOUBLE / sum(n) OVER (PARTITION BY district), 6) AS p FROM sz", FP, SIZE)
 add("k_topk", lambda t: _sz(t).orderBy(F.desc("n"), "place_name").limit(10), "SELECT * FROM sz ORDER BY n DESC, place_name LIMIT 10", FP, SIZE)
-add("k_topk_per_group", lambda t: _sz(t).withColumn("rn", F.row_number().over(_by)).where("rn <= 3").select("district", "place_name", "n"), "SELECT district, place_name, n FROM sz QUALIFY row_number() OVER (PARTITION BY district ORDER BY n DESC, place_name) <= 3", FP, SIZE)
+add("k_topk_per_group", lambda t: _sz(t).withColumn("rn", F.row_number().over(_by())).where("rn <= 3").select("district", "place_name", "n"), "SELECT district, place_name, n FROM sz QUALIFY row_number() OVER (PARTITION BY district ORDER BY n DESC, place_name) <= 3", FP, SIZE)
 _home = lambda t: t.address.where("addr_seq = 0").select("user_id")
 _two = lambda t: t.address.where("addr_seq = 1").select("user_id")
 for _name, _op, _sql in (("set_union", "union", "UNION"), ("set_intersect", "intersect", "INTERSECT"), ("set_except", "exceptAll", "EXCEPT")):
