@@ -110,6 +110,23 @@ def test_top_k_equals_brute_force(spark):
     assert topk_search.top_k(spark, df.limit(0)).count() == 0
 
 
+def test_top_k_counts_repeated_rows_like_the_sql(spark):
+    """One id fills the top k by its copies; query ids repeat, with equal and other vectors; many queries share a vector."""
+    rng = np.random.default_rng(8)
+    vec = rng.normal(size=(60, 4)).astype(np.float32)
+    rows = [(i, vec[i].tolist()) for i in range(60)] + [(7, vec[7].tolist())] * 40 + [(0, vec[0].tolist())] * 3 + [(0, vec[1].tolist())] + [(100, vec[7].tolist())] * 15
+    rows += [(100 * j, vec[9].tolist()) for j in range(2, 90)]
+    want: dict[int, list] = {}
+    whole = [(i, np.floor(1024 * np.array(v, np.float64))) for i, v in rows]
+    for q, x in whole:
+        if q % 100 == 0:
+            want.setdefault(q, []).extend((-int(x @ y), c) for c, y in whole if c != q)
+    got: dict[int, list] = {}
+    for r in topk_search.top_k(spark, spark.createDataFrame(rows, "vec_id bigint, embedding array<float>").repartition(3)).collect():
+        got.setdefault(r.query_id, []).append((r.rank, -r.score, r.vec_id))
+    assert {q: sorted(v) for q, v in got.items()} == {q: [(k + 1, *p) for k, p in enumerate(sorted(v)[:10])] for q, v in want.items()}
+
+
 def test_repeated_starts_equal_brute_force():
     rng = random.Random(1)
     for length, trial in itertools.product((60, 75, 120), range(40)):

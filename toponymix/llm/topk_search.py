@@ -7,16 +7,18 @@ when even its best possible product, from centres and covering radii, stays belo
 query node. Scores are exact integers; ties go to the smaller id.
 
 Edge cases: null vectors and vectors with null or non-finite components take no part, empty vectors neither; vectors meet
-only vectors of their length; equal vectors share a tree node, which keeps the k+1 smallest ids, all that a top-k can
-need; rows with the query's own id are no candidates; scores saturate at 64 bits; rows with a null id take no part; an
-empty table gives an empty result.
+only vectors of their length; repeated rows count as the SQL counts them: each is a candidate of its own, and each row
+of a repeated query id asks for itself, their answers being ranked together; equal vectors share a tree node, which keeps
+k rows of an id at most and the 2k smallest of those, all that a top-k can need once the query's own rows are left out;
+rows with the query's own id are no candidates; scores saturate at 64 bits; rows with a null id take no part; an empty
+table gives an empty result.
 """
 
 from __future__ import annotations
 
 import pickle
 from collections.abc import Iterator
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 import numpy as np
 import pyarrow as pa
@@ -54,13 +56,15 @@ class CoverTree:
 
 
 def build(points: np.ndarray, ids: np.ndarray, keep: int, base: float = 1.6, leaf: int = 1) -> CoverTree:
-    """A cover tree over the rows of points; `keep` smallest ids of each distinct point stay."""
+    """A cover tree over the rows of points; of each distinct point `keep` rows of an id stay, and the 2 * keep smallest of those."""
     order = np.lexsort((ids, *points.T[::-1]))
     points, ids = points[order], ids[order]
     new = np.append(True, (points[1:] != points[:-1]).any(1))
     which = np.cumsum(new) - 1
-    at = np.arange(len(ids)) - np.flatnonzero(new)[which]
-    held = at < keep
+    run = np.flatnonzero(new | np.append(True, ids[1:] != ids[:-1]))
+    few = np.arange(len(ids)) - np.repeat(run, np.diff(np.append(run, len(ids)))) < keep
+    before = np.cumsum(few) - few
+    held = few & (before - before[np.flatnonzero(new)][which] < 2 * keep)
     starts = np.append(0, np.cumsum(np.bincount(which[held], minlength=int(which[-1]) + 1)))
     distinct = points[new]
     node_point: list[int] = []
@@ -110,6 +114,12 @@ def build(points: np.ndarray, ids: np.ndarray, keep: int, base: float = 1.6, lea
     )
 
 
+def query_tree(ids: np.ndarray, points: np.ndarray) -> tuple[CoverTree, np.ndarray]:
+    """(tree, row of each member): a tree that keeps every row."""
+    tree = build(points, np.arange(len(ids)), len(ids))
+    return replace(tree, ids=ids[tree.ids]), tree.ids
+
+
 class Best:
     """The k best (score, id) of each query so far."""
 
@@ -137,7 +147,7 @@ class Best:
 
 
 def search(queries: CoverTree, data: CoverTree, floor: np.ndarray, k: int) -> Best:
-    """Dual-tree descent. queries.ids are one per query, in the order of `floor`."""
+    """Dual-tree descent. queries.ids are one per asking row, in the order of `floor`."""
     point_of = np.repeat(np.arange(len(queries.points)), np.diff(queries.member_start))
     best = Best(queries.ids, floor, k)
     q_norm = np.sqrt((queries.points**2).sum(1))
@@ -160,8 +170,9 @@ def search(queries: CoverTree, data: CoverTree, floor: np.ndarray, k: int) -> Be
         if not len(frontier):
             continue
         kids = queries.child[queries.child_start[n] : queries.child_start[n + 1]]
-        if len(rows) > 64 and len(kids) > 1 and len(kids) <= 64 and rq > data.radius[frontier].max():
-            left = np.setdiff1d(rows, np.concatenate([below[int(x)] for x in kids]))
+        # Rows left over at a split share the node's own point: they are not split again.
+        if len(rows) > 64 and len(rows) == len(below[n]) and len(kids) > 1 and len(kids) <= 64 and rq > data.radius[frontier].max():
+            left = np.setdiff1d(rows, np.concatenate([below[int(x)] for x in kids]), assume_unique=True)
             work += [(int(x), below[int(x)], frontier) for x in kids]
             if len(left):
                 work.append((n, left, frontier))
@@ -193,35 +204,37 @@ def _vectors(batch: pa.RecordBatch, scale: float) -> Iterator[tuple[np.ndarray,
 
 
 def _blocks(table: DataFrame, k: int, every: int, scale: float) -> DataFrame:
-    """One row per data tree, and one per query with its first k-th score."""
+    """One row per data tree, and one per query (id, vector) with its copies in the block and its first k-th score."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for ids, x in _vectors(batch, scale):
                 for i in range(0, len(ids), BLOCK):
                     part, px = ids[i : i + BLOCK], x[i : i + BLOCK]
-                    tree = build(px, part, k + 1)
+                    tree = build(px, part, k)
                     mine = part % every == 0
-                    rows = [(px.shape[1], None, 0, pickle.dumps(tree, 5))]
+                    rows = [(px.shape[1], None, 0, 0, pickle.dumps(tree, 5))]
                     if mine.any():
-                        qs = build(px[mine], part[mine], int(mine.sum()))
+                        one, copies = np.unique(np.column_stack([part[mine], (px[mine] + 0.0).view(np.int64)]), axis=0, return_counts=True)
+                        qs, order = query_tree(one[:, 0], one[:, 1:].copy().view(np.float64))
                         best = search(qs, tree, np.full(len(qs.ids), -LIMIT), k)
                         vec = qs.points[np.repeat(np.arange(len(qs.points)), np.diff(qs.member_start))]
-                        rows += [(px.shape[1], int(q), int(f), v.tobytes()) for q, f, v in zip(qs.ids, best.floor, vec, strict=True)]
-                    yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), (pa.int32(), pa.int64(), pa.int64(), pa.binary()), strict=True)], ["dim", "query", "floor", "body"])
+                        rows += [(px.shape[1], int(q), int(f), int(c), v.tobytes()) for q, f, c, v in zip(qs.ids, best.floor, copies[order], vec, strict=True)]
+                    types = (pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.binary())
+                    yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), types, strict=True)], ["dim", "query", "floor", "copies", "body"])
 
-    return table.select(F.col("vec_id").cast("long"), "embedding").mapInArrow(run, "dim int, query long, floor long, body binary")
+    return table.select(F.col("vec_id").cast("long"), "embedding").mapInArrow(run, "dim int, query long, floor long, copies long, body binary")
 
 
 def top_k(spark: SparkSession, table: DataFrame, k: int = 10, every: int = 100, scale: float = 1024.0) -> DataFrame:
     """(query_id, rank, vec_id, score) for the rows whose id is divisible by `every`."""
     made = materialise(_blocks(table, k, every, scale), spark)
     groups = max(1, partitions(spark))
-    asked = made.where(F.col("query").isNotNull())
+    asked = made.where(F.col("query").isNotNull()).groupBy("dim", "query", "body").agg(F.max("floor").alias("floor"), F.sum("copies").alias("copies"))
     count = asked.count()
     qb = F.pmod(F.xxhash64("query"), F.lit(max(1, -(-count // QUERY_BLOCK)))).cast("int")
     # Queries are gathered by block of bounded expected size, then copied once to each group of data blocks.
-    packed = asked.groupBy("dim", qb.alias("qb")).agg(F.collect_list(F.struct("query", "floor", "body")).alias("qs"))
+    packed = asked.groupBy("dim", qb.alias("qb")).agg(F.collect_list(F.struct("query", "floor", "copies", "body")).alias("qs"))
     packed = packed.withColumn("g", F.explode(F.sequence(F.lit(0), F.lit(groups - 1))))
     trees = made.where(F.col("query").isNull()).select("dim", F.col("body").alias("tree"), F.pmod(F.xxhash64("body"), F.lit(groups)).cast("int").alias("g"))
     pairs = trees.join(packed, ["dim", "g"]).select("dim", "tree", "qs")
@@ -234,15 +247,15 @@ def top_k(spark: SparkSession, table: DataFrame, k: int = 10, every: int = 100,
                 qs = batch.column("qs")[r].values
                 ids = qs.field("query").to_numpy()
                 x = np.frombuffer(b"".join(qs.field("body").to_pylist()), np.float64).reshape(-1, dim)
-                group = build(x, ids, len(ids))
-                floor_of = dict(zip(ids.tolist(), qs.field("floor").to_pylist()))
-                best = search(group, tree, np.array([floor_of[i] for i in group.ids.tolist()]), k)
-                n = [len(s) for s in best.ids]
-                yield pa.RecordBatch.from_arrays(
-                    [pa.array(np.repeat(group.ids, n)), pa.array(np.concatenate(best.ids)), pa.array(np.concatenate(best.scores))], ["query_id", "vec_id", "score"]
-                )
-
-    found = pairs.mapInArrow(run, "query_id long, vec_id long, score long").distinct()
+                group, order = query_tree(ids, x)
+                best = search(group, tree, qs.field("floor").to_numpy()[order], k)
+                # Every copy of a query row brings the same answers; k of them fill its ranks.
+                times = qs.field("copies").to_numpy()[order]
+                got_ids, got = ([np.repeat(v, min(int(c), k))[:k] for v, c in zip(side, times, strict=True)] for side in (best.ids, best.scores))
+                n = [len(s) for s in got]
+                yield pa.RecordBatch.from_arrays([pa.array(np.repeat(group.ids, n)), pa.array(np.concatenate(got_ids)), pa.array(np.concatenate(got))], ["query_id", "vec_id", "score"])
+
+    found = pairs.mapInArrow(run, "query_id long, vec_id long, score long")
     rank = F.row_number().over(W.partitionBy("query_id").orderBy(F.col("score").desc(), "vec_id"))
     return found.withColumn("rank", rank.cast("int")).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
 
