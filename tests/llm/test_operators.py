@@ -201,6 +201,16 @@ def test_ngram_join_equals_brute_force(spark, t):
     assert ngram_join.similar_components(spark, docs(spark, []), t).count() == 0
 
 
+def test_representatives_are_rows_not_ids(spark):
+    """Null ids, ids with several texts and repeated rows: of each component one row stays, and nothing else goes."""
+    rng = random.Random(12)
+    one, two, three, four = (words(rng, 60, 5000) for _ in range(4))
+    rows = [(5, one), (None, two), (None, three), (5, two + " x"), (3, edited(rng, one, 1)), (7, four), (7, four), (None, one), (None, three), (None, None), (None, ""), (9, ""), (9, "")]
+    kept = ngram_join.keep_representatives(spark, docs(spark, [x for _, x in rows], [i for i, _ in rows])).collect()
+    want = [(3, rows[4][1]), (5, two + " x"), (7, four), (None, three), (None, None), (None, ""), (9, "")]
+    assert sorted(map(str, want)) == sorted(str((r.doc_id, r.text)) for r in kept)
+
+
 def test_signatures_meet_for_all_similar_sets():
     rng = np.random.default_rng(4)
     t = ngram_join.Threshold()

@@ -16,8 +16,10 @@ are compared whole, in blocks and by matrix products, so rows are made for links
 change a component.
 
 Edge cases: null and empty texts have no shingles and stay alone; a text shorter than the shingle width is one shingle;
-null doc_ids are kept and never name a component; repeated rows share a node; an empty table gives an empty result;
-extra columns are ignored. Nodes are 64-bit fingerprints of whole sets.
+null doc_ids are kept, never name a component and link nothing in the operator; repeated rows share a node; rows that
+share a doc_id but hold different texts are nodes of their own; an empty table gives an empty result; extra columns are
+ignored. Nodes are 64-bit fingerprints of whole sets. Texts are fetched by the place of a row in the table (`rid`), so a
+table must give its rows in the same order at each scan; a text that isn't the one of its node raises an error.
 """
 
 from __future__ import annotations
@@ -38,6 +40,8 @@ from .common import materialise, mix, row_slices, shingle_sets, signed, text_byt
 COMMON = 0.05
 #: Bits of the filter that keeps texts outside all candidate pairs from being shuffled; a fixed size of 8 MB.
 FILTER_BITS = 1 << 26
+#: The key of a row: its place in the table.
+RID = F.monotonically_increasing_id
 
 
 @dataclass(frozen=True)
@@ -163,15 +167,16 @@ def _sets_of(batch: pa.RecordBatch, t: Threshold, text: str) -> Iterator[tuple[i
 
 
 def shingle_nodes(docs: DataFrame, t: Threshold, text: str = "text") -> DataFrame:
-    """(doc_id, n, node) of every row."""
+    """(rid, doc_id, n, node) of every row."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for i, j, h, o in _sets_of(batch, t, text):
                 n, node = fingerprints(h, o, j - i)
-                yield pa.RecordBatch.from_arrays([batch.column("doc_id").slice(i, j - i), pa.array(n.astype(np.int64)), pa.array(node)], ["doc_id", "n", "node"])
+                own = [batch.column(c).slice(i, j - i) for c in ("rid", "doc_id")]
+                yield pa.RecordBatch.from_arrays([*own, pa.array(n.astype(np.int64)), pa.array(node)], ["rid", "doc_id", "n", "node"])
 
-    return docs.select(F.col("doc_id").cast("long"), text).mapInArrow(run, "doc_id long, n long, node long")
+    return docs.select(RID().alias("rid"), F.col("doc_id").cast("long"), text).mapInArrow(run, "rid long, doc_id long, n long, node long")
 
 
 def signature_rows(docs: DataFrame, t: Threshold, bands: list[Band], text: str = "text") -> DataFrame:
@@ -198,28 +203,30 @@ def signature_rows(docs: DataFrame, t: Threshold, bands: list[Band], text: str =
 
 
 def _only(docs: DataFrame, ids: DataFrame, text: str) -> DataFrame:
-    """(id, text) of documents whose id may be in `ids`: a bitmap of fixed size is broadcast, never the ids."""
+    """(id, text) of rows whose rid may be in `ids`: a bitmap of fixed size is broadcast, never the ids."""
     place = lambda c: F.pmod(F.xxhash64(c), F.lit(FILTER_BITS))
     bits = ids.select(place(F.col("id")).alias("p")).groupBy(F.floor(F.col("p") / 32768).cast("long").alias("slab")).agg(F.expr("bitmap_construct_agg(p % 32768)").alias("bits"))
-    at = docs.select(F.col("doc_id").cast("long").alias("id"), F.col(text).alias("text")).where(F.col("id").isNotNull()).withColumn("p", place(F.col("id")))
+    at = docs.select(RID().alias("id"), F.col(text).alias("text")).withColumn("p", place(F.col("id")))
     at = at.withColumn("slab", F.floor(F.col("p") / 32768).cast("long"))
     byte = F.conv(F.hex(F.expr("substring(bits, cast((p % 32768) div 8 as int) + 1, 1)")), 16, 10).cast("int")
     return at.join(F.broadcast(bits), "slab").where(byte.bitwiseAND(F.expr("shiftleft(1, cast(p % 8 as int))")) != 0).select("id", "text")
 
 
 def verify(spark: SparkSession, docs: DataFrame, pairs: DataFrame, t: Threshold, text: str = "text") -> DataFrame:
-    """pairs (a, b of nodes; ra, rb of documents) with `shared`, from whole texts; the centre a comes in runs."""
+    """pairs (a, b of nodes; ra, rb of their rows) with `shared`, from whole texts; the centre a comes in runs."""
     ids = pairs.select(F.explode(F.array("ra", "rb")).alias("id"))
     some = _only(docs, ids, text)
     right = some.select(F.col("id").alias("rb"), F.col("text").alias("tb"))
     left = some.select(F.col("id").alias("ra"), F.col("text").alias("ta"))
     joined = pairs.join(right, "rb").join(left, "ra").select("a", "b", "na", "nb", "ra", "rb", "ta", "tb")
 
-    def sets(column: pa.Array) -> list[np.ndarray]:
+    def sets(column: pa.Array, nodes: pa.Array) -> list[np.ndarray]:
         data, off = text_bytes(column)
         out: list[np.ndarray] = []
         for i, j in row_slices(off):
             h, o = shingle_sets(*word_hashes(data[off[i] : off[j]], off[i : j + 1] - off[i]), t.width)
+            if (fingerprints(h, o, j - i)[1] != nodes.slice(i, j - i).to_numpy()).any():
+                raise RuntimeError("the table gave its rows in another order; write it out first")
             out += np.split(h, np.searchsorted(o, np.arange(1, j - i)))
         return out
 
@@ -234,12 +241,12 @@ def verify(spark: SparkSession, docs: DataFrame, pairs: DataFrame, t: Threshold,
                     if len(held) > 64:
                         held.clear()
                         new = np.unique(ra, return_index=True)[1].tolist()
-                    for i, s in zip(new, sets(part.column("ta").take(pa.array(new))), strict=True):
+                    for i, s in zip(new, sets(part.column("ta").take(pa.array(new)), part.column("a").take(pa.array(new))), strict=True):
                         held[int(ra[i])] = s
-                shared = [len(np.intersect1d(held[int(x)], s, assume_unique=True)) for x, s in zip(ra, sets(part.column("tb")), strict=True)]
+                shared = [len(np.intersect1d(held[int(x)], s, assume_unique=True)) for x, s in zip(ra, sets(part.column("tb"), part.column("b")), strict=True)]
                 yield pa.RecordBatch.from_arrays([*[part.column(c) for c in ("a", "b", "na", "nb")], pa.array(shared, pa.int64())], ["a", "b", "na", "nb", "shared"])
 
-    return joined.mapInArrow(run, "a long, b long, na long, nb long, shared long").dropDuplicates(["a", "b"])
+    return joined.mapInArrow(run, "a long, b long, na long, nb long, shared long")
 
 
 def block_links(t: Threshold, left: list[tuple], right: list[tuple]) -> list[tuple[int, int]]:
@@ -275,7 +282,7 @@ def cluster_links(spark: SparkSession, docs: DataFrame, members: DataFrame, node
     Members of a cluster are packed into blocks of about `block` shingles and 600 members at most; pairs of blocks are compared by matrix
     products, so no row is made for a pair of members unless it is a link.
     """
-    sized = members.join(nodes.select("node", F.col("n"), F.col("rep").alias("id")), "node").where(F.col("id").isNotNull())
+    sized = members.join(nodes.select("node", F.col("n"), F.col("rep").alias("id")), "node")
     spread = sized.groupBy("a").agg(F.min("label").alias("lo"), F.max("label").alias("hi"), F.greatest(F.ceil(F.sum("n") / block), F.ceil(F.count(F.lit(1)) / 600)).cast("int").alias("blocks")).where("lo <> hi")
     sized = materialise(sized.join(spread.select("a", "blocks"), "a").withColumn("blk", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int")), spark)
 
@@ -288,7 +295,7 @@ def cluster_links(spark: SparkSession, docs: DataFrame, members: DataFrame, node
                 body = pa.array([h[x:y].tobytes() for x, y in zip(cut, cut[1:])], pa.binary())
                 yield pa.RecordBatch.from_arrays([batch.column("id").slice(i, j - i), body], ["id", "body"])
 
-    bodies = _only(docs, sized.select("id"), text).mapInArrow(pack, "id long, body binary").dropDuplicates(["id"])
+    bodies = _only(docs, sized.select("id"), text).mapInArrow(pack, "id long, body binary")
     packed = sized.join(bodies, "id").groupBy("a", "blk", "blocks").agg(F.collect_list(F.struct("node", "label", "body")).alias("m"))
     packed = materialise(packed, spark)
     left = packed.select("a", F.col("m").alias("ml"), F.explode(F.sequence(F.col("blk"), F.col("blocks") - 1)).alias("blk"))
@@ -321,11 +328,15 @@ def components(spark: SparkSession, edges: DataFrame, most: int = 60) -> DataFra
     raise RuntimeError("components did not settle; raise `most`")
 
 
-def similar_components(spark: SparkSession, docs: DataFrame, t: Threshold = Threshold(), text: str = "text", hubs: int = 1) -> DataFrame:
-    """(doc_id, n_shingles, component_id) of every row; `hubs` bounds the rounds that try a new centre per bucket."""
+def labelled_nodes(spark: SparkSession, docs: DataFrame, t: Threshold, text: str, hubs: int, nulls: bool) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """rows (rid, doc_id, n, node), nodes (node, n, rep: a row, least: the smallest doc_id), and (node, label) of linked nodes.
+
+    Nodes whose rows all have a null doc_id link others only where `nulls` says so. `hubs` bounds the rounds that try a new centre per bucket.
+    """
     docs = docs.select("doc_id", text)
     rows = materialise(shingle_nodes(docs, t, text), spark)
-    nodes = rows.where("n > 0").groupBy("node", "n").agg(F.min("doc_id").alias("rep"))
+    nodes = rows.where("n > 0").groupBy("node", "n").agg(F.min("rid").alias("rep"), F.min("doc_id").alias("least"))
+    able = nodes if nulls else nodes.where(F.col("least").isNotNull())
     edges = band_edges()
     which = F.size(F.filter(F.array(*[F.lit(e) for e in edges[:-1]]), lambda e: e <= F.col("n"))) - 1
     population = {r.b: r.c for r in nodes.groupBy(which.alias("b")).agg(F.count(F.lit(1)).alias("c")).collect()}
@@ -336,12 +347,12 @@ def similar_components(spark: SparkSession, docs: DataFrame, t: Threshold = Thre
     starred = starred.withColumn("wide", F.max((F.col("node") > F.col("a")) & (F.col("node") < F.col("z"))).over(w))
     starred = materialise(starred.select("sig", "a", "node", "wide"), spark)
 
-    left = nodes.select(F.col("node").alias("a"), F.col("n").alias("na"), F.col("rep").alias("ra"))
-    right = nodes.select(F.col("node").alias("b"), F.col("n").alias("nb"), F.col("rep").alias("rb"))
+    left = able.select(F.col("node").alias("a"), F.col("n").alias("na"), F.col("rep").alias("ra"))
+    right = able.select(F.col("node").alias("b"), F.col("n").alias("nb"), F.col("rep").alias("rb"))
     fits = (F.col("na") * t.num <= F.col("nb") * t.den) & (F.col("nb") * t.num <= F.col("na") * t.den)
 
     def checked(pairs: DataFrame) -> DataFrame:
-        sized = materialise(pairs.join(left, "a").join(right, "b").where(fits & F.col("ra").isNotNull() & F.col("rb").isNotNull()), spark)
+        sized = materialise(pairs.join(left, "a").join(right, "b").where(fits), spark)
         return materialise(verify(spark, docs, sized, t, text), spark)
 
     linked = F.col("shared") * t.den >= (F.col("na") + F.col("nb") - F.col("shared")) * t.num
@@ -370,25 +381,37 @@ def similar_components(spark: SparkSession, docs: DataFrame, t: Threshold = Thre
         known, wide = materialise(known.unionByName(got), spark), moved
         labels = components(spark, known.where(linked))
 
-    apart = cluster_links(spark, docs, full.select("a", "node", "label").distinct(), nodes, t, text)
+    apart = cluster_links(spark, docs, full.select("a", "node", "label").distinct(), able, t, text)
     if apart.limit(1).count():
         labels = components(spark, known.where(linked).select("a", "b").unionByName(apart))
 
+    return rows, nodes, labels
+
+
+def similar_components(spark: SparkSession, docs: DataFrame, t: Threshold = Threshold(), text: str = "text", hubs: int = 1) -> DataFrame:
+    """(doc_id, n_shingles, component_id) of every row."""
+    rows, nodes, labels = labelled_nodes(spark, docs, t, text, hubs, nulls=False)
     named = nodes.join(labels, "node")
-    least = named.groupBy("label").agg(F.min("rep").alias("component"))
+    least = named.groupBy("label").agg(F.min("least").alias("component"))
     named = named.join(least, "label").select("node", "component")
-    alone = nodes.join(named, "node", "left").select("node", F.coalesce("component", "rep").alias("component"))
+    alone = nodes.join(named, "node", "left").select("node", F.coalesce("component", "least").alias("component"))
     return rows.join(alone, "node", "left").select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("n") > 0, F.coalesce("component", "doc_id")).otherwise(F.col("doc_id")).alias("component_id"))
 
 
 def keep_representatives(spark: SparkSession, docs: DataFrame, t: Threshold = Threshold(80, 100, 5), broadcast_rows: int = 1_000_000) -> DataFrame:
-    """docs with one document of each component: the one of smallest id; repeated rows of an id count as copies."""
-    found = materialise(similar_components(spark, docs, t), spark)
-    gone = found.where("doc_id <> component_id").select("doc_id").distinct()
+    """docs with one row of each component: the one of smallest id, null ids last, then the first in the table.
+
+    Rows are told apart by their place, never by doc_id: different texts under one id are judged each by its own text, and a row
+    with a null id goes only where it is a copy of another row. Rows without shingles stay, but repeats under one id are copies.
+    """
+    rows, _, labels = labelled_nodes(spark, docs, t, "text", 1, nulls=True)
+    key = F.when(F.col("n") > 0, F.coalesce("label", "node")).otherwise(F.col("doc_id"))
+    keyed = rows.join(labels, "node", "left").select("rid", "doc_id", (F.col("n") > 0).alias("some"), key.alias("key")).where(F.col("key").isNotNull())
+    first = F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "rid"))["rid"]
+    kept = keyed.groupBy("some", "key").agg(first.alias("first"), F.count(F.lit(1)).alias("c")).where("c > 1")
+    gone = materialise(keyed.join(kept, ["some", "key"]).where("rid <> first").select(F.col("rid").alias("_rid")), spark)
     gone = F.broadcast(gone) if gone.count() <= broadcast_rows else gone
-    kept = docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
-    twice = found.where("doc_id is not null").groupBy("doc_id").count().where("count > 1").limit(1).count()
-    return kept.dropDuplicates(["doc_id"]) if twice else kept
+    return docs.withColumn("_rid", RID()).join(gone, "_rid", "left_anti").select(*docs.columns)
 
 
 ORACLE = r"""
