@@ -336,3 +336,13 @@ def test_pipeline_stages_keep_columns_and_take_effect(spark, sf_dir):
     assert d.count() > 100
     assert corpus_pipeline.run(spark, sf_dir).count() == d.count()
     assert set(queries.oracle_sql()) <= set(queries.queries())
+
+
+def test_components_take_each_text_of_a_repeated_id(spark):
+    """Id 1 carries two unrelated texts, each the near copy of another id's text."""
+    rng = random.Random(31)
+    one, two = words(rng, 80, 5000), words(rng, 80, 5000)
+    rows = [(1, one), (1, two), (4, edited(rng, one, 1)), (5, edited(rng, two, 1)), (6, words(rng, 80, 5000))]
+    for order in (rows, rows[::-1]):
+        got = ngram_join.similar_components(spark, docs(spark, [x for _, x in order], [i for i, _ in order])).collect()
+        assert sorted((r.doc_id, r.component_id) for r in got) == [(1, 1), (1, 1), (4, 1), (5, 1), (6, 6)]
