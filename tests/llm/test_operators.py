@@ -273,6 +273,11 @@ def test_private_spans_equal_plain_patterns(spark):
     assert pii.report(spark, docs(spark, [])).count() == 0
 
 
+def test_mask_takes_the_union_of_overlapping_spans(spark):
+    got = pii.mask(spark, docs(spark, ["ip 10.0.0.4 111 1111 1111 1111 end", "card 4111 1111 1111 1111, ip 10.0.0.1"])).orderBy("doc_id").collect()
+    assert [(r.text, r.n_chars) for r in got] == [("ip <IP> end", 11), ("card <CARD>, ip <IP>", 20)]
+
+
 def test_label_model_finds_the_good_voters():
     rng = np.random.default_rng(0)
     y = rng.random(4000) < 0.2

@@ -192,8 +192,8 @@ def report(spark: SparkSession, docs: DataFrame, text: str = "text") -> DataFram
 def mask(spark: SparkSession, docs: DataFrame, text: str = "text") -> DataFrame:
     """docs with every found span replaced by its kind in angle brackets; counts of characters follow where given.
 
-    Spans are found once, then the text is rebuilt from code-point positions; of overlapping spans the earlier,
-    longer one stands.
+    Spans are found once, then the text is rebuilt from code-point positions; overlapping spans are replaced as one,
+    by the kind of the earliest, longest of them.
     """
     keyed = docs.withColumn("_row", F.monotonically_increasing_id())
     keyed = materialise(keyed, spark)
@@ -204,7 +204,7 @@ def mask(spark: SparkSession, docs: DataFrame, text: str = "text") -> DataFrame:
     def step(a: Column, s: Column) -> Column:
         fresh = s["start"] >= a["at"]
         more = F.concat(a["out"], F.substr(text, (a["at"] + 1).cast("int"), (s["start"] - a["at"]).cast("int")), s["tag"])
-        return F.struct(F.when(fresh, more).otherwise(a["out"]).alias("out"), F.when(fresh, -s["e"]).otherwise(a["at"]).alias("at"))
+        return F.struct(F.when(fresh, more).otherwise(a["out"]).alias("out"), F.greatest(-s["e"], a["at"]).alias("at"))
 
     start = F.struct(F.lit("").alias("out"), F.lit(0).cast("long").alias("at"))
     rebuilt = F.aggregate("_s", start, step, lambda a: F.concat(a["out"], F.substr(text, (a["at"] + 1).cast("int"), F.length(text))))
