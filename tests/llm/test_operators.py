@@ -343,6 +343,35 @@ def test_pipeline_stages_keep_columns_and_take_effect(spark, sf_dir):
     assert set(queries.oracle_sql()) <= set(queries.queries())
 
 
+def test_pipeline_equals_plain_stages_with_null_ids(spark, tmp_path):
+    import corpus_pipeline
+
+    rng = random.Random(21)
+    item, twin = words(rng, 20, 5000), words(rng, 60, 5000)
+    rows = [(i, words(rng, 50, 5000)) for i in range(8)] + [(None, words(rng, 50, 5000)) for _ in range(3)]
+    rows += [(20, twin), (None, edited(rng, twin, 1)), (None, twin), (3, words(rng, 50, 5000)), (None, f"{words(rng, 9)} {item} {words(rng, 9)}"), (21, f"{item} {words(rng, 30, 5000)}")]
+    rows += [(30, "mail a@b.cd " + words(rng, 30, 5000)), (None, None), (31, "")]
+    docs(spark, [x for _, x in rows], [i for i, _ in rows]).write.parquet(f"{tmp_path}/documents.parquet")
+    spark.createDataFrame([], "doc_id bigint, quality int, toxic int").write.parquet(f"{tmp_path}/labels.parquet")
+    spark.createDataFrame([(1, item)], "item_id bigint, text string").write.parquet(f"{tmp_path}/benchmark.parquet")
+
+    grams = lambda x: {tuple(ws[k : k + 5]) for ws in [(x or "").split()] for k in range(max(len(ws) - 4, min(len(ws), 1)))}
+    kept: list[tuple] = []
+    for i, x in sorted(rows, key=lambda r: (r[0] is None, r[0] or 0)):
+        g = grams(x)
+        if not any(g and 10 * len(g & grams(y)) >= 8 * len(g | grams(y)) for _, y in kept):
+            kept.append((i, x))
+    kept = [(i, x) for i, x in kept if 10 * len(grams(x) & grams(item)) < 8 * len(grams(item))]
+    kept = [(i, x and x.replace("a@b.cd", "<EMAIL>")) for i, x in kept]
+    d = spark.read.parquet(f"{tmp_path}/documents.parquet")
+    for name, stage in corpus_pipeline.STAGES[:-1]:
+        d = stage(spark, d, str(tmp_path))
+        d = corpus_pipeline.materialise(d, spark)
+    assert sorted(str((r.doc_id, r.text)) for r in d.collect()) == sorted(map(str, kept))
+    packed = corpus_pipeline.run(spark, str(tmp_path))
+    assert sorted(str(r.doc_id) for r in packed.collect()) == sorted(str(i) for i, _ in kept)
+
+
 def test_components_take_each_text_of_a_repeated_id(spark):
     """Id 1 carries two unrelated texts, each the near copy of another id's text."""
     rng = random.Random(31)

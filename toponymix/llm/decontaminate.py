@@ -119,9 +119,10 @@ def contained_items(spark: SparkSession, docs: DataFrame, items: DataFrame, thre
 
 
 def remove_contaminated(spark: SparkSession, docs: DataFrame, items: DataFrame, threshold: float = 0.8) -> DataFrame:
-    """The documents that hold no item."""
-    found = contained_items(spark, docs, items, threshold).select("doc_id").distinct()
-    return docs.join(found, "doc_id", "left_anti").select(*docs.columns)
+    """The rows that hold no item. Each row is judged by itself: its key is its place in the table, so null ids take part."""
+    row = F.monotonically_increasing_id()
+    found = contained_items(spark, docs.select(row.alias("doc_id"), "text"), items, threshold).select(F.col("doc_id").alias("_row")).distinct()
+    return docs.withColumn("_row", row).join(found, "_row", "left_anti").select(*docs.columns)
 
 
 ORACLE = r"""
