@@ -70,3 +70,14 @@ def test_alias_list_formats(spark, tmp_path):
         assert read_table(spark, str(tmp_path / fmt), fmt, ALIAS_LIST).collect() == df.collect()
     df.write.option("header", "true").csv(str(tmp_path / "csv"))
     assert load_alias_list(spark, str(tmp_path / "csv")).collect() == df.collect()
+
+
+def test_text_baselines_are_trained_inside_each_fold(spark):
+    """All seven methods have a row, and the labels of the test districts never reach the fold's model."""
+    t = Tables(spark, "/root/testdata/sf0.001")
+    rows = {r.method for r in workloads.table_one(t, ("T1", "T2", "T3", "M4")).collect()}
+    assert rows == {"T1", "T2", "T3", "M4"} and len(D.ALL_METHODS) == 7
+    assert {"e_table1_all", "e_cv_t2", "e_cv_t3", "e_transfer_t2", "e_transfer_t3"} <= set(workloads.queries())
+    whole = {(r.district, r.std_name, r.cand_name): r.score for r in D.fold_scored(t).where("fold = 0").collect()}
+    t.truth = t.truth.where("district not in (0, 1)")
+    assert {(r.district, r.std_name, r.cand_name): r.score for r in D.fold_scored(t).where("fold = 0").collect()} == whole

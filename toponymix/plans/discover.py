@@ -2,15 +2,20 @@
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..operators import divergence, footprint, locate, raster, score, textbase
+from ..operators import divergence, evaluate, footprint, locate, raster, score, textbase
 from ..sources.fixtures import Tables
+from ..sources.tables import settle
 
 #: The parameters the experiments use: window side in metres, raster resolution, smoothing of empty cells.
 WINDOW_M, GRID, EPS = 640.0, 50, 1e-3
 METHODS = ("T1", "M1", "M2", "M3", "M4")
+#: With the stand-ins of the neural text baselines, which no SQL scores.
+ALL_METHODS = ("T1", "T2", "T3", "M1", "M2", "M3", "M4")
 
 
 def author_sets(t: Tables) -> DataFrame:
@@ -47,6 +52,12 @@ def scored(t: Tables, method: str, n: int = GRID, side_m: float = WINDOW_M) -> D
     keys = ["city", "district", "std_name", "cand_name"]
     if method == "T1":
         return textbase.edit(all_pairs(t)).select(*keys, "score")
+    if method == "T2":
+        lab = settle(evaluate.label(all_pairs(t).select(*keys), t.truth))
+        return textbase.align_match(lab.where("city = 0"), lab.select(*keys)).select(*keys, "score")
+    if method == "T3":
+        names = t.standard.unionByName(score.candidates(t.address, t.standard))
+        return textbase.embed_match(all_pairs(t).select(*keys), names).select(*keys, "score")
     if method in ("M1", "M2"):
         d = score.distance(all_pairs(t), centroids(t) if method == "M1" else windows(t, side_m))
         return d.select(*keys, (-F.round("dist_m", 3)).alias("score"))
@@ -54,6 +65,18 @@ def scored(t: Tables, method: str, n: int = GRID, side_m: float = WINDOW_M) -> D
     return c.select(*keys, (-F.round("kl", 6) if method == "M3" else F.col("overlap")).alias("score"))
 
 
+def fold_scored(t: Tables) -> DataFrame:
+    """(fold, pair, score) of T2 in the source city: each fold's model sees the pairs of its training districts only."""
+    keys = ["city", "district", "std_name", "cand_name"]
+    lab = settle(evaluate.label(all_pairs(t).where("city = 0").select(*keys), t.truth))
+    training: dict[int, list[int]] = {}
+    for f, d, role in evaluate.folds():
+        if role == "train":
+            training.setdefault(f, []).append(d)
+    parts = [textbase.align_match(lab.where(F.col("district").isin(ds)), lab.select(*keys)).select(F.lit(f).alias("fold"), *keys, "score") for f, ds in training.items()]
+    return reduce(DataFrame.unionByName, parts)
+
+
 def discover(t: Tables, method: str = "M4", cut: float = 0.5, **params) -> DataFrame:
     """Accepted (standard, candidate) pairs at a given cut."""
     return score.matrix(score.accept(scored(t, method, **params), cut))
