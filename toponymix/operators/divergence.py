@@ -7,7 +7,7 @@ a cell are formed. Everything else about a pair follows from per-name totals in
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 PAIR = ["city", "district", "std_name", "cand_name"]
@@ -26,19 +26,37 @@ def shared_cells(shares: DataFrame, standard: DataFrame, candidates: DataFrame,
         keys = [*keys, "_salt"]
     grid = F.lit(float(n) * n) if n else F.col("n_grid").cast("double") * F.col("n_grid")
     q = (F.col("cn") + eps) / (F.col("ct") + F.lit(eps) * grid)
+    lift = lambda n: F.ln((F.col(n) + eps) / eps)
     return std.join(cand, keys).groupBy(*by, *PAIR).agg(
         F.count(F.lit(1)).alias("n_shared_cells"),
         F.sum("sn").alias("shared_std_n"),
         F.sum("cn").alias("shared_cand_n"),
         F.sum(F.col("sp") * F.ln(q)).alias("p_ln_q"),
+        F.sum(F.col("sn") * lift("cn")).alias("std_by_cand"),
+        F.sum(F.col("cn") * lift("sn")).alias("cand_by_std"),
         F.sum(F.col("sp") * F.ln(F.col("sp") / F.col("cp"))).alias("skip"),
         F.sum(F.col("cp") * F.ln(F.col("cp") / F.col("sp"))).alias("skip_reverse"),
         F.sum("sp").alias("mass"),
     )
 
 
-def totals(shares: DataFrame, by: list[str]) -> DataFrame:
-    return shares.groupBy(*by, "city", "district", "place_name").agg(F.sum("n").alias("total"), F.sum(F.col("p") * F.ln("p")).alias("plogp"))
+def totals(shares: DataFrame, by: list[str], eps: float) -> DataFrame:
+    """Per name: pings, sum of p ln p, and what smoothing its own cells adds (`lifted` by n + eps, `rim` by eps alone)."""
+    lift = F.ln((F.col("n") + eps) / eps)
+    sums = [F.sum("n").alias("total"), F.sum(F.col("p") * F.ln("p")).alias("plogp"), F.sum((F.col("n") + eps) * lift).alias("lifted"), F.sum(eps * lift).alias("rim")]
+    return shares.groupBy(*by, "city", "district", "place_name").agg(*sums)
+
+
+def smoothed_both(eps: float, grid: Column) -> tuple[Column, Column]:
+    """KL of standard to candidate and back when eps is added to every cell of both.
+
+    Against the log of eps each cell's log is zero outside its own footprint, so the sum over all cells of the raster needs
+    per-name sums and the shared cells only.
+    """
+    s, c, zero = F.col("total_std") + eps * grid, F.col("total_cand") + eps * grid, F.lit(0.0)
+    there = F.ln(c / s) + (F.col("lifted_std") - F.col("rim_cand") - F.coalesce("std_by_cand", zero)) / s
+    back = F.ln(s / c) + (F.col("lifted_cand") - F.col("rim_std") - F.coalesce("cand_by_std", zero)) / c
+    return there, back
 
 
 def compare(shares: DataFrame, pairs: DataFrame, standard: DataFrame, candidates: DataFrame, eps: float = 1e-3, n: int | None = 50, by: list[str] | None = None, zero_policy: str = "smooth", salt: int = 1) -> DataFrame:
@@ -46,13 +64,14 @@ def compare(shares: DataFrame, pairs: DataFrame, standard: DataFrame, candidates
 
     zero_policy: `smooth` adds eps to every candidate cell and renormalises; `strict` is infinite where the standard
     name has mass that the candidate lacks; `skip` sums over shared cells only; `reverse` is `skip` from candidate to
-    standard. A pair with an empty footprint has nulls.
+    standard; `smooth_both` adds eps to every cell of both names; `symmetric` is the mean of its two directions. A pair
+    with an empty footprint has nulls.
     """
     by = by or []
     cells = shared_cells(shares, standard, candidates, eps, n, by, salt)
-    t = totals(shares, by)
-    s = t.select(*by, "city", "district", F.col("place_name").alias("std_name"), F.col("total").alias("total_std"), "plogp")
-    c = t.select(*by, "city", "district", F.col("place_name").alias("cand_name"), F.col("total").alias("total_cand"))
+    t = totals(shares, by, eps)
+    s = t.select(*by, "city", "district", F.col("place_name").alias("std_name"), F.col("total").alias("total_std"), "plogp", F.col("lifted").alias("lifted_std"), F.col("rim").alias("rim_std"))
+    c = t.select(*by, "city", "district", F.col("place_name").alias("cand_name"), F.col("total").alias("total_cand"), F.col("lifted").alias("lifted_cand"), F.col("rim").alias("rim_cand"))
     zero = F.lit(0).cast("bigint")
     joined = pairs.join(s, [*by, "city", "district", "std_name"], "left").join(c, [*by, "city", "district", "cand_name"], "left").join(cells, [*by, *PAIR], "left")
     joined = joined.withColumns({k: F.coalesce(k, zero) for k in ("n_shared_cells", "shared_std_n", "shared_cand_n")})
@@ -62,7 +81,10 @@ def compare(shares: DataFrame, pairs: DataFrame, standard: DataFrame, candidates
     missing = F.when(F.col("shared_std_n") == F.col("total_std"), 0.0).otherwise(1 - F.coalesce("mass", F.lit(0.0)))
     smooth = F.col("plogp") - F.coalesce("p_ln_q", F.lit(0.0)) - missing * F.ln(F.lit(eps) / (F.col("total_cand") + F.lit(eps) * grid))
     infinite = F.col("shared_std_n") < F.col("total_std")
+    there, back = smoothed_both(eps, grid)
     kl = {
+        "smooth_both": there,
+        "symmetric": (there + back) / 2,
         "smooth": smooth,
         "strict": F.when(infinite, F.lit(float("inf"))).otherwise(F.col("skip")),
         "skip": F.when(none, 0.0).otherwise(F.col("skip")),

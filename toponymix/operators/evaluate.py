@@ -42,13 +42,19 @@ def confusion(decided: DataFrame, truth: DataFrame, by: list[str] | None = None)
     return both.select(*by, "n_accepted", "n_correct", "n_true", *measures(F.col("n_correct"), F.col("n_accepted"), F.col("n_true")))
 
 
+def slab(score: Column) -> Column:
+    """The range of a score: a step function of it that never falls, about 256 steps a factor of e beyond 1e-6."""
+    return F.floor(F.signum(score) * F.log1p(F.abs(score) * 1e6) * 256)
+
+
 def pr_curve(labelled: DataFrame, n_true: DataFrame, by: list[str]) -> DataFrame:
     """One row per distinct score: what accepting that score and all above gives. Ties enter together.
 
-    Running counts come in two levels, inside score ranges and over range totals, so no task sorts all scores of a run.
+    Running counts come in two levels, inside score ranges (`slab`) and over range totals, so no task sorts all scores of
+    a run. The slab never falls as the score grows, through zero and over both signs, so ranges don't interleave.
     """
-    ties = labelled.where(F.col("score").isNotNull()).groupBy(*by, "score").agg(F.count(F.lit(1)).alias("k"), F.sum("hit").alias("h"))
-    ties = ties.withColumn("slab", F.floor(F.log2(F.greatest(F.abs("score"), F.lit(1e-12))) * 16).cast("int") * F.signum("score").cast("int"))
+    ties = labelled.where(F.col("score").isNotNull() & ~F.isnan("score")).groupBy(*by, "score").agg(F.count(F.lit(1)).alias("k"), F.sum("hit").alias("h"))
+    ties = settle(ties.withColumn("slab", slab(F.col("score"))))
     inner = W.partitionBy(*by, "slab").orderBy(F.desc("score")).rowsBetween(W.unboundedPreceding, 0)
     outer = W.partitionBy(*by).orderBy(F.desc("top")).rowsBetween(W.unboundedPreceding, -1)
     slabs = ties.groupBy(*by, "slab").agg(F.max("score").alias("top"), F.sum("k").alias("k"), F.sum("h").alias("h"))

@@ -62,7 +62,9 @@ def rollup(auth: DataFrame, partials: DataFrame, *cell: str) -> DataFrame:
 
 
 def sizes(auth: DataFrame, pings: DataFrame) -> DataFrame:
-    """Users, pings and distinct points per name."""
-    return build(auth, pings).groupBy("place_name").agg(
-        F.countDistinct("user_id").alias("n_users"), F.count(F.lit(1)).alias("n_pings"), F.countDistinct("lat_u", "lon_u").alias("n_points_distinct")
-    )
+    """Users, pings and distinct points per name; pings are reduced per user and point before they meet the author sets."""
+    spots = pings.groupBy("user_id", "lat_u", "lon_u").agg(F.count(F.lit(1)).alias("n"))
+    per_user = pings.groupBy("user_id").agg(F.count(F.lit(1)).alias("n"))
+    totals = auth.join(per_user, "user_id").groupBy("place_name").agg(F.count(F.lit(1)).alias("n_users"), F.sum("n").alias("n_pings"))
+    points = auth.join(spots, "user_id").select("place_name", "lat_u", "lon_u").distinct().groupBy("place_name").agg(F.count(F.lit(1)).alias("n_points_distinct"))
+    return totals.join(points, "place_name")

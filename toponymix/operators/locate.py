@@ -1,4 +1,4 @@
-"""Anchors: overall centroid and centroid of the densest window, in four engines."""
+"""Anchors: overall centroid and centroid of the densest window, in four engines (`bounded` is the one for large footprints)."""
 
 from __future__ import annotations
 
@@ -7,6 +7,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ..functions.geo import degrees, extent_u
+from ..sources.tables import settle
 
 NAME = ["city", "place_name"]
 
@@ -30,31 +31,33 @@ def _of_city(values: dict[int, int]) -> Column:
 
 
 def _with_extents(points: DataFrame, box: DataFrame, side_m: float) -> DataFrame:
+    """Adds the window extents and the multiplicity k of a ping."""
     e = extents(box, side_m)
-    return points.withColumns({"dlat": _of_city({k: v[0] for k, v in e.items()}), "dlon": _of_city({k: v[1] for k, v in e.items()})})
+    return points.withColumns({"dlat": _of_city({k: v[0] for k, v in e.items()}), "dlon": _of_city({k: v[1] for k, v in e.items()}), "k": F.lit(1).cast("bigint")})
 
 
-def densest_window(points: DataFrame, box: DataFrame, side_m: float = 640.0, engine: str = "sql", bins: int = 16) -> DataFrame:
+def densest_window(points: DataFrame, box: DataFrame, side_m: float = 640.0, engine: str = "bounded", bins: int = 16) -> DataFrame:
     """(city, place_name, n_window, lat0_u, lon0_u, lat, lon): the closed window with most pings and its centroid.
 
-    Lower edges lie on pings of the window; ties go to the smallest (lat0_u, lon0_u). Engines: `sql` (all edges), `bounded` (prunes by
-    counts of d-cells, then `sql`), `sweep` (one pandas group per footprint), `microbin` (bounds of the count only).
+    Lower edges lie on pings of the window; ties go to the smallest (lat0_u, lon0_u). Engines: `bounded` (bounds from counts of
+    half-cells leave few blocks per name, each swept by itself), `sql` (all edges), `sweep` (one pandas group per
+    footprint), `microbin` (bounds of the count only).
     """
     e = extents(box, side_m)
     pts = _with_extents(points, box, side_m)
     if engine == "microbin":
         return _microbin(pts, bins)
-    if engine == "sweep":
-        best = _sweep(pts)
+    if engine == "bounded":
+        pts, best = _blocks(pts)
     else:
-        best = _windows(_survivors(pts) if engine == "bounded" else pts, e)
+        best = _sweep(pts) if engine == "sweep" else _windows(pts, e)
     near = pts.join(best, NAME).where(F.col("lat_u").between(F.col("lat0_u"), F.col("lat0_u") + F.col("dlat")) & F.col("lon_u").between(F.col("lon0_u"), F.col("lon0_u") + F.col("dlon")))
-    out = near.groupBy(*NAME, "n_window", "lat0_u", "lon0_u").agg(F.sum("lat_u").alias("a"), F.sum("lon_u").alias("b"))
+    out = near.groupBy(*NAME, "n_window", "lat0_u", "lon0_u").agg(F.sum(F.col("lat_u") * F.col("k")).alias("a"), F.sum(F.col("lon_u") * F.col("k")).alias("b"))
     return out.select(*NAME, "n_window", "lat0_u", "lon0_u", degrees(F.col("a") / F.col("n_window")).alias("lat"), degrees(F.col("b") / F.col("n_window")).alias("lon"))
 
 
 def _windows(pts: DataFrame, e: dict[int, tuple[int, int]]) -> DataFrame:
-    strip = F.expr("lat_u div dlat")
+    strip = F.expr("floor(lat_u / dlat)")
     edges = pts.select(*NAME, F.col("lat_u").alias("lat0_u"), "dlat", strip.alias("s")).distinct()
     edges = edges.withColumn("s", F.explode(F.array(F.col("s"), F.col("s") + 1)))
     inside = edges.join(pts.select(*NAME, "lat_u", "lon_u", strip.alias("s")), [*NAME, "s"])
@@ -69,46 +72,79 @@ def _windows(pts: DataFrame, e: dict[int, tuple[int, int]]) -> DataFrame:
     return counted.groupBy(*NAME).agg(top).select(*NAME, F.col("t.n").alias("n_window"), (-F.col("t.a")).alias("lat0_u"), (-F.col("t.b")).alias("lon0_u"))
 
 
-def _survivors(pts: DataFrame) -> DataFrame:
-    """Pings in 2x2 blocks of d-cells whose total reaches the name's fullest cell: no other block can hold the optimum."""
-    cells = pts.select(*NAME, F.expr("lat_u div dlat").alias("i"), F.expr("lon_u div dlon").alias("j")).groupBy(*NAME, "i", "j").agg(F.count(F.lit(1)).alias("n"))
-    lower = cells.groupBy(*NAME).agg(F.max("n").alias("least"))
-    shift = F.explode(F.array(*[F.struct(F.lit(a).alias("a"), F.lit(b).alias("b")) for a in (0, 1) for b in (0, 1)])).alias("d")
-    blocks = cells.select(*NAME, "i", "j", "n", shift).groupBy(*NAME, (F.col("i") - F.col("d.a")).alias("bi"), (F.col("j") - F.col("d.b")).alias("bj")).agg(F.sum("n").alias("most"))
-    kept = blocks.join(lower, NAME).where("most >= least").select(*NAME, "bi", "bj", shift)
-    kept = kept.select(*NAME, (F.col("bi") + F.col("d.a")).alias("i"), (F.col("bj") + F.col("d.b")).alias("j")).distinct()
-    return pts.withColumns({"i": F.expr("lat_u div dlat"), "j": F.expr("lon_u div dlon")}).join(kept, [*NAME, "i", "j"], "left_semi").drop("i", "j")
+def _block_bounds(cells: DataFrame) -> DataFrame:
+    """(name, bi, bj) of the half-cells in which the lower corner of a best window can lie.
 
-
-def _sweep(pts: DataFrame) -> DataFrame:
+    A box of 2x2 half-cells fits a window, so the fullest one bounds the optimum from below; a window with its corner in
+    a half-cell lies in the 3x3 half-cells from there, so their total bounds it from above.
+    """
+    near = F.explode(F.array(*[F.struct(F.lit(a).alias("a"), F.lit(b).alias("b")) for a in range(3) for b in range(3)])).alias("d")
+    boxes = cells.select(*NAME, "i", "j", "k", near).groupBy(*NAME, (F.col("i") - F.col("d.a")).alias("bi"), (F.col("j") - F.col("d.b")).alias("bj"))
+    inner = (F.col("d.a") < 2) & (F.col("d.b") < 2)
+    boxes = settle(boxes.agg(F.sum("k").alias("most"), F.sum(F.when(inner, F.col("k"))).alias("fits"), F.max((F.col("d.a") == 0).cast("int")).alias("row"), F.max((F.col("d.b") == 0).cast("int")).alias("col")))
+    lower = boxes.groupBy(*NAME).agg(F.max("fits").alias("least"))
+    # Both edges lie on pings, so the first row and the first column of the block hold some.
+    return boxes.where("row = 1 and col = 1").join(lower, NAME).where("most >= least").select(*NAME, "bi", "bj")
+
+
+def _blocks(pts: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """(pings of surviving blocks with multiplicity k, the best window per name). Footprints are read twice, then only survivors."""
+    half = {"i": F.expr("floor(lat_u * 2 / dlat)"), "j": F.expr("floor(lon_u * 2 / dlon)")}
+    cells = pts.withColumns(half).groupBy(*NAME, "i", "j").agg(F.count(F.lit(1)).alias("k"))
+    corners = settle(_block_bounds(cells))
+    around = F.explode(F.array(*[F.struct(F.lit(a).alias("a"), F.lit(b).alias("b")) for a in range(3) for b in range(3)])).alias("d")
+    blocks = corners.select(*NAME, "bi", "bj", around).select(*NAME, "bi", "bj", (F.col("bi") + F.col("d.a")).alias("i"), (F.col("bj") + F.col("d.b")).alias("j"))
+    held = pts.withColumns(half).join(blocks.select(*NAME, "i", "j").distinct(), [*NAME, "i", "j"], "left_semi")
+    held = settle(held.groupBy(*NAME, "lat_u", "lon_u", "dlat", "dlon", "i", "j").agg(F.count(F.lit(1)).alias("k")))
+    swept = _sweep(held.join(blocks, [*NAME, "i", "j"]), ["bi", "bj"])
+    top = F.max(F.struct("n_window", (-F.col("lat0_u")).alias("a"), (-F.col("lon0_u")).alias("b"))).alias("t")
+    best = swept.groupBy(*NAME).agg(top).select(*NAME, F.col("t.n_window").alias("n_window"), (-F.col("t.a")).alias("lat0_u"), (-F.col("t.b")).alias("lon0_u"))
+    return held, best
+
+
+def _sweep(pts: DataFrame, block: list[str] | None = None) -> DataFrame:
+    """The best window of each name, or of each block of a name: lower edges then lie in the block's first row and column."""
     import numpy as np
     import pandas as pd
 
     def one(key: tuple, g: pd.DataFrame) -> pd.DataFrame:
-        lat, lon = g["lat_u"].to_numpy(), g["lon_u"].to_numpy()
+        lat, lon, k = g["lat_u"].to_numpy(), g["lon_u"].to_numpy(), g["k"].to_numpy()
         dlat, dlon = int(g["dlat"].iloc[0]), int(g["dlon"].iloc[0])
-        by = np.argsort(lat, kind="stable")
-        lat, lon = lat[by], lon[by]
+        by = np.argsort(lon, kind="stable")
+        lat, lon, k = lat[by], lon[by], k[by]
+        first = np.ones(len(lat), bool)
+        if block:
+            first = lat * 2 // dlat == key[2]
+        column = lon * 2 // dlon == key[3] if block else first
+        # Strips by falling number of pings: the sweep ends where no strip can beat the best window.
+        edges = np.unique(lat[first])
+        order = np.sort(lat)
+        total = np.append(0, np.cumsum(k[np.argsort(lat, kind="stable")]))
+        held = total[np.searchsorted(order, edges + dlat, side="right")] - total[np.searchsorted(order, edges)]
         best = (0, 0, 0)
-        for a in np.unique(lat):
-            i, j = np.searchsorted(lat, [a, a + dlat + 1])
-            if j - i < best[0]:
-                continue
-            x = np.sort(lon[i:j])
-            edge = np.sort(lon[i : np.searchsorted(lat, a + 1)])
+        for e in np.argsort(-held, kind="stable"):
+            a = edges[e]
+            if held[e] < best[0]:
+                break
+            inside = (lat >= a) & (lat <= a + dlat)
+            x, y, starts = lon[inside], lat[inside], column[inside]
+            upto = np.append(0, np.cumsum(k[inside]))
+            edge = x[y == a]
             at = np.searchsorted(edge, x)
-            held = (at < len(edge)) & (edge[np.minimum(at, len(edge) - 1)] <= x + dlon)
-            n = np.where(held, np.searchsorted(x, x + dlon, side="right") - np.searchsorted(x, x), 0)
-            k = int(np.argmax(n))
-            best = max(best, (int(n[k]), -int(a), -int(x[k])))
-        return pd.DataFrame([(*key, best[0], -best[1], -best[2])], columns=[*NAME, "n_window", "lat0_u", "lon0_u"])
+            ok = starts & (at < len(edge)) & (edge[np.minimum(at, len(edge) - 1)] <= x + dlon)
+            n = np.where(ok, upto[np.searchsorted(x, x + dlon, side="right")] - upto[np.searchsorted(x, x)], 0)
+            i = int(np.argmax(n))
+            if n[i]:
+                best = max(best, (int(n[i]), -int(a), -int(x[i])))
+        found = [(*key[:2], best[0], -best[1], -best[2])] if best[0] else []
+        return pd.DataFrame(found, columns=[*NAME, "n_window", "lat0_u", "lon0_u"])
 
-    return pts.groupBy(*NAME).applyInPandas(one, "city int, place_name string, n_window bigint, lat0_u bigint, lon0_u bigint")
+    return pts.groupBy(*NAME, *(block or [])).applyInPandas(one, "city int, place_name string, n_window bigint, lat0_u bigint, lon0_u bigint")
 
 
 def _microbin(pts: DataFrame, bins: int) -> DataFrame:
     """(city, place_name, lower, upper): counts of the best boxes of `bins` and `bins`+1 sub-bins bound the optimum."""
-    cell = pts.select(*NAME, F.expr(f"lat_u * {bins} div dlat").alias("i"), F.expr(f"lon_u * {bins} div dlon").alias("j")).groupBy(*NAME, "i", "j").agg(F.count(F.lit(1)).alias("n"))
+    cell = pts.select(*NAME, F.expr(f"floor(lat_u * {bins} / dlat)").alias("i"), F.expr(f"floor(lon_u * {bins} / dlon)").alias("j")).groupBy(*NAME, "i", "j").agg(F.count(F.lit(1)).alias("n"))
     # Every box that matters has its lower row on an occupied row: rows are copied down, then columns summed by frames.
     out = None
     for label, side in (("lower", bins), ("upper", bins + 1)):

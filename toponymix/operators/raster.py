@@ -3,11 +3,12 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame
-from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from ..sources.tables import settle
+
 #: Resolution from which all its divisors roll up exactly.
-BASE = 3000
+BASE = 6000
 
 
 def assign(pings: DataFrame, box: DataFrame, n: int = 50, outside: str = "drop") -> DataFrame:
@@ -39,14 +40,36 @@ def coarsen(dens: DataFrame, base: int, n: int) -> DataFrame:
     return coarse.groupBy("city", "district", "place_name", "r", "c").agg(F.sum("n").alias("n"))
 
 
+def parents(sizes: list[int], base: int = BASE) -> dict[int, int]:
+    """Size -> the smallest larger size that it divides, or the base: what each level is rolled up from."""
+    if bad := [n for n in sizes if base % n]:
+        raise ValueError(f"{bad} do not divide {base}")
+    return {n: min((m for m in sizes if m > n and m % n == 0), default=base) for n in sizes}
+
+
 def pyramid(dens: DataFrame, sizes: list[int], base: int = BASE) -> DataFrame:
-    """All resolutions at once with a column n_grid; one pass over the base density."""
-    each = F.explode(F.array(*[F.lit(s) for s in sizes])).alias("n_grid")
-    out = dens.select("*", each).withColumns({"r": F.expr(f"cast(r div ({base} div n_grid) as int)"), "c": F.expr(f"cast(c div ({base} div n_grid) as int)")})
-    return out.groupBy("n_grid", "city", "district", "place_name", "r", "c").agg(F.sum("n").alias("n"))
+    """All resolutions at once with a column n_grid: the base is read for the finest ones only, the rest roll up from those."""
+    of = parents(sizes, base)
+    keys = ["n_grid", "city", "district", "place_name", "r", "c"]
+
+    def level(upper: DataFrame, wanted: list[int]) -> DataFrame:
+        pairs = F.explode(F.array(*[F.struct(F.lit(of[n]).alias("of"), F.lit(n).alias("n")) for n in wanted])).alias("x")
+        out = upper.select("*", pairs).where("n_grid = x.of")
+        cell = lambda v: F.expr(f"cast({v} div (n_grid div x.n) as int)")
+        return out.select(F.col("x.n").alias("n_grid"), *keys[1:4], cell("r").alias("r"), cell("c").alias("c"), "n").groupBy(*keys).agg(F.sum("n").alias("n"))
+
+    upper, todo, out = dens.withColumn("n_grid", F.lit(base)), list(sizes), None
+    above = {base}
+    while todo:
+        wanted = [n for n in todo if of[n] in above]
+        upper = settle(level(upper, wanted))
+        out = upper if out is None else out.unionByName(upper)
+        todo, above = [n for n in todo if n not in wanted], set(wanted)
+    return out
 
 
 def share(dens: DataFrame, *by: str) -> DataFrame:
-    """Adds total and p = n / total per name."""
-    w = W.partitionBy(*by, "city", "place_name")
-    return dens.withColumn("total", F.sum("n").over(w)).withColumn("p", F.col("n") / F.col("total"))
+    """Adds total and p = n / total per name; totals are summed before the join, so a large footprint stays spread."""
+    keys = [*by, "city", "place_name"]
+    totals = dens.groupBy(*keys).agg(F.sum("n").alias("total"))
+    return dens.join(totals, keys).withColumn("p", F.col("n") / F.col("total"))

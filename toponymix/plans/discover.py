@@ -30,7 +30,7 @@ def centroids(t: Tables) -> DataFrame:
     return locate.centroid(footprint.rollup(author_sets(t), footprint.user_partials(t.ping)))
 
 
-def windows(t: Tables, side_m: float = WINDOW_M, engine: str = "sql") -> DataFrame:
+def windows(t: Tables, side_m: float = WINDOW_M, engine: str = "bounded") -> DataFrame:
     return locate.densest_window(footprint.build(author_sets(t), t.ping), t.box, side_m, engine)
 
 
@@ -40,7 +40,8 @@ def densities(t: Tables, n: int = GRID) -> DataFrame:
 
 def compared(t: Tables, n: int = GRID, zero_policy: str = "smooth") -> DataFrame:
     cand = score.candidates(t.address, t.standard)
-    return divergence.compare(raster.share(densities(t, n)), score.within_district(t.standard, cand), t.standard, cand, EPS, n, zero_policy=zero_policy)
+    shares = settle(raster.share(settle(densities(t, n))))  # the comparison reads the shares three times
+    return divergence.compare(shares, score.within_district(t.standard, cand), t.standard, cand, EPS, n, zero_policy=zero_policy)
 
 
 def scored(t: Tables, method: str, n: int = GRID, side_m: float = WINDOW_M) -> DataFrame:
@@ -85,7 +86,7 @@ def discover(t: Tables, method: str = "M4", cut: float = 0.5, **params) -> DataF
 def resolution_scores(t: Tables, sizes: list[int]) -> DataFrame:
     """(method, n_grid, pair, score) of M3 and M4 at every resolution, from one pass over a base raster."""
     cand = score.candidates(t.address, t.standard)
-    shares = raster.share(raster.pyramid(densities(t, raster.BASE), sizes), "n_grid")
+    shares = settle(raster.share(raster.pyramid(settle(densities(t, raster.BASE)), sizes), "n_grid"))
     grid = F.explode(F.array(*[F.lit(s) for s in sizes])).alias("n_grid")
     pairs = score.within_district(t.standard, cand).select(grid, "*")
     c = divergence.compare(shares, pairs, t.standard, cand, EPS, None, by=["n_grid"])

@@ -243,6 +243,16 @@ def _kl(policy: str) -> Callable[[Tables], DataFrame]:
 
 for _policy, _col in (("smooth", "smooth"), ("strict", "CASE WHEN NOT is_inf THEN skip END"), ("skip", "skip"), ("reverse", "rev")):
     register(f"m3_kl_{_policy}", _kl(_policy), f"SELECT {KEYS}, n_shared_cells, round({_col}, 6) AS kl, is_inf::INT AS is_inf FROM cmp", *_RASTER)
+# Both sides smoothed, by the definition: terms of the cells that either name holds, and one term for each cell of neither.
+BOTH_SQL = """either AS (SELECT p.city, p.district, p.std_name, p.cand_name, r, c, max(sn) AS sn, max(cn) AS cn FROM (
+    SELECT p.*, s.r, s.c, s.n AS sn, 0 AS cn FROM pairs p JOIN shr s ON s.place_name = p.std_name AND s.district = p.district
+    UNION ALL SELECT p.*, s.r, s.c, 0, s.n FROM pairs p JOIN shr s ON s.place_name = p.cand_name AND s.district = p.district) p GROUP BY ALL),
+q2 AS (SELECT e.std_name, e.cand_name, s.total + 2.5e0 AS st, c.total + 2.5e0 AS ct, (sn + 1e-3) / st AS a, (cn + 1e-3) / ct AS b
+  FROM either e JOIN tot s ON s.place_name = e.std_name AND s.district = e.district JOIN tot c ON c.place_name = e.cand_name AND c.district = e.district),
+both2 AS (SELECT std_name, cand_name, sum(a * ln(a / b)) + (2500 - count(*)) * (1e-3 / any_value(st)) * ln(any_value(ct) / any_value(st)) AS kl, sum(b * ln(b / a)) + (2500 - count(*)) * (1e-3 / any_value(ct)) * ln(any_value(st) / any_value(ct)) AS back
+  FROM q2 GROUP BY 1, 2)"""
+for _policy, _col in (("smooth_both", "kl"), ("symmetric", "(kl + back) / 2")):
+    register(f"m3_kl_{_policy}", lambda t, p=_policy: _kl(p)(t).drop("is_inf"), f"SELECT {', '.join('c.' + k for k in KEYS.split(', '))}, n_shared_cells, round({_col}, 6) AS kl FROM cmp c LEFT JOIN both2 b ON b.std_name = c.std_name AND b.cand_name = c.cand_name", *_RASTER, BOTH_SQL)
 register(
     "m3_score",
     lambda t: score.distribution(D.compared(t), "M3").select("city", "district", "std_name", "cand_name", F.round("kl", 6).alias("kl"), F.round("score", 4).alias("score")),
@@ -385,7 +395,7 @@ register(
     *sql_scored(["T1", "M4"]),
     *sql_eval(),
 )
-SIZES = [20, 50, 100, 150, 300, 500]
+SIZES = [20, 50, 100, 150, 200, 250, 300, 400, 500]
 
 
 def resolution(t: Tables, sizes: list[int] | None = None) -> DataFrame:

@@ -15,9 +15,9 @@ from .tables import load, settle
 
 BASE = ("region", "nation", "customer", "supplier", "part", "orders", "lineitem", "events", "documents", "embeddings", "pages", "benchmark", "labels", "conversations")
 
-_WRITTEN: dict[tuple[str, str, str], DataFrame] = {}
-#: Views of at most a few rows per customer or supplier.
-KEPT = ("place", "place_name", "resident", "address", "truth")
+_WRITTEN: dict[tuple[str, ...], DataFrame] = {}
+#: The entity tables that workloads read, written once as a pipeline would keep them.
+KEPT = ("place", "place_name", "resident", "address", "truth", "ping")
 
 
 def views(spark_dialect: bool) -> dict[str, str]:
@@ -112,12 +112,22 @@ class Tables:
         return self._made[name]
 
     def _settled(self, name: str, made: DataFrame) -> DataFrame:
-        """Written once per session and scale, as a pipeline would keep its entity tables."""
-        key = (self.spark.sparkContext.applicationId, self.dir, name)
+        """Written once per session, scale and state of the inputs, as a pipeline would keep its entity tables."""
+        key = (self.spark.sparkContext.applicationId, self.dir, name, self._stamp)
         if key not in _WRITTEN:
             _WRITTEN[key] = settle(made)
         return _WRITTEN[key]
 
+    @cached_property
+    def _stamp(self) -> str:
+        """Lengths and times of the input files: a changed input gets views of its own."""
+        jvm, out = self.spark.sparkContext._jvm, []
+        for b in ("nation", "customer", "supplier", "part", "orders", "lineitem"):
+            path = jvm.org.apache.hadoop.fs.Path(f"{self.dir}/{b}.parquet")
+            fs = path.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration())
+            out.append(f"{fs.getContentSummary(path).getLength()}@{fs.getFileStatus(path).getModificationTime()}")
+        return ",".join(out)
+
     @cached_property
     def address(self) -> DataFrame:
         return self.view("address").select("user_id", "addr_seq", "city", "district", "place_name", "addr_text")

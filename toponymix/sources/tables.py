@@ -40,11 +40,14 @@ def save_bucketed(df: DataFrame, table: str, buckets: int = 512) -> None:
 
 
 def scratch_dir(spark: SparkSession) -> str:
-    """The folder shared by driver and executors; a local one only where the session names none."""
-    named = spark.sparkContext.getCheckpointDir() or spark.conf.get("spark.checkpoint.dir", None)
+    """The folder shared by driver and executors. Where the session names none, only a single-machine session gets one."""
+    sc = spark.sparkContext
+    named = sc.getCheckpointDir() or spark.conf.get("spark.checkpoint.dir", None)
     if not named:
-        named = f"/tmp/checkpoints/{spark.sparkContext.applicationId}"
-        spark.sparkContext.setCheckpointDir(named)
+        if sc.master.split("[")[0] != "local":
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+        named = f"/tmp/checkpoints/{sc.applicationId}"
+        sc.setCheckpointDir(named)
     return named
 
 
