@@ -171,6 +171,26 @@ def test_suffix_dedup_equals_brute_force(spark, monkeypatch, most):
     assert suffix_dedup.dedup(spark, docs(spark, [])).count() == 0
 
 
+@pytest.mark.parametrize("most", [1200, 1])
+def test_passages_of_fifty_words_repeat_across_documents(spark, monkeypatch, most):
+    """Words in 50-word runs that another document holds; a document's own repeats, short runs and other cases don't count."""
+    monkeypatch.setattr(suffix_dedup, "GROUP_PIECES", most)
+    rng = random.Random(17)
+    short = lambda n: " ".join(rng.choice("abcdefghij") + str(rng.randrange(10)) for _ in range(n))
+    p, q, r, s = short(51), short(80), short(49), short(60)
+    texts = [f"{short(30)} {p} {short(20)}", f"{p.upper()}\n{short(9)}", f"{s} x {s}", f"{short(40)} {q}", f"{q} {r}", f"{r} {short(70)} {p} y {p}", None, "", f"{q} {short(5)}", edited(rng, short(200), 0)]
+    got = {x.doc_id: x.n_passage_words for x in suffix_dedup.dedup(spark, docs(spark, texts)).collect()}
+    words_of = [(x or "").lower().split() for x in texts]
+    held: dict[tuple, set] = {}
+    for i, ws in enumerate(words_of):
+        for k in range(len(ws) - 49):
+            held.setdefault(tuple(ws[k : k + 50]), set()).add(i)
+    for i, ws in enumerate(words_of):
+        inside = {k + d for k in range(len(ws) - 49) if len(held[tuple(ws[k : k + 50])]) > 1 for d in range(50)}
+        assert got[i] == len(inside)
+    assert [got[i] > 0 for i in range(10)] == [True, True, False, True, True, True, False, False, True, False]
+
+
 def brute_components(texts, ids, t):
     sets = []
     for x in texts:

@@ -3,8 +3,11 @@
 from __future__ import annotations
 
 import atexit
+import itertools
+import re
 import uuid
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
+from contextlib import contextmanager
 
 import numpy as np
 import pyarrow as pa
@@ -22,29 +25,45 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share; a local one is set only where the session names none."""
-    named = spark.sparkContext.getCheckpointDir() or spark.conf.get("spark.checkpoint.dir", None)
+    """The folder that driver and executors share. Where the session names none, only a single-machine session gets one."""
+    sc = spark.sparkContext
+    named = sc.getCheckpointDir() or spark.conf.get("spark.checkpoint.dir", None)
     if not named:
-        named = f"/tmp/checkpoints/{spark.sparkContext.applicationId}"
-        spark.sparkContext.setCheckpointDir(named)
+        if not re.match(r"local(\[[^\]]*\])?$", sc.master):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+        named = f"/tmp/checkpoints/{sc.applicationId}"
+        sc.setCheckpointDir(named)
     return named
 
 
 def _remove(spark: SparkSession, path: str) -> None:
-    try:
-        jvm, sc = spark.sparkContext._jvm, spark.sparkContext._jsc
-        where = jvm.org.apache.hadoop.fs.Path(path)
-        where.getFileSystem(sc.hadoopConfiguration()).delete(where, True)
-    except Exception:  # the session may be gone at exit; the scratch table then stays
+    """Deletes a scratch folder while the session lives; at exit after its end the folder stays."""
+    if spark.sparkContext._jsc is None or spark.sparkContext._jsc.sc().isStopped():
         return
+    where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
+
+
+def _written(df: DataFrame, spark: SparkSession, path: str) -> DataFrame:
+    df.write.parquet(path)
+    return spark.read.schema(df.schema).parquet(path)
 
 
 def materialise(df: DataFrame, spark: SparkSession) -> DataFrame:
     """Write df once as a table in the shared folder and read it back: cuts lineage, survives lost executors."""
     path = f"{shared_dir(spark)}/scratch-{uuid.uuid4().hex}"
-    df.write.parquet(path)
     atexit.register(_remove, spark, path)
-    return spark.read.schema(df.schema).parquet(path)
+    return _written(df, spark, path)
+
+
+@contextmanager
+def scratch(spark: SparkSession) -> Iterator[Callable[[DataFrame], DataFrame]]:
+    """Tables like those of `materialise` that go when the block ends; what leaves the block must not read them."""
+    folder, n = f"{shared_dir(spark)}/scratch-{uuid.uuid4().hex}", itertools.count()
+    try:
+        yield lambda df: _written(df, spark, f"{folder}/{next(n)}")
+    finally:
+        _remove(spark, folder)
 
 
 def partitions(spark: SparkSession) -> int:
