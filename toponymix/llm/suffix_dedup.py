@@ -40,11 +40,15 @@ class Unit:
     words: bool = False
     across: bool = False
 
+    @property
+    def group_pieces(self) -> int:
+        return GROUP_SYMBOLS // (2 * self.length)
 
-PASSAGE = Unit(50, 4, words=True, across=True)
+
+PASSAGE = Unit(50, 16, words=True, across=True)
 SLICE = 1 << 19
-#: Distinct pieces of a group up to which it is indexed as a whole (about 600 bytes each).
-GROUP_PIECES = 1200
+#: Symbols of a group's distinct pieces, of less than two lengths each, up to which it is indexed as a whole.
+GROUP_SYMBOLS = 960_000
 BATCH_SYMBOLS = 1 << 18
 _POS = np.uint64((1 << 20) - 1)
 _B = np.uint64(0x9E3779B97F4A7C15 | 1)
@@ -372,8 +376,8 @@ def repeated_ranges(spark: SparkSession, docs: DataFrame, unit: Unit) -> DataFra
         groups = kinds.groupBy("h").agg(F.count(F.lit(1)).alias("kinds"), F.bool_and("whole").alias("done")).where("not done").select("h", "kinds")
         own = F.when(F.col("t0") == F.col("t1"), F.col("t0")).otherwise(F.lit(-1)).alias("own")
         open_ = kept(kinds.join(groups, "h").select("rep.*", "h", "c", own, "kinds"))
-        found = kept(index_groups(piece_bodies(docs, open_.where(F.col("kinds") <= GROUP_PIECES), unit), unit))
-        large = open_.where(F.col("kinds") > GROUP_PIECES)
+        found = kept(index_groups(piece_bodies(docs, open_.where(F.col("kinds") <= unit.group_pieces), unit), unit))
+        large = open_.where(F.col("kinds") > unit.group_pieces)
         if large.limit(1).count():
             found = found.unionByName(count_strings(piece_bodies(docs, large, unit), unit))
 
