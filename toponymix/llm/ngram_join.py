@@ -16,8 +16,8 @@ are compared whole, in blocks and by matrix products, so rows are made for links
 change a component.
 
 Edge cases: null and empty texts have no shingles and stay alone; a text shorter than the shingle width is one shingle;
-null doc_ids are kept, never name a component and link nothing in the operator; repeated rows share a node; rows that
-share a doc_id but hold different texts are nodes of their own; an empty table gives an empty result; extra columns are
+rows with a null doc_id link like any other but never name a component, so one of such rows only has a null name; repeated
+rows share a node; rows that share a doc_id but hold different texts are nodes of their own; an empty table gives an empty result; extra columns are
 ignored. Nodes are 64-bit fingerprints of whole sets. Texts are fetched by the place of a row in the table (`rid`), so a
 table must give its rows in the same order at each scan; a text that isn't the one of its node raises an error.
 """
@@ -328,15 +328,14 @@ def components(spark: SparkSession, edges: DataFrame, most: int = 60) -> DataFra
     raise RuntimeError("components did not settle; raise `most`")
 
 
-def labelled_nodes(spark: SparkSession, docs: DataFrame, t: Threshold, text: str, hubs: int, nulls: bool) -> tuple[DataFrame, DataFrame, DataFrame]:
+def labelled_nodes(spark: SparkSession, docs: DataFrame, t: Threshold, text: str, hubs: int) -> tuple[DataFrame, DataFrame, DataFrame]:
     """rows (rid, doc_id, n, node), nodes (node, n, rep: a row, least: the smallest doc_id), and (node, label) of linked nodes.
 
-    Nodes whose rows all have a null doc_id link others only where `nulls` says so. `hubs` bounds the rounds that try a new centre per bucket.
+    `hubs` bounds the rounds that try a new centre per bucket.
     """
     docs = docs.select("doc_id", text)
     rows = materialise(shingle_nodes(docs, t, text), spark)
     nodes = rows.where("n > 0").groupBy("node", "n").agg(F.min("rid").alias("rep"), F.min("doc_id").alias("least"))
-    able = nodes if nulls else nodes.where(F.col("least").isNotNull())
     edges = band_edges()
     which = F.size(F.filter(F.array(*[F.lit(e) for e in edges[:-1]]), lambda e: e <= F.col("n"))) - 1
     population = {r.b: r.c for r in nodes.groupBy(which.alias("b")).agg(F.count(F.lit(1)).alias("c")).collect()}
@@ -347,8 +346,8 @@ def labelled_nodes(spark: SparkSession, docs: DataFrame, t: Threshold, text: str
     starred = starred.withColumn("wide", F.max((F.col("node") > F.col("a")) & (F.col("node") < F.col("z"))).over(w))
     starred = materialise(starred.select("sig", "a", "node", "wide"), spark)
 
-    left = able.select(F.col("node").alias("a"), F.col("n").alias("na"), F.col("rep").alias("ra"))
-    right = able.select(F.col("node").alias("b"), F.col("n").alias("nb"), F.col("rep").alias("rb"))
+    left = nodes.select(F.col("node").alias("a"), F.col("n").alias("na"), F.col("rep").alias("ra"))
+    right = nodes.select(F.col("node").alias("b"), F.col("n").alias("nb"), F.col("rep").alias("rb"))
     fits = (F.col("na") * t.num <= F.col("nb") * t.den) & (F.col("nb") * t.num <= F.col("na") * t.den)
 
     def checked(pairs: DataFrame) -> DataFrame:
@@ -381,7 +380,7 @@ def labelled_nodes(spark: SparkSession, docs: DataFrame, t: Threshold, text: str
         known, wide = materialise(known.unionByName(got), spark), moved
         labels = components(spark, known.where(linked))
 
-    apart = cluster_links(spark, docs, full.select("a", "node", "label").distinct(), able, t, text)
+    apart = cluster_links(spark, docs, full.select("a", "node", "label").distinct(), nodes, t, text)
     if apart.limit(1).count():
         labels = components(spark, known.where(linked).select("a", "b").unionByName(apart))
 
@@ -390,7 +389,7 @@ def labelled_nodes(spark: SparkSession, docs: DataFrame, t: Threshold, text: str
 
 def similar_components(spark: SparkSession, docs: DataFrame, t: Threshold = Threshold(), text: str = "text", hubs: int = 1) -> DataFrame:
     """(doc_id, n_shingles, component_id) of every row."""
-    rows, nodes, labels = labelled_nodes(spark, docs, t, text, hubs, nulls=False)
+    rows, nodes, labels = labelled_nodes(spark, docs, t, text, hubs)
     named = nodes.join(labels, "node")
     least = named.groupBy("label").agg(F.min("least").alias("component"))
     named = named.join(least, "label").select("node", "component")
@@ -404,7 +403,7 @@ def keep_representatives(spark: SparkSession, docs: DataFrame, t: Threshold = Th
     Rows are told apart by their place, never by doc_id: different texts under one id are judged each by its own text, and a row
     with a null id goes only where it is a copy of another row. Rows without shingles stay, but repeats under one id are copies.
     """
-    rows, _, labels = labelled_nodes(spark, docs, t, "text", 1, nulls=True)
+    rows, _, labels = labelled_nodes(spark, docs, t, "text", 1)
     key = F.when(F.col("n") > 0, F.coalesce("label", "node")).otherwise(F.col("doc_id"))
     keyed = rows.join(labels, "node", "left").select("rid", "doc_id", (F.col("n") > 0).alias("some"), key.alias("key")).where(F.col("key").isNotNull())
     first = F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "rid"))["rid"]
