@@ -147,9 +147,9 @@ def test_repeated_starts_equal_brute_force():
         assert (suffix_dedup.repeated_starts(np.frombuffer(b"".join(pieces), np.uint8), off, length) == want).all()
 
 
-@pytest.mark.parametrize("most", [1200, 2])
+@pytest.mark.parametrize("most", [960_000, 1600])
 def test_suffix_dedup_equals_brute_force(spark, monkeypatch, most):
-    monkeypatch.setattr(suffix_dedup, "GROUP_PIECES", most)
+    monkeypatch.setattr(suffix_dedup, "GROUP_SYMBOLS", most)
     rng = random.Random(7)
     long = words(rng, 300)
     texts = [long, edited(rng, long, 2), edited(rng, long, 6), words(rng, 50) + long[200:900] + words(rng, 40), "é" * 700, None, "", "short", long, words(rng, 200)]
@@ -171,10 +171,10 @@ def test_suffix_dedup_equals_brute_force(spark, monkeypatch, most):
     assert suffix_dedup.dedup(spark, docs(spark, [])).count() == 0
 
 
-@pytest.mark.parametrize("most", [1200, 1])
+@pytest.mark.parametrize("most", [960_000, 100])
 def test_passages_of_fifty_words_repeat_across_documents(spark, monkeypatch, most):
     """Words in 50-word runs that another document holds; a document's own repeats, short runs and other cases don't count."""
-    monkeypatch.setattr(suffix_dedup, "GROUP_PIECES", most)
+    monkeypatch.setattr(suffix_dedup, "GROUP_SYMBOLS", most)
     rng = random.Random(17)
     short = lambda n: " ".join(rng.choice("abcdefghij") + str(rng.randrange(10)) for _ in range(n))
     p, q, r, s = short(51), short(80), short(49), short(60)
@@ -308,6 +308,21 @@ def test_label_model_finds_the_good_voters():
     assert np.mean((q > 0.5) == y) > 0.96
 
 
+def test_posterior_equals_enumeration():
+    """The posterior of each vote row is the joint of either class over their sum, by a product over voters and parents."""
+    rng = np.random.default_rng(5)
+    rows, n = np.unique(rng.integers(0, 2, (300, 4)), axis=0, return_counts=True)
+    model, _ = toxicity.fit_label_model(rows, n.astype(float), np.array([True, True, False, False]))
+    for r, got in zip(rows, model.posterior(rows), strict=True):
+        joint = []
+        for y, prior in ((0, 1 - model.prior), (1, model.prior)):
+            for j, p in enumerate(model.parent):
+                c = model.chance[j, y, r[p] if p >= 0 else 0]
+                prior *= c if r[j] else 1 - c
+            joint.append(prior)
+        assert got == pytest.approx(joint[1] / sum(joint))
+
+
 def test_toxicity_learns_and_keeps_clean_texts(spark):
     rng = random.Random(4)
     bad = ["wretch", "vermin", "sleaze"]
@@ -392,6 +407,15 @@ def test_pipeline_equals_plain_stages_with_null_ids(spark, tmp_path):
     assert sorted(str(r.doc_id) for r in packed.collect()) == sorted(str(i) for i, _ in kept)
 
 
+def test_null_ids_link_their_neighbours(spark):
+    """A text without an id joins two others that are not alike themselves; a component without ids has no name."""
+    ws = words(random.Random(32), 60, 5000).split()
+    rows = [(1, " ".join(["x1", "x2", *ws])), (None, " ".join(ws)), (9, " ".join([*ws, "y1", "y2"])), (None, "p q r s t"), (None, "p q r s t"), (None, None)]
+    t = ngram_join.Threshold(95, 100, 4)
+    got = ngram_join.similar_components(spark, docs(spark, [x for _, x in rows], [i for i, _ in rows]), t).collect()
+    assert sorted(str((r.doc_id, r.component_id)) for r in got) == sorted(map(str, [(1, 1), (None, 1), (9, 1), (None, None), (None, None), (None, None)]))
+
+
 def test_components_take_each_text_of_a_repeated_id(spark):
     """Id 1 carries two unrelated texts, each the near copy of another id's text."""
     rng = random.Random(31)
