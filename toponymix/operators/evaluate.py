@@ -87,14 +87,14 @@ def fold_table(scored: DataFrame, scheme: str = "disjoint") -> DataFrame:
     return scored.sparkSession.createDataFrame(rows, "fold int, district int, role string")
 
 
-def cross_validate(scored: DataFrame, truth: DataFrame, by: list[str] | None = None, scheme: str = "disjoint") -> DataFrame:
+def cross_validate(scored: DataFrame, truth: DataFrame, by: list[str] | None = None, scheme: str = "disjoint", universe: str = "all_pairs") -> DataFrame:
     """Source city: per fold, and micro (-1, pooled counts) and macro (-2, mean of rounds) rows.
 
     Where `scored` has a column `fold`, its scores come from models trained in that fold and are used in it alone.
     """
     by = by or []
     table = F.broadcast(fold_table(scored, scheme))
-    lab = label(scored.where("city = 0"), truth).join(table, ["district", "fold"] if "fold" in scored.columns else ["district"])
+    lab = label(scored.where("city = 0"), truth, universe).join(table, ["district", "fold"] if "fold" in scored.columns else ["district"])
     t = truth.where("city = 0").join(table, "district")
     runs = [*by, "fold"]
     seen = lab.select(*by).distinct() if by else None

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 
@@ -39,6 +39,30 @@ def mentions(addr: DataFrame, names: DataFrame, mode: str = "parsed", q: int = 6
     return hit.select("city", "district", F.col("name").alias("place_name"), "user_id")
 
 
+def contained(texts: DataFrame, patterns: DataFrame) -> DataFrame:
+    """(text_id, pattern_id): texts (text_id, text) that contain a pattern (pattern_id, pattern) anywhere.
+
+    A pattern of three words or more is found by its longest inner word, which stands whole in every text around it; shorter
+    ones by each place of a text. Both are equi-joins; the exact test follows. Nulls and empty patterns match nothing.
+    """
+    pat = patterns.where(F.length("pattern") > 0).withColumn("w", F.split("pattern", " "))
+    long = pat.where(F.size("w") > 2).withColumn("inner", F.slice("w", F.lit(2), F.size("w") - 2))
+    long = long.select("pattern_id", "pattern", F.array_max(F.transform("inner", lambda x: F.struct(F.length(x).alias("n"), x.alias("x"))))["x"].alias("key"))
+    some = texts.where(F.col("text").isNotNull()).select("text_id", "text")
+    by_word = some.select("text_id", "text", F.explode(F.array_distinct(F.split("text", " "))).alias("key")).join(long, "key")
+    short = pat.where(F.size("w") <= 2).select("pattern_id", "pattern", F.length("pattern").alias("k"))
+    places = F.explode(F.transform(F.sequence(F.lit(1), F.greatest(F.length("text") - F.col("k") + 1, F.lit(1))), lambda i: F.substr("text", i, F.col("k"))))
+    by_place = some.crossJoin(F.broadcast(short.select("k").distinct())).select("text_id", "text", "k", places.alias("pattern")).distinct().join(short, ["k", "pattern"])
+    hits = [x.where(F.contains("text", "pattern")).select("text_id", "pattern_id") for x in (by_word, by_place)]
+    return hits[0].unionByName(hits[1]).distinct()
+
+
+def page_text(html: Column) -> Column:
+    """The text of a page: scripts, styles and tags become spaces, runs of white space one."""
+    bare = F.regexp_replace(F.regexp_replace(html, r"(?is)<(script|style)\b.*?</\1\s*>", " "), r"(?s)<[^>]*>", " ")
+    return F.trim(F.regexp_replace(bare, r"[ \t\r\n]+", " "))
+
+
 def authors(written: DataFrame) -> DataFrame:
     """Distinct (city, district, place_name, user_id): a user counts once per name."""
     return written.select("city", "district", "place_name", "user_id").distinct()

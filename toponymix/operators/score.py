@@ -23,6 +23,28 @@ def candidates(addr: DataFrame, standard: DataFrame) -> DataFrame:
     return written.join(standard, ["city", "district", "name"], "left_anti")
 
 
+def minhash_candidates(dens: DataFrame, pairs: DataFrame, tables: int = 5, most: float = 0.9) -> DataFrame:
+    """Pairs of a district whose cell sets are likely closer than Jaccard distance `most`: an approximate stand-in for all pairs.
+
+    A cell is a place of a bounded number line, so the sets become sparse vectors; hashing keeps those that share a bucket.
+    Its recall must be measured against all pairs before it replaces them.
+    """
+    from pyspark.ml.feature import MinHashLSH
+    from pyspark.ml.linalg import SparseVector, VectorUDT
+
+    cells = dens.groupBy("city", "district", "place_name").agg(F.array_sort(F.collect_set((F.col("r") * 1024 + F.col("c")).cast("int"))).alias("cells"))
+
+    @F.udf(VectorUDT())
+    def sparse(x):
+        return SparseVector(1 << 20, x, [1.0] * len(x))
+
+    v = cells.select("city", "district", "place_name", sparse("cells").alias("v"))
+    model = MinHashLSH(inputCol="v", outputCol="h", numHashTables=tables, seed=7).fit(v)
+    near = model.approxSimilarityJoin(v, v, most, "dist").select(F.col("datasetA.district").alias("district"), F.col("datasetA.place_name").alias("std_name"), F.col("datasetB.district").alias("other"), F.col("datasetB.place_name").alias("cand_name"))
+    near = near.where("district = other").select("district", "std_name", "cand_name")
+    return pairs.join(near, ["district", "std_name", "cand_name"], "left_semi")
+
+
 def reciprocal(x: Column) -> Column:
     """1/x with +infinity at or below zero; null stays null."""
     return F.when(x <= 0, F.lit(INF)).otherwise(F.try_divide(F.lit(1.0), x))

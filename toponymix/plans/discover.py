@@ -83,12 +83,17 @@ def discover(t: Tables, method: str = "M4", cut: float = 0.5, **params) -> DataF
     return score.matrix(score.accept(scored(t, method, **params), cut))
 
 
-def resolution_scores(t: Tables, sizes: list[int]) -> DataFrame:
-    """(method, n_grid, pair, score) of M3 and M4 at every resolution, from one pass over a base raster."""
+def resolution_compared(t: Tables, sizes: list[int]) -> DataFrame:
+    """(n_grid, pair, overlap, kl, ...) at every resolution, from one pass over a base raster."""
     cand = score.candidates(t.address, t.standard)
     shares = settle(raster.share(raster.pyramid(settle(densities(t, raster.BASE)), sizes), "n_grid"))
     grid = F.explode(F.array(*[F.lit(s) for s in sizes])).alias("n_grid")
     pairs = score.within_district(t.standard, cand).select(grid, "*")
-    c = divergence.compare(shares, pairs, t.standard, cand, EPS, None, by=["n_grid"])
+    return divergence.compare(shares, pairs, t.standard, cand, EPS, None, by=["n_grid"])
+
+
+def resolution_scores(t: Tables, sizes: list[int]) -> DataFrame:
+    """(method, n_grid, pair, score) of M3 and M4 at every resolution."""
+    c = resolution_compared(t, sizes)
     two = F.explode(F.array(F.struct(F.lit("M3").alias("m"), (-F.round("kl", 6)).alias("s")), F.struct(F.lit("M4").alias("m"), F.col("overlap").alias("s"))))
     return c.select("n_grid", "city", "district", "std_name", "cand_name", two.alias("x")).select(F.col("x.m").alias("method"), "n_grid", "city", "district", "std_name", "cand_name", F.col("x.s").alias("score"))

@@ -5,6 +5,7 @@ Each entry is a query beside its SQL; sketches, samplers and Python functions wi
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
@@ -14,7 +15,9 @@ from pyspark.sql import functions as F
 from ..functions import udfs
 from ..functions.geo import great_circle_m
 from ..operators import footprint, locate, score
+from ..sources import tables
 from ..sources.fixtures import Tables, oracle_prefix
+from ..sources.pings import PingSource
 from ..streaming import footprints as streams
 from . import discover as D
 
@@ -131,14 +134,49 @@ add("f_geo_distance", lambda t: t.view("place").join(t.box, "city").select("poi_
 add("f_array", lambda t: t.view("place_name").select("name", F.size(F.filter(F.split("name", " "), lambda x: F.length(x) > 4)).alias("long_words"), F.aggregate(F.transform(F.split("name", " "), F.length), F.lit(0), lambda a, x: a + x).alias("letters")),
     "SELECT name, len(list_filter(string_split(name, ' '), lambda x: length(x) > 4))::INT AS long_words, list_sum(list_transform(string_split(name, ' '), lambda x: length(x)))::INT AS letters FROM place_name")
 add("f_null", lambda t: t.view("place_name").select("name", F.coalesce("poi_id", F.lit(-1)).alias("poi"), F.try_divide(F.lit(10), F.col("poi_id") % 3).alias("q")), "SELECT name, coalesce(poi_id, -1) AS poi, CASE WHEN poi_id % 3 = 0 THEN NULL ELSE 10e0 / (poi_id % 3) END AS q FROM place_name")
-add("x_author_jaccard", lambda t: _author_jaccard(t), "SELECT a.place_name AS x, b.place_name AS y, count(*) AS shared FROM authors a JOIN authors b ON a.user_id = b.user_id AND a.place_name < b.place_name GROUP BY 1, 2", FP)
+add("x_author_jaccard", lambda t: _author_jaccard(t),
+    """SELECT a.place_name AS x, b.place_name AS y, count(*) AS shared, round(count(*)::DOUBLE / (any_value(p.k) + any_value(q.k) - count(*)), 6) AS jaccard FROM authors a JOIN authors b ON a.user_id = b.user_id AND a.place_name < b.place_name
+JOIN (SELECT place_name, count(*) AS k FROM authors GROUP BY 1) p ON p.place_name = a.place_name JOIN (SELECT place_name, count(*) AS k FROM authors GROUP BY 1) q ON q.place_name = b.place_name GROUP BY 1, 2""", FP)
 
 
 def _author_jaccard(t: Tables) -> DataFrame:
-    """Names with shared authors: an inverted index on users."""
-    a = D.author_sets(t)
-    b = a.select("user_id", F.col("place_name").alias("y"))
-    return a.select("user_id", F.col("place_name").alias("x")).join(b, "user_id").where("x < y").groupBy("x", "y").agg(count("shared"))
+    """Likeness of the author sets of names with shared authors: an inverted index on users, and set sizes."""
+    a = D.author_sets(t).select("user_id", F.col("place_name").alias("x"))
+    shared = a.join(a.select("user_id", F.col("x").alias("y")), "user_id").where("x < y").groupBy("x", "y").agg(count("shared"))
+    size = lambda n, k: a.groupBy(F.col("x").alias(n)).agg(count(k))
+    return shared.join(size("x", "a"), "x").join(size("y", "b"), "y").select("x", "y", "shared", F.round(F.col("shared") / (F.col("a") + F.col("b") - F.col("shared")), 6).alias("jaccard"))
+
+
+add("k_sort", lambda t: _sz(t).orderBy(F.desc("n"), "place_name"), "SELECT * FROM sz ORDER BY n DESC, place_name", FP, SIZE)
+add("j_contains", lambda t: t.address.where("addr_seq = 1").select("user_id", "addr_text").join(F.broadcast(t.view("place_name").where("kind = 'decoy'").select("name")), F.expr("contains(addr_text, name)")).select("user_id", "name"),
+    "SELECT user_id, name FROM address JOIN place_name ON kind = 'decoy' AND contains(addr_text, name) WHERE addr_seq = 1")
+add("f_math", lambda t: t.view("place").select("poi_id", F.round(F.sqrt(F.col("lat_u").cast("double")), 4).alias("root"), F.round(F.ln(F.col("lon_u").cast("double")), 6).alias("log"), F.pmod(-F.col("poi_id"), F.lit(7)).alias("m"), F.floor(F.col("lat_u") / 1000).alias("low"), F.greatest(F.col("poi_id") % 5, F.lit(2)).alias("g")),
+    "SELECT poi_id, round(sqrt(lat_u::DOUBLE), 4) AS root, round(ln(lon_u::DOUBLE), 6) AS log, ((-poi_id % 7) + 7) % 7 AS m, floor(lat_u / 1000)::BIGINT AS low, greatest(poi_id % 5, 2) AS g FROM place")
+add("f_json", lambda t: t.view("place").select("poi_id", F.from_json(F.to_json(F.struct("city", "lat_u")), "city int, lat_u bigint").alias("j")).select("poi_id", "j.city", "j.lat_u"), "SELECT poi_id, city, lat_u FROM place")
+
+
+def _round_trip(fmt: str) -> Callable[[Tables], DataFrame]:
+    """Addresses written in a format to the shared scratch folder and read back by their declared schema."""
+
+    def run(t: Tables) -> DataFrame:
+        path = f"{tables.scratch_dir(t.spark)}/trip-{uuid.uuid4().hex}"
+        writer = t.address.write.option("header", "true")
+        writer.format(fmt).save(path)
+        return tables.read_table(t.spark, path, fmt, tables.ADDRESS)
+
+    return run
+
+
+for _fmt in ("csv", "json", "orc"):
+    add(f"x_roundtrip_{_fmt}", _round_trip(_fmt), "SELECT user_id, addr_seq, city, district, place_name, addr_text FROM address")
+
+
+def _ping_source(t: Tables) -> DataFrame:
+    t.spark.dataSource.register(PingSource)
+    return t.spark.read.format("pings").options(users=50, pings=20, partitions=3).load().groupBy("user_id").agg(count(), F.sum("lat_u").alias("lat_sum"))
+
+
+add("x_ping_source", _ping_source, "SELECT user_id, count(*) AS n, sum(30000000 + user_id * 7919 % 300000 + k * 31 % 100)::BIGINT AS lat_sum FROM range(50) u(user_id), range(20) p(k) GROUP BY 1", views=False)
 
 
 # SQL surface and Python functions
@@ -147,7 +185,16 @@ def _sql_m1(t: Tables) -> DataFrame:
     return t.spark.sql(text, a=D.author_sets(t), p=t.ping)
 
 
+def _sql_m4(t: Tables) -> DataFrame:
+    text = """WITH shr AS (SELECT *, sum(n) OVER (PARTITION BY place_name) AS total FROM {d}),
+tot AS (SELECT DISTINCT place_name, total FROM shr),
+cel AS (SELECT p.std_name, p.cand_name, sum(s.n) AS sn, sum(c.n) AS cn FROM {p} p JOIN shr s ON s.place_name = p.std_name AND s.district = p.district JOIN shr c ON c.place_name = p.cand_name AND c.district = p.district AND c.r = s.r AND c.c = s.c GROUP BY 1, 2)
+SELECT p.std_name, p.cand_name, round((coalesce(sn, 0) / s.total + coalesce(cn, 0) / c.total) / 2, 9) AS score FROM {p} p LEFT JOIN tot s ON s.place_name = p.std_name LEFT JOIN tot c ON c.place_name = p.cand_name LEFT JOIN cel x ON x.std_name = p.std_name AND x.cand_name = p.cand_name"""
+    return t.spark.sql(text, d=tables.settle(D.densities(t)), p=D.all_pairs(t))
+
+
 add("sql_m1", _sql_m1, "SELECT place_name, count(*) AS n, sum(lat_u)::BIGINT AS lat_sum, sum(lon_u)::BIGINT AS lon_sum FROM fp GROUP BY 1", FP)
+QUERIES["sql_m4"] = lambda spark, sf_dir: _sql_m4(Tables(spark, sf_dir))  # its SQL is that of m4_score, see workloads
 add("udf_distance", lambda t: t.view("place").join(t.box, "city").select("poi_id", F.round(udfs.great_circle(F.col("lat_u") / 1e6, F.col("lon_u") / 1e6, F.col("lat_min_u") / 1e6, F.col("lon_min_u") / 1e6), 2).alias("m")), ORACLES["f_geo_distance"], views=False)
 add("udaf_centroid", lambda t: t.ping.groupBy("city").agg(F.round(udfs.mean_micro(F.col("lat_u")), 2).alias("lat")), "SELECT city, round(avg(lat_u), 2) AS lat FROM ping GROUP BY 1")
 add("udtf_cells", lambda t: udfs.parent_cells(t.spark, t.view("place").join(t.box, "city")),

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 from collections.abc import Callable
 from functools import reduce
 
@@ -10,7 +11,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ..functions.geo import EARTH_M, extent_u, great_circle_m
-from ..operators import divergence, evaluate, footprint, locate, raster, rollup, score, textbase
+from ..operators import cost, divergence, evaluate, footprint, locate, raster, rollup, score, textbase
 from ..sources.fixtures import Tables, oracle_prefix
 from ..sources.tables import settle
 from . import discover as D
@@ -105,13 +106,17 @@ def sql_scored(methods: list[str]) -> list[str]:
     return [*parts, f"scored AS ({union})"]
 
 
-def sql_eval(by: str = "method") -> list[str]:
+DISJOINT = "SELECT f::INTEGER AS fold, d AS fd, d // 2 = f AS test FROM range(5) x(f), range(10) y(d)"
+ALL_ROUNDS = "SELECT (a * (19 - a) // 2 + b - a - 1)::INTEGER AS fold, d AS fd, d = a OR d = b AS test FROM range(10) x(a), range(10) y(b), range(10) z(d) WHERE a < b"
+
+
+def sql_eval(by: str = "method", rounds: str = DISJOINT, universe: str = "") -> list[str]:
     """cv(by, fold, ...) and tr(by, cut, ...) from scored(by, KEYS, score)."""
     ratio = "round(coalesce(c::DOUBLE / nullif(a, 0), 0), 6) AS precision, round(coalesce(c::DOUBLE / nullif(t, 0), 0), 6) AS recall, round(CASE WHEN a + t > 0 THEN 2e0 * c / (a + t) ELSE 0 END, 6) AS f1"
     lowest = "-1.7976931348623157e308::DOUBLE"
     return [
-        f"""lab AS (SELECT s.*, CASE WHEN t.cand_name IS NULL THEN 0 ELSE 1 END AS hit FROM scored s LEFT JOIN truth t ON t.district = s.district AND t.std_name = s.std_name AND t.cand_name = s.cand_name WHERE score IS NOT NULL),
-fold AS (SELECT f::INTEGER AS fold, d AS fd, d // 2 = f AS test FROM range(5) x(f), range(10) y(d)),
+        f"""lab AS (SELECT s.*, CASE WHEN t.cand_name IS NULL THEN 0 ELSE 1 END AS hit FROM scored s LEFT JOIN truth t ON t.district = s.district AND t.std_name = s.std_name AND t.cand_name = s.cand_name WHERE score IS NOT NULL {universe}),
+fold AS ({rounds}),
 trn AS (SELECT {by}, fold, score, count(*) AS k, sum(hit) AS h FROM lab JOIN fold ON district = fd WHERE NOT test GROUP BY ALL UNION ALL SELECT {by}, -9, score, count(*), sum(hit) FROM lab WHERE city = 0 GROUP BY ALL),
 ntr AS (SELECT fold, count(*) AS t FROM truth JOIN fold ON district = fd WHERE NOT test GROUP BY ALL UNION ALL SELECT -9, count(*) FROM truth WHERE city = 0),
 cur AS (SELECT {by}, fold, score, sum(k) OVER w AS a, sum(h) OVER w AS c, t, lead(score) OVER (PARTITION BY {by}, fold ORDER BY score DESC) AS lower FROM trn JOIN ntr USING (fold) WINDOW w AS (PARTITION BY {by}, fold ORDER BY score DESC ROWS UNBOUNDED PRECEDING)),
@@ -204,7 +209,7 @@ for _engine in ("sql", "bounded", "sweep"):
 register("m2_score", lambda t: _distances(t, D.windows(t)), DIST, FP, PAIRS, sql_windows(D.WINDOW_M), sql_distance("m2"))
 register(
     "m2_microbin",
-    lambda t: D.windows(t, engine="microbin").join(D.windows(t, engine="bounded"), ["city", "place_name"]).agg(F.count(F.lit(1)).alias("names"), F.sum(((F.col("lower") <= F.col("n_window")) & (F.col("n_window") <= F.col("upper"))).cast("int")).alias("bounded_rows")),
+    lambda t: D.windows(t, engine="microbin").join(D.windows(t), ["city", "place_name"]).agg(F.count(F.lit(1)).alias("names"), F.sum(((F.col("lower") <= F.col("n_window")) & (F.col("n_window") <= F.col("upper"))).cast("int")).alias("bounded_rows")),
     "SELECT count(*) AS names, count(*) AS bounded_rows FROM (SELECT DISTINCT city, place_name FROM fp)",
     FP,
 )
@@ -220,7 +225,20 @@ def _d_sweep(t: Tables) -> DataFrame:
     return out
 
 
-register("m2_d_sweep", _d_sweep)
+def _sides_sql() -> tuple[list[str], str]:
+    """The windows of all sides: one set of views per side."""
+    parts, selects = [FP], []
+    for side in map(int, SIDES):
+        text = sql_windows(side)
+        for view in ("ext", "win", "best", "m2"):
+            text = re.sub(rf"\b{view}\b(?=\s+(AS \(|ON|b |WHERE|e )|\.)", f"{view}{side}", text)
+        parts.append(text)
+        selects.append(f"SELECT {side} AS side_m, place_name, n_window FROM best{side}")
+    return parts, " UNION ALL ".join(selects)
+
+
+_parts, _select = _sides_sql()
+register("m2_d_sweep", _d_sweep, _select, *_parts)
 register("m3_density", lambda t: D.densities(t).select("place_name", "r", "c", "n"), "SELECT place_name, r, c, n FROM dens", FP, PAIRS, sql_raster([50]))
 register("m3_share", lambda t: rounded(raster.share(D.densities(t)).select("place_name", "r", "c", "n", "total", "p")), "SELECT place_name, r, c, n, total, round(p, 6) AS p FROM shr", FP, PAIRS, sql_raster([50]))
 register(
@@ -428,6 +446,151 @@ FULL JOIN (SELECT district, count(*) AS t FROM truth GROUP BY 1) y USING (distri
 )
 
 
+for _name, _kind, _sql in (("45", {"scheme": "all_pairs"}, {"rounds": ALL_ROUNDS}), ("labelled", {"universe": "labelled_standard"}, {"universe": "AND EXISTS (SELECT 1 FROM truth u WHERE u.district = s.district AND u.std_name = s.std_name)"})):
+    register(
+        f"e_cv_m4_{_name}",
+        lambda t, k=_kind: rounded(evaluate.cross_validate(_union(t, ["M4"]), t.truth, ["method"], **k)),
+        f"SELECT method, fold, {EVAL_COLS} FROM cv",
+        *sql_scored(["M4"]),
+        *sql_eval(**_sql),
+    )
+
+
+def _mixed_curve(t: Tables) -> DataFrame:
+    """The curve over scores of both signs with zero, one, halves and ties."""
+    rows = t.base("labels").select((F.floor((F.col("doc_id") * 37 % 97 - 48) / 3) / 8).alias("score"), F.col("quality").alias("hit"))
+    return rounded(evaluate.pr_curve(rows, rows.agg(F.sum("hit").alias("n_true")), []))
+
+
+plain(
+    "e_pr_curve_mixed",
+    _mixed_curve,
+    """WITH g AS (SELECT floor((doc_id * 37 % 97 - 48) / 3) / 8 AS score, count(*) AS k, sum(quality) AS h FROM labels GROUP BY 1),
+r AS (SELECT score, sum(k) OVER w AS a, sum(h) OVER w AS c, (SELECT sum(quality) FROM labels) AS t FROM g WINDOW w AS (ORDER BY score DESC ROWS UNBOUNDED PRECEDING))
+SELECT score, a::BIGINT AS n_accepted, c::BIGINT AS n_correct, t::BIGINT AS n_true, round(c::DOUBLE / a, 6) AS precision, round(c::DOUBLE / t, 6) AS recall, round(2e0 * c / (a + t), 6) AS f1 FROM r""",
+)
+
+
+# ---- Names in free text --------------------------------------------------------------------------------------------
+
+
+def _passages(t: Tables) -> DataFrame:
+    return t.base("benchmark").select(F.col("item_id").alias("pattern_id"), F.substring("text", 1, 40).alias("pattern"))
+
+
+def _first_words(t: Tables) -> DataFrame:
+    """Three-word names: how each passage begins."""
+    return t.base("benchmark").select(F.col("item_id").alias("pattern_id"), F.substring_index("text", " ", 3).alias("pattern"))
+
+
+def _mentions(texts: DataFrame, patterns: DataFrame, key: str) -> DataFrame:
+    return footprint.contained(texts, patterns).select(F.col("text_id").alias(key), F.col("pattern_id").alias("item_id"))
+
+
+plain(
+    "e_contains_text",
+    lambda t: _mentions(t.base("documents").select(F.col("doc_id").alias("text_id"), "text"), _passages(t), "doc_id"),
+    "SELECT DISTINCT doc_id, item_id FROM documents d JOIN benchmark b ON contains(d.text, left(b.text, 40))",
+)
+THREE_WORDS = "split_part(b.text, ' ', 1) || ' ' || split_part(b.text, ' ', 2) || ' ' || split_part(b.text, ' ', 3)"
+plain(
+    "e_pages_mentions",
+    lambda t: _mentions(t.base("pages").select(F.col("page_id").alias("text_id"), footprint.page_text(F.col("html")).alias("text")), _first_words(t), "page_id"),
+    rf"""SELECT DISTINCT page_id, item_id FROM (SELECT page_id, trim(regexp_replace(regexp_replace(regexp_replace(html, '(?is)<script\b.*?</script\s*>|<style\b.*?</style\s*>', ' ', 'g'), '(?s)<[^>]*>', ' ', 'g'), '[ \t\r\n]+', ' ', 'g')) AS text FROM pages) p
+JOIN benchmark b ON contains(p.text, {THREE_WORDS})""",
+)
+plain(
+    "e_conv_mentions",
+    lambda t: _mentions(t.base("conversations").where("role = 'user'").select(F.struct("conv_id", "turn").alias("text_id"), "text"), _first_words(t), "at").select("at.conv_id", "at.turn", "item_id"),
+    f"SELECT DISTINCT conv_id, turn, item_id FROM conversations c JOIN benchmark b ON role = 'user' AND contains(c.text, {THREE_WORDS})",
+)
+
+# ---- Claims about the method ---------------------------------------------------------------------------------------
+
+
+def _author_curve(t: Tables) -> DataFrame:
+    """Mean metres from the centroid of a name to its place: of its first author alone, and of all its authors."""
+    auth = D.author_sets(t)
+    first = auth.groupBy("city", "district", "place_name").agg(F.min("user_id").alias("user_id"))
+    where = t.view("place_name").where("kind = 'standard'").select("poi_id", F.col("name").alias("place_name")).join(t.view("place").select("poi_id", "lat_u", "lon_u"), "poi_id")
+    parts = []
+    for k, who in (("one", first), ("all", auth)):
+        at = locate.centroid(footprint.rollup(who, footprint.user_partials(t.ping))).join(where, "place_name")
+        d = great_circle_m(F.col("lat"), F.col("lon"), F.col("lat_u") / 1e6, F.col("lon_u") / 1e6)
+        parts.append(at.agg(F.lit(k).alias("authors"), F.count(F.lit(1)).alias("names"), F.round(F.avg(d), 1).alias("mean_error_m")))
+    return parts[0].unionByName(parts[1])
+
+
+register("x_author_curve", _author_curve)
+NO_HOME = FP.replace("JOIN ping p ON p.user_id = a.user_id", "JOIN ping p ON p.user_id = a.user_id AND h >= 55")
+
+
+def _no_home(t: Tables) -> DataFrame:
+    """M4 without the pings at home: people of one place share other haunts too."""
+    cand = score.candidates(t.address, t.standard)
+    away = t.view("ping").where("h >= 55").select("user_id", "city", "lat_u", "lon_u", "ts")
+    shares = settle(raster.share(settle(raster.density(D.author_sets(t), raster.assign(away, t.box, D.GRID)))))
+    s = score.distribution(divergence.compare(shares, D.all_pairs(t), t.standard, cand, D.EPS, D.GRID))
+    s = settle(s.select(F.lit("M4").alias("method"), "city", "district", "std_name", "cand_name", "score"))
+    return rounded(evaluate.best_cut(s, t.truth, ["method"]).select("method", "cut", "train_f1"))
+
+
+register(
+    "x_no_home",
+    _no_home,
+    "SELECT method, round(cut, 6) AS cut, round(best_f1, 6) AS train_f1 FROM cut WHERE fold = -9",
+    NO_HOME,
+    PAIRS,
+    sql_raster([D.GRID]),
+    f"scored AS (SELECT 'M4' AS method, {KEYS}, overlap AS score FROM cmp)",
+    *sql_eval(),
+)
+
+
+def _kl_missing(t: Tables) -> DataFrame:
+    """Share of pairs whose standard name has mass where the candidate has none, by resolution."""
+    c = D.resolution_compared(t, SIZES)
+    return c.groupBy("n_grid").agg(F.count("is_inf").alias("pairs"), F.round(F.avg(F.col("is_inf").cast("int")), 6).alias("missing"))
+
+
+register("x_kl_missing", _kl_missing, "SELECT n_grid, count(is_inf) AS pairs, round(avg(is_inf::INT), 6) AS missing FROM cmp GROUP BY 1", FP, PAIRS, sql_raster(SIZES))
+register(
+    "x_cell_jaccard",
+    lambda t: _cell_jaccard(t),
+    f"""SELECT {KEYS}, round(n_shared_cells::DOUBLE / (a.k + b.k - n_shared_cells), 6) AS jaccard FROM cmp c JOIN (SELECT place_name, count(*) AS k FROM shr GROUP BY 1) a ON a.place_name = c.std_name
+JOIN (SELECT place_name, count(*) AS k FROM shr GROUP BY 1) b ON b.place_name = c.cand_name""",
+    *_RASTER,
+)
+
+
+def _cell_jaccard(t: Tables) -> DataFrame:
+    """Unweighted likeness of the cell sets of each pair."""
+    cells = settle(D.densities(t)).groupBy("city", "district", "place_name").agg(F.count(F.lit(1)).alias("k"))
+    side = lambda n, k: cells.select("city", "district", F.col("place_name").alias(n), F.col("k").alias(k))
+    j = D.compared(t).join(side("std_name", "a"), ["city", "district", "std_name"]).join(side("cand_name", "b"), ["city", "district", "cand_name"])
+    return j.select("city", "district", "std_name", "cand_name", F.round(F.col("n_shared_cells") / (F.col("a") + F.col("b") - F.col("n_shared_cells")), 6).alias("jaccard"))
+
+
+def _pruned(t: Tables) -> DataFrame:
+    """Candidate pruning against all pairs: how many pairs stay, and how many of the true ones."""
+    pairs = settle(D.all_pairs(t))
+    kept = settle(score.minhash_candidates(settle(D.densities(t)), pairs))
+    keys = ["city", "district", "std_name", "cand_name"]
+    true = lambda d: d.join(t.truth.select(*keys), keys, "left_semi").count()
+    return t.spark.createDataFrame([(pairs.count(), kept.count(), true(pairs), true(kept))], "n_pairs bigint, n_kept bigint, n_true bigint, n_true_kept bigint")
+
+
+register("x_minhash_candidates", _pruned)
+
+
+def _costs(t: Tables) -> DataFrame:
+    """Operators of the final plans, rows and milliseconds of the four measures' last steps."""
+    return t.spark.createDataFrame([cost.measure(D.scored(t, m), m) for m in ("T1", "M1", "M2", "M3", "M4")])
+
+
+register("x_cost", _costs)
+
+
 def _evaluator(t: Tables) -> DataFrame:
     """The evaluator on labels that are not ours: text length as score, quality as truth."""
     rows = t.base("documents").join(t.base("labels"), "doc_id").select(F.col("n_chars").cast("double").alias("score"), F.col("quality").alias("hit"))
@@ -461,4 +624,4 @@ def queries() -> dict[str, Query]:
 def oracle_sql() -> dict[str, str]:
     from . import surroundings
 
-    return {**_ORACLES, **surroundings.ORACLES}
+    return {**_ORACLES, **surroundings.ORACLES, "sql_m4": _ORACLES["m4_score"]}
