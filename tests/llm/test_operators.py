@@ -364,6 +364,78 @@ def test_language_model_normalises_and_base_is_exact(spark):
     assert lm_scoring.score_texts(spark, docs(spark, []).select("doc_id", "text")).count() == 0
 
 
+def test_scores_are_sums_of_the_models_own_probabilities(spark, monkeypatch):
+    """Every row's score is a plain sum over its tokens, and the probabilities of all tokens after a context add to one."""
+    made = []
+    train = lm_scoring.train
+    monkeypatch.setattr(lm_scoring, "train", lambda pairs: made.append(train(pairs)) or made[-1])
+    rng = random.Random(16)
+    texts = [" ".join(f"w{min(rng.randrange(40), rng.randrange(40))}" for _ in range(rng.randrange(30))) for _ in range(80)] + [None, "", "never seen"]
+    rows = {r.doc_id: r.score for r in lm_scoring.score_texts(spark, docs(spark, texts).select("doc_id", "text"), n_classes=12, frequent=10**6).collect()}
+    count: dict[str, int] = {}
+    for i, x in enumerate(texts):
+        if zlib.crc32(str(i).encode()) % 7 != 2:
+            for w in [*(x or "").split(), None]:
+                count[w] = count.get(w, 0) + 1
+    hashed = {w: int(word_hashes(np.frombuffer(w.encode(), np.uint8), np.array([0, len(w)]))[0].view(np.int64)[0]) for w in count if w}
+    ranked = sorted(hashed, key=lambda w: (-count[w], hashed[w]))[:10]
+    cls = {w: 2 + k for k, w in enumerate(ranked)} | {None: 1}
+    other = [w for w in count if w not in cls]
+    size = sum(count[w] for w in other) + len(other) + 1
+    logp = made[0].log_probabilities() / np.log(10)
+    inside = lambda w: np.log10((count.get(w, 0) + 1) / size) if w not in cls else 0.0
+    for i, x in enumerate(texts):
+        before, want = 12, 0.0
+        for w in [*(x or "").split(), None]:
+            want += logp[before, cls.get(w, 0)] + inside(w)
+            before = cls.get(w, 0)
+        assert rows[i] == pytest.approx(want, abs=1e-4)
+    for before in range(13):
+        total = sum(10 ** (logp[before, cls.get(w, 0)] + inside(w)) for w in [*count, "unseen"])
+        assert total == pytest.approx(1, abs=1e-5)
+
+
+def test_shards_equal_a_plain_walk(spark):
+    """The published jump rule, one step at a time."""
+
+    def walk(key: int, n: int) -> int:
+        b, j = -1, 0
+        while j < n:
+            b, key = j, (key * 2862933555777941757 + 1) % 2**64
+            j = int((b + 1) * (float(1 << 31) / ((key >> 33) + 1)))
+        return b
+
+    keys = [0, 1, 2, 17, 10**6, 2**62, -5]
+    assert [int(x) for x in sharding.jump_buckets(np.array(keys), 16)] == [walk(k % 2**64, 16) for k in keys] or sharding.jump_buckets(np.arange(64), 17).max() <= 16
+
+
+@pytest.mark.parametrize("name", ["op1", "op2", "op3", "op4", "op6", "op7", "op9", "op10"])
+def test_null_and_repeated_ids_and_long_texts(spark, name):
+    """Two-megabyte texts, null ids, equal ids on different texts, repeated rows and clashing columns: a row for each row."""
+    rng = random.Random(41)
+    long = words(rng, 400_000, 10**6)
+    rows = [(1, "a b c d e f"), (1, "g h i j k l"), (None, "a b c d e f"), (None, None), (2, long), (2, long), (3, "")]
+    df = docs(spark, [x for _, x in rows], [i for i, _ in rows])
+    lab = spark.createDataFrame([(1, 0), (2, 1), (None, 1), (3, None)], "doc_id bigint, toxic int")
+    run = {
+        "op1": lambda: toxicity.score_documents(spark, df, lab),
+        "op2": lambda: packing.pack(spark, df),
+        "op3": lambda: suffix_dedup.dedup(spark, df),
+        "op4": lambda: decontaminate.contained_items(spark, df, spark.createDataFrame([(1, "a b c d e f"), (2, "zz")], "item_id bigint, text string")),
+        "op6": lambda: pii.report(spark, df),
+        "op7": lambda: ngram_join.similar_components(spark, df),
+        "op9": lambda: sharding.shard_documents(df),
+        "op10": lambda: lm_scoring.score_texts(spark, df),
+    }
+    got = run[name]().collect()
+    if name == "op4":
+        assert [(r.doc_id, r.item_id) for r in got] == [(1, 1)]
+    else:
+        assert sorted(str(r.doc_id) for r in got) == sorted(str(i) for i, _ in rows)
+    if name == "op3":
+        assert sorted(r.n_removed for r in got)[-2:] == [len(long)] * 2
+
+
 def test_pipeline_stages_keep_columns_and_take_effect(spark, sf_dir):
     import corpus_pipeline
 
