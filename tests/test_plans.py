@@ -81,3 +81,12 @@ def test_text_baselines_are_trained_inside_each_fold(spark):
     whole = {(r.district, r.std_name, r.cand_name): r.score for r in D.fold_scored(t).where("fold = 0").collect()}
     t.truth = t.truth.where("district not in (0, 1)")
     assert {(r.district, r.std_name, r.cand_name): r.score for r in D.fold_scored(t).where("fold = 0").collect()} == whole
+
+
+def test_corpus_registry_may_be_missing(monkeypatch):
+    """An empty corpus folder, or none, leaves the other queries."""
+    import sys
+
+    monkeypatch.setitem(sys.modules, "toponymix.llm", None)
+    names = set(entry.queries())
+    assert not any(n.startswith("op") for n in names) and set(entry.oracle_sql()) <= names
