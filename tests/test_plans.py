@@ -10,7 +10,7 @@ import __spark_entry__ as entry
 from toponymix.plans import discover as D
 from toponymix.plans import workloads
 from toponymix.sources.fixtures import BASE, Tables
-from toponymix.sources.tables import ALIAS_LIST, load_alias_list, read_table
+from toponymix.sources.tables import ALIAS_LIST, load_alias_list, read_table, save_bucketed, write_partitioned
 from toponymix.streaming import footprints as streams
 
 
@@ -18,7 +18,7 @@ def norm(rows):
     return sorted(tuple(round(x, 6) if isinstance(x, float) else str(x) for x in r) for r in rows)
 
 
-@pytest.mark.parametrize("name", ["w_authors", "w_alias_volume", "m1_score", "m3_kl_smooth", "m4_overlap", "e_cv_m4", "e_resolution", "j_near", "s_session"])
+@pytest.mark.parametrize("name", ["w_authors", "w_alias_volume", "m1_score", "m3_kl_smooth", "m4_overlap", "e_cv_m4", "e_resolution", "j_near", "s_session", "s_state", "s_late"])
 def test_query_equals_sql(spark, sf_dir, name):
     con = duckdb.connect()
     for t in BASE:
@@ -63,6 +63,53 @@ def test_streams_equal_their_batch_twins(spark, sf_dir, tmp_path):
     assert norm(streams.read_sums(spark, target).collect()) == norm(streams.by_place(batch, auth).groupBy("place_name").agg(F.count(F.lit(1)).alias("n")).collect())
 
 
+def test_state_is_kept_across_batches_and_late_rows_are_counted(spark, tmp_path):
+    schema = "event_id bigint, place_name string, ts timestamp, lat_u bigint, lon_u bigint"
+    batches = [[(k, "ab"[k % 2], f"2024-01-{day:02d} 00:00:0{k % 10}", 10 * k, k) for k in range(20 * b, 20 * b + 20)] for b, day in enumerate((10, 20, 21))]
+    rows = [spark.createDataFrame(b, "event_id bigint, place_name string, ts string, lat_u bigint, lon_u bigint").withColumn("ts", F.col("ts").cast("timestamp")) for b in batches]
+    old = rows[0].withColumn("ts", F.expr("timestamp'2023-01-01'"))
+
+    def feed(df):
+        df.coalesce(1).write.mode("append").parquet(str(tmp_path / "in"))
+
+    (tmp_path / "in").mkdir()
+    pings = spark.readStream.schema(schema).parquet(str(tmp_path / "in"))
+    seen = []
+    for k, df in enumerate(rows):
+        feed(df)
+        # A fresh query on the same checkpoint: state survives the restart.
+        out = streams.running_sums(pings, slots=4).writeStream.outputMode("update").option("checkpointLocation", str(tmp_path / "state")).trigger(availableNow=True)
+        out.foreachBatch(lambda b, i: seen.extend(b.collect())).start().awaitTermination(60)
+    whole = rows[0].unionAll(rows[1]).unionAll(rows[2])
+    got = streams.latest_sums(spark.createDataFrame(seen, streams.SUMS))
+    assert norm(got.collect()) == norm(whole.groupBy("place_name").agg(F.count(F.lit(1)).alias("n"), F.sum("lat_u"), F.sum("lon_u")).collect())
+    out = pings.withColumn("event_type", F.lit("x")).transform(streams.windowed_counts)
+    target = out.writeStream.outputMode("update").option("checkpointLocation", str(tmp_path / "w")).trigger(availableNow=True).foreachBatch(lambda b, i: b.count())
+    target.start().awaitTermination(60)
+    feed(old)
+    q = target.start()
+    q.awaitTermination(60)
+    assert streams.late_rows(q.recentProgress) > 0
+
+
+def test_sinks_prune_and_join_without_shuffle(spark, tmp_path):
+    df = spark.createDataFrame([(c, d, u, u * 10) for c in (0, 1) for d in (0, 1, 2) for u in range(20)], "city int, district int, user_id bigint, v bigint")
+    write_partitioned(df, str(tmp_path / "p"))
+    back = spark.read.parquet(str(tmp_path / "p"))
+    assert norm(back.select(df.columns).collect()) == norm(df.collect())
+    plan = back.where("city = 1 AND district = 2")._jdf.queryExecution().executedPlan().toString()
+    assert "PartitionFilters: [isnotnull(city" in plan and back.where("city = 1 AND district = 2").count() == 20
+    try:
+        for name in ("left_side", "right_side"):
+            save_bucketed(df, name, 4)
+        joined = spark.table("left_side").hint("merge").join(spark.table("right_side"), "user_id")
+        assert "Exchange hashpartitioning" not in joined._jdf.queryExecution().executedPlan().toString()
+        assert joined.count() == 20 * 36
+    finally:
+        for name in ("left_side", "right_side"):
+            spark.sql(f"DROP TABLE IF EXISTS {name}")
+
+
 def test_alias_list_formats(spark, tmp_path):
     df = spark.createDataFrame([(0, 1, "a", "b")], ALIAS_LIST)
     for fmt in ("json", "orc", "parquet"):

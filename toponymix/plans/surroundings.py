@@ -230,3 +230,19 @@ add("s_session", lambda t: streams.sessions(_events(t)),
 b AS (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS s FROM a) SELECT user_id, min(ts) AS start, count(*) AS n FROM b GROUP BY user_id, s""", views=False)
 add("s_static_join", lambda t: streams.by_place(_events(t), D.author_sets(t)).groupBy("place_name").agg(count()), "SELECT place_name, count(*) AS n FROM events e JOIN authors a ON a.user_id = e.user_id GROUP BY 1", FP)
 add("s_stream_join", lambda t: streams.view_before_purchase(_events(t)), ORACLES["j_interval"], views=False)
+
+
+def _place_pings(t: Tables) -> DataFrame:
+    """The event stream placed near its users' homes, once per name that the user wrote."""
+    home = t.view("resident").select("user_id", "poi_id").join(t.view("place").select("poi_id", "lat_u", "lon_u"), "poi_id").drop("poi_id")
+    at = [(F.col(c) + F.col("event_id") % 1000).alias(c) for c in ("lat_u", "lon_u")]
+    return streams.by_place(_events(t), D.author_sets(t)).join(home, "user_id").select("event_id", "place_name", "ts", *at)
+
+
+add("s_state", lambda t: streams.latest_sums(streams.running_sums(_place_pings(t))),
+    """SELECT place_name, count(*) AS n, sum(p.lat_u + event_id % 1000)::BIGINT AS lat_sum, sum(p.lon_u + event_id % 1000)::BIGINT AS lon_sum
+FROM events e JOIN authors a ON a.user_id = e.user_id JOIN resident r ON r.user_id = e.user_id JOIN place p ON p.poi_id = r.poi_id GROUP BY 1""", FP)
+add("s_late", lambda t: streams.late_counts(_events(t).withColumn("batch", F.col("event_id") % 8), "batch"),
+    """WITH e AS (SELECT event_id % 8 AS batch, ts FROM events), top AS (SELECT batch, max(ts) AS top FROM e GROUP BY 1),
+mark AS (SELECT batch, max(top) OVER (ORDER BY batch ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) - INTERVAL 1 DAY AS mark FROM top)
+SELECT e.batch, count(*) AS n, count(CASE WHEN ts < mark THEN 1 END) AS late FROM e JOIN mark USING (batch) GROUP BY 1""", views=False)
