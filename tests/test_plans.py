@@ -92,6 +92,22 @@ def test_state_is_kept_across_batches_and_late_rows_are_counted(spark, tmp_path)
     assert streams.late_rows(q.recentProgress) > 0
 
 
+def test_forgotten_keys_start_again_and_totals_stay_whole(spark, tmp_path):
+    schema = "event_id bigint, place_name string, ts timestamp, lat_u bigint, lon_u bigint"
+    (tmp_path / "in").mkdir()
+    pings, seen = spark.readStream.schema(schema).parquet(str(tmp_path / "in")), []
+    out = streams.running_sums(pings, slots=1).writeStream.outputMode("update").option("checkpointLocation", str(tmp_path / "state")).trigger(availableNow=True)
+    out = out.foreachBatch(lambda b, i: seen.extend(b.collect()))
+    # "a" is silent for longer than the 30 days after which a key is forgotten; "b" moves the watermark on.
+    for rows in ([(1, "a", "2024-01-01"), (2, "a", "2024-01-01")], [(3, "b", "2024-03-01")], [(4, "b", "2024-03-02")], [(5, "a", "2024-03-03")]):
+        df = spark.createDataFrame([(*r, 10, 1) for r in rows], "event_id bigint, place_name string, ts string, lat_u bigint, lon_u bigint")
+        df.withColumn("ts", F.col("ts").cast("timestamp")).coalesce(1).write.mode("append").parquet(str(tmp_path / "in"))
+        out.start().awaitTermination(60)
+    assert [r.n for r in seen if r.place_name == "a"] == [2, 1]
+    assert [r.n for r in seen if r.place_name == "b"] == [1, 2]
+    assert norm(streams.latest_sums(spark.createDataFrame(seen, streams.SUMS)).collect()) == [("a", "3", "30", "3"), ("b", "2", "20", "2")]
+
+
 def test_sinks_prune_and_join_without_shuffle(spark, tmp_path):
     df = spark.createDataFrame([(c, d, u, u * 10) for c in (0, 1) for d in (0, 1, 2) for u in range(20)], "city int, district int, user_id bigint, v bigint")
     write_partitioned(df, str(tmp_path / "p"))

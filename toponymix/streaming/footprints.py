@@ -57,39 +57,40 @@ def view_before_purchase(events: DataFrame, within: str = "1 hour", delay: str =
     return v.join(p, F.expr(f"vu = pu AND vt <= pt AND vt >= pt - INTERVAL {within}")).select("view_id", "purchase_id")
 
 
-SUMS = "place_name string, slot int, n bigint, lat_sum bigint, lon_sum bigint"
+SUMS = "place_name string, slot int, since bigint, n bigint, lat_sum bigint, lon_sum bigint"
 
 
 def running_sums(pings: DataFrame, delay: str = "1 day", expiry_ms: int = 30 * 86_400_000, slots: int = 16) -> DataFrame:
-    """(place_name, slot, n, lat_sum, lon_sum) so far, from pings (event_id, place_name, ts, lat_u, lon_u).
+    """(place_name, slot, since, n, lat_sum, lon_sum) so far, from pings (event_id, place_name, ts, lat_u, lon_u).
 
     A stream updates keyed state and forgets a key `expiry_ms` of event time after its last ping. A name's pings are dealt over
-    `slots` keys, so a name that many people write isn't the work of one task; `latest_sums` adds the slots up again.
+    `slots` keys, so a name that many people write isn't the work of one task. A key that comes back after it was forgotten starts
+    at zero under a later `since` (the watermark at its start); `latest_sums` adds slots and lives up again.
     """
     keyed = pings.withColumn("slot", F.pmod("event_id", F.lit(slots)).cast("int"))
     if not pings.isStreaming:
         sums = [F.count(F.lit(1)).alias("n"), F.sum("lat_u").alias("lat_sum"), F.sum("lon_u").alias("lon_sum")]
-        return keyed.groupBy("place_name", "slot").agg(*sums)
+        return keyed.groupBy("place_name", "slot").agg(*sums).withColumn("since", F.lit(0).cast("bigint"))
 
     def update(key: tuple, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
         if state.hasTimedOut:
             state.remove()
             return
-        n, lat, lon, last = state.get if state.exists else (0, 0, 0, 0)
+        since, n, lat, lon, last = state.get if state.exists else (state.getCurrentWatermarkMs(), 0, 0, 0, 0)
         for f in frames:
             n, lat, lon = n + len(f), lat + int(f["lat_u"].sum()), lon + int(f["lon_u"].sum())
             last = max(last, int(f["ms"].max()))
-        state.update((n, lat, lon, last))
+        state.update((since, n, lat, lon, last))
         state.setTimeoutTimestamp(max(last, state.getCurrentWatermarkMs()) + expiry_ms)
-        yield pd.DataFrame({"place_name": [key[0]], "slot": [key[1]], "n": [n], "lat_sum": [lat], "lon_sum": [lon]})
+        yield pd.DataFrame({"place_name": [key[0]], "slot": [key[1]], "since": [since], "n": [n], "lat_sum": [lat], "lon_sum": [lon]})
 
     timed = keyed.withWatermark("ts", delay).withColumn("ms", F.unix_millis("ts")).groupBy("place_name", "slot")
-    return timed.applyInPandasWithState(update, SUMS, "n bigint, lat bigint, lon bigint, last bigint", "update", GroupStateTimeout.EventTimeTimeout)
+    return timed.applyInPandasWithState(update, SUMS, "since bigint, n bigint, lat bigint, lon bigint, last bigint", "update", GroupStateTimeout.EventTimeTimeout)
 
 
 def latest_sums(updates: DataFrame) -> DataFrame:
-    """(place_name, n, lat_sum, lon_sum) from the rows that `running_sums` has put out; the fullest row of a slot is its last."""
-    last = updates.groupBy("place_name", "slot").agg(F.max(F.struct("n", "lat_sum", "lon_sum")).alias("s"))
+    """(place_name, n, lat_sum, lon_sum) from the rows that `running_sums` has put out; the fullest row of a life is its last."""
+    last = updates.groupBy("place_name", "slot", "since").agg(F.max(F.struct("n", "lat_sum", "lon_sum")).alias("s"))
     return last.groupBy("place_name").agg(*[F.sum(f"s.{c}").alias(c) for c in ("n", "lat_sum", "lon_sum")])
 
 
