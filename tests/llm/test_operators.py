@@ -110,6 +110,26 @@ def test_top_k_equals_brute_force(spark):
     assert topk_search.top_k(spark, df.limit(0)).count() == 0
 
 
+def test_top_k_drops_pairs_of_blocks_on_clustered_vectors(spark, monkeypatch):
+    """Bounds of whole trees rule out most pairs where vectors cluster, a crowded centre is split, and answers stay exact."""
+    monkeypatch.setattr(topk_search, "GROUP", 40)
+    monkeypatch.setattr(topk_search, "BLOCK", 150)
+    rng = np.random.default_rng(12)
+    middle = rng.normal(size=(20, 16))
+    x = middle[rng.integers(0, 20, 3000)] + rng.normal(scale=0.02, size=(3000, 16))
+    x[1000:2000] = x[0]
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id bigint, embedding array<double>").repartition(4)
+    pairs, asked, trees = topk_search._pairs(spark, df, 10, 50, 1024.0, 4096)
+    assert trees.count() > 20 and pairs.count() < 0.5 * asked.count() * trees.count()
+    v = np.floor(1024 * x).astype(np.int64)
+    want = {}
+    for q in range(0, 3000, 50):
+        s = v @ v[q]
+        s[q] = -(2**62)
+        want |= {(q, k + 1): (int(i), int(s[i])) for k, i in enumerate(np.lexsort((np.arange(3000), -s))[:10])}
+    assert {(r.query_id, r.rank): (r.vec_id, r.score) for r in topk_search.top_k(spark, df, every=50).collect()} == want
+
+
 def test_top_k_counts_repeated_rows_like_the_sql(spark):
     """One id fills the top k by its copies; query ids repeat, with equal and other vectors; many queries share a vector."""
     rng = np.random.default_rng(8)

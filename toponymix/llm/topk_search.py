@@ -1,10 +1,12 @@
 """Exact top-k inner-product search with dual cover trees.
 
-Vectors are cut into blocks inside the scan; each block becomes one cover tree (nested centres whose children lie within
-a shrinking radius). Queries found in a block get a first k-th score from that block's own tree. Query blocks are then
-replicated over a fixed number of groups and meet every data block once; both are trees, and a pair of nodes is dropped
-when even its best possible product, from centres and covering radii, stays below the worst k-th score of the
-query node. Scores are exact integers; ties go to the smaller id.
+Rows are dealt to the nearest of a bounded sample of centres (`most_centres`; every row is indexed), and the rows of a
+centre, in parts of bounded expected size, become one cover tree each (nested centres whose children lie within a shrinking
+radius). Queries meet the trees' means and radii in blocks of both: first each query visits the few trees whose means promise
+most, which gives it a k-th score; then it goes to every tree whose best possible product reaches that score, and to no
+other. At a tree its askers form a tree too, and a pair of nodes is dropped when even its best possible product, from
+centres and covering radii, stays below the worst k-th score of the query node. Scores are exact integers; ties go to
+the smaller id.
 
 Edge cases: null vectors and vectors with null or non-finite components take no part, empty vectors neither; vectors meet
 only vectors of their length; repeated rows count as the SQL counts them: each is a candidate of its own, and each row
@@ -23,14 +25,15 @@ from dataclasses import dataclass, replace
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
+from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import materialise, partitions
+from .common import materialise
 
-BLOCK = 4096
-QUERY_BLOCK = 1024
+#: Rows expected at a centre; most rows expected in a tree; askers and trees compared at once; askers at a tree; first visits.
+GROUP, BLOCK, QUERY_BLOCK, ASKERS, SEEDS = 512, 4096, 1024, 4096, 2
 LIMIT = 2**63 - 1
 
 
@@ -187,8 +190,8 @@ def search(queries: CoverTree, data: CoverTree, floor: np.ndarray, k: int) -> Be
     return best
 
 
-def _vectors(batch: pa.RecordBatch, scale: float) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-    """(ids, floor(scale * x)) of the usable rows, by vector length."""
+def _vectors(batch: pa.RecordBatch, scale: float) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+    """(rows, ids, floor(scale * x)) of the usable rows, by vector length."""
     col, ids = batch.column("embedding"), batch.column("vec_id")
     n = pc.list_value_length(col).fill_null(0).to_numpy(zero_copy_only=False)
     flat = col.flatten().cast(pa.float64())
@@ -200,62 +203,136 @@ def _vectors(batch: pa.RecordBatch, scale: float) -> Iterator[tuple[np.ndarray,
     keys = ids.fill_null(0).to_numpy(zero_copy_only=False)
     for d in np.unique(n[good]):
         rows = np.flatnonzero(good & (n == d))
-        yield keys[rows], np.floor(scale * flat[first[rows][:, None] + np.arange(d)])
+        yield rows, keys[rows], np.floor(scale * flat[first[rows][:, None] + np.arange(d)]) + 0.0
 
 
-def _blocks(table: DataFrame, k: int, every: int, scale: float) -> DataFrame:
-    """One row per data tree, and one per query (id, vector) with its copies in the block and its first k-th score."""
+def _centres(table: DataFrame, scale: float, most: int) -> dict[int, np.ndarray]:
+    """By vector length, distinct vectors of a sample of rows: one row in GROUP, at most `most` rows, by hash of the id."""
+    n = table.count()
+    few = table.orderBy(F.xxhash64("vec_id"), "vec_id").limit(min(most, -(-n // GROUP))).toArrow().combine_chunks()
+    out: dict[int, list[np.ndarray]] = {}
+    for batch in few.to_batches():
+        for _, _, x in _vectors(batch, scale):
+            out.setdefault(x.shape[1], []).append(x)
+    return {d: np.unique(np.concatenate(xs), axis=0) for d, xs in out.items()}
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for ids, x in _vectors(batch, scale):
-                for i in range(0, len(ids), BLOCK):
-                    part, px = ids[i : i + BLOCK], x[i : i + BLOCK]
-                    tree = build(px, part, k)
-                    mine = part % every == 0
-                    rows = [(px.shape[1], None, 0, 0, pickle.dumps(tree, 5))]
-                    if mine.any():
-                        one, copies = np.unique(np.column_stack([part[mine], (px[mine] + 0.0).view(np.int64)]), axis=0, return_counts=True)
-                        qs, order = query_tree(one[:, 0], one[:, 1:].copy().view(np.float64))
-                        best = search(qs, tree, np.full(len(qs.ids), -LIMIT), k)
-                        vec = qs.points[np.repeat(np.arange(len(qs.points)), np.diff(qs.member_start))]
-                        rows += [(px.shape[1], int(q), int(f), int(c), v.tobytes()) for q, f, c, v in zip(qs.ids, best.floor, copies[order], vec, strict=True)]
-                    types = (pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.binary())
-                    yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), types, strict=True)], ["dim", "query", "floor", "copies", "body"])
-
-    return table.select(F.col("vec_id").cast("long"), "embedding").mapInArrow(run, "dim int, query long, floor long, copies long, body binary")
-
-
-def top_k(spark: SparkSession, table: DataFrame, k: int = 10, every: int = 100, scale: float = 1024.0) -> DataFrame:
-    """(query_id, rank, vec_id, score) for the rows whose id is divisible by `every`."""
-    made = materialise(_blocks(table, k, every, scale), spark)
-    groups = max(1, partitions(spark))
-    asked = made.where(F.col("query").isNotNull()).groupBy("dim", "query", "body").agg(F.max("floor").alias("floor"), F.sum("copies").alias("copies"))
-    count = asked.count()
-    qb = F.pmod(F.xxhash64("query"), F.lit(max(1, -(-count // QUERY_BLOCK)))).cast("int")
-    # Queries are gathered by block of bounded expected size, then copied once to each group of data blocks.
-    packed = asked.groupBy("dim", qb.alias("qb")).agg(F.collect_list(F.struct("query", "floor", "copies", "body")).alias("qs"))
-    packed = packed.withColumn("g", F.explode(F.sequence(F.lit(0), F.lit(groups - 1))))
-    trees = made.where(F.col("query").isNull()).select("dim", F.col("body").alias("tree"), F.pmod(F.xxhash64("body"), F.lit(groups)).cast("int").alias("g"))
-    pairs = trees.join(packed, ["dim", "g"]).select("dim", "tree", "qs")
+
+def _assign(table: DataFrame, centres: dict[int, np.ndarray], every: int, scale: float) -> DataFrame:
+    """The usable rows with their nearest centre, a number of their own, and their integer vector where they ask."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        next_row = TaskContext.get().partitionId() << 36
         for batch in batches:
-            for r in range(batch.num_rows):
-                dim = batch.column("dim")[r].as_py()
-                tree: CoverTree = pickle.loads(batch.column("tree")[r].as_buffer())
-                qs = batch.column("qs")[r].values
-                ids = qs.field("query").to_numpy()
-                x = np.frombuffer(b"".join(qs.field("body").to_pylist()), np.float64).reshape(-1, dim)
-                group, order = query_tree(ids, x)
-                best = search(group, tree, qs.field("floor").to_numpy()[order], k)
-                # Every copy of a query row brings the same answers; k of them fill its ranks.
-                times = qs.field("copies").to_numpy()[order]
-                got_ids, got = ([np.repeat(v, min(int(c), k))[:k] for v, c in zip(side, times, strict=True)] for side in (best.ids, best.scores))
-                n = [len(s) for s in got]
-                yield pa.RecordBatch.from_arrays([pa.array(np.repeat(group.ids, n)), pa.array(np.concatenate(got_ids)), pa.array(np.concatenate(got))], ["query_id", "vec_id", "score"])
-
-    found = pairs.mapInArrow(run, "query_id long, vec_id long, score long")
+            for rows, ids, x in _vectors(batch, scale):
+                at = np.zeros(len(rows), np.int64)
+                c = centres.get(x.shape[1])
+                for i in range(0, len(rows) if c is not None else 0, 1024):
+                    at[i : i + 1024] = np.argmin((c * c).sum(1) - 2 * (x[i : i + 1024] @ c.T), 1)
+                body = [v.tobytes() if asks else None for v, asks in zip(x, ids % every == 0, strict=True)]
+                number = np.arange(next_row, next_row + len(rows))
+                next_row += len(rows)
+                yield pa.RecordBatch.from_arrays(
+                    [pa.array(ids), batch.column("embedding").take(pa.array(rows)), pa.array(np.full(len(rows), x.shape[1], np.int32)), pa.array(at), pa.array(number), pa.array(body, pa.binary())],
+                    ["vec_id", "embedding", "dim", "centre", "row", "body"],
+                )
+
+    kind = table.schema["embedding"].dataType.simpleString()
+    return table.mapInArrow(run, f"vec_id long, embedding {kind}, dim int, centre long, row long, body binary")
+
+
+def _plant(assigned: DataFrame, k: int, scale: float) -> DataFrame:
+    """One row per data tree: (dim, tree, mean, radius, body). A centre of more than BLOCK rows gets several trees."""
+    sizes = assigned.groupBy("dim", "centre").agg(F.ceil(F.count(F.lit(1)) / BLOCK).alias("parts"))
+    dealt = assigned.join(sizes, ["dim", "centre"]).select("vec_id", "embedding", "dim", (F.col("centre") * (1 << 32) + F.pmod(F.xxhash64("row"), "parts")).alias("tree"))
+
+    def run(rows: pa.Table) -> pa.Table:
+        ((_, ids, x),) = _vectors(rows.combine_chunks().to_batches()[0], scale)
+        mean = x.mean(0)
+        far = float(np.sqrt(((x - mean) ** 2).sum(1)).max()) * (1 + 1e-9)
+        cells = (rows.column("dim")[0], rows.column("tree")[0], mean.tobytes(), far, pickle.dumps(build(x, ids, k), 5))
+        return pa.Table.from_arrays([pa.array([v.as_py() if isinstance(v, pa.Scalar) else v], t) for v, t in zip(cells, (pa.int32(), pa.int64(), pa.binary(), pa.float64(), pa.binary()), strict=True)], ["dim", "tree", "mean", "radius", "body"])
+
+    return dealt.groupBy("dim", "tree").applyInArrow(run, "dim int, tree long, mean binary, radius double, body binary")
+
+
+def _matrix(column: pa.ChunkedArray, dim: int) -> np.ndarray:
+    return np.frombuffer(b"".join(column.to_pylist()), np.float64).reshape(-1, dim)
+
+
+def _candidates(asked: DataFrame, trees: DataFrame, seeds: int | None) -> DataFrame:
+    """(dim, qid, tree, best): pairs of askers and trees, read from the trees' means and radii in blocks of both.
+
+    With `seeds`, each asker's trees of largest product with the mean, so many of each block; without, all trees whose best
+    possible product reaches the asker's floor.
+    """
+    n_q, n_t = asked.count(), trees.count()
+    parts_q, parts_t = max(1, -(-n_q // QUERY_BLOCK)), max(1, -(-n_t // QUERY_BLOCK))
+    every = lambda n: F.explode(F.sequence(F.lit(0).cast("long"), F.lit(n - 1).cast("long")))
+    left = asked.select("dim", "qid", "floor", F.col("body").alias("vector"), F.pmod(F.xxhash64("qid"), F.lit(parts_q)).alias("pq")).withColumn("pt", every(parts_t))
+    right = trees.select("dim", "tree", "mean", "radius", F.pmod(F.xxhash64("tree"), F.lit(parts_t)).alias("pt")).withColumn("pq", every(parts_q))
+
+    def run(qs: pa.Table, ts: pa.Table) -> pa.Table:
+        if qs.num_rows and ts.num_rows:
+            dim = qs.column("dim")[0].as_py()
+            q, mean = _matrix(qs.column("vector"), dim), _matrix(ts.column("mean"), dim)
+            best = q @ mean.T
+            if seeds:
+                keep = np.argsort(-best, 1, kind="stable")[:, :seeds]
+                at, to = np.repeat(np.arange(len(q)), keep.shape[1]), keep.ravel()
+            else:
+                best = best + np.sqrt((q**2).sum(1))[:, None] * ts.column("radius").to_numpy()
+                at, to = np.nonzero(best + 1e-9 * np.abs(best) + 1 >= qs.column("floor").to_numpy()[:, None])
+            cells = [np.full(len(at), dim, np.int32), qs.column("qid").to_numpy()[at], ts.column("tree").to_numpy()[to], best[at, to]]
+        else:
+            cells = [np.zeros(0, t) for t in (np.int32, np.int64, np.int64, np.float64)]
+        return pa.Table.from_arrays([pa.array(c) for c in cells], ["dim", "qid", "tree", "best"])
+
+    keys = ["dim", "pq", "pt"]
+    return left.groupBy(*keys).cogroup(right.groupBy(*keys)).applyInArrow(run, "dim int, qid long, tree long, best double")
+
+
+def _visit(pairs: DataFrame, asked: DataFrame, trees: DataFrame, k: int) -> DataFrame:
+    """(qid, query_id, vec_id, score, times): what each tree has for the askers paired with it, at most ASKERS at a time."""
+    parts = pairs.groupBy("dim", "tree").agg(F.ceil(F.count(F.lit(1)) / ASKERS).alias("parts"))
+    keys = ["dim", "tree", "part"]
+    left = pairs.select("dim", "qid", "tree").join(asked.drop("dim"), "qid").join(parts, ["dim", "tree"]).withColumn("part", F.pmod(F.xxhash64("qid"), "parts"))
+    right = trees.select("dim", "tree", F.col("body").alias("data")).join(parts, ["dim", "tree"]).withColumn("part", F.explode(F.sequence(F.lit(0).cast("long"), F.col("parts") - 1)))
+    names = ["qid", "query_id", "vec_id", "score", "times"]
+
+    def run(qs: pa.Table, ts: pa.Table) -> pa.Table:
+        if not qs.num_rows or not ts.num_rows:
+            return pa.Table.from_arrays([pa.array([], pa.int64())] * len(names), names)
+        group, order = query_tree(qs.column("query").to_numpy(), _matrix(qs.column("body"), qs.column("dim")[0].as_py()))
+        best = search(group, pickle.loads(ts.column("data")[0].as_py()), qs.column("floor").to_numpy()[order], k)
+        n = [len(s) for s in best.scores]
+        askers = (np.repeat(v, n) for v in (qs.column("qid").to_numpy()[order], group.ids))
+        times = np.repeat(np.minimum(qs.column("copies").to_numpy()[order], k), n)
+        return pa.Table.from_arrays([pa.array(v) for v in (*askers, np.concatenate(best.ids), np.concatenate(best.scores), times)], names)
+
+    return left.select(*keys, "qid", "query", "copies", "floor", "body").groupBy(*keys).cogroup(right.select(*keys, "data").groupBy(*keys)).applyInArrow(run, ", ".join(f"{c} long" for c in names))
+
+
+def _pairs(spark: SparkSession, table: DataFrame, k: int, every: int, scale: float, most_centres: int) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """(pairs that no bound rules out, askers with floors, trees)."""
+    table = table.select(F.col("vec_id").cast("long"), "embedding")
+    assigned = materialise(_assign(table, _centres(table, scale, most_centres), every, scale), spark)
+    trees = materialise(_plant(assigned, k, scale), spark)
+    asked = assigned.where(F.col("body").isNotNull()).groupBy("dim", F.col("vec_id").alias("query"), "body").agg(F.count(F.lit(1)).alias("copies"))
+    asked = materialise(asked.withColumn("qid", F.monotonically_increasing_id()).withColumn("floor", F.lit(-LIMIT)), spark)
+
+    nearest = F.row_number().over(W.partitionBy("qid").orderBy(F.col("best").desc(), "tree"))
+    first = materialise(_candidates(asked, trees, SEEDS).withColumn("n", nearest).where(F.col("n") <= SEEDS).drop("n"), spark)
+    place = F.row_number().over(W.partitionBy("qid").orderBy(F.col("score").desc()))
+    floors = _visit(first, asked, trees, k).withColumn("n", place).where(F.col("n") <= k).where(F.col("n") == k).select("qid", F.col("score").alias("known"))
+    asked = materialise(asked.join(floors, "qid", "left").withColumn("floor", F.coalesce("known", "floor")).drop("known"), spark)
+    return materialise(_candidates(asked, trees, None), spark), asked, trees
+
+
+def top_k(spark: SparkSession, table: DataFrame, k: int = 10, every: int = 100, scale: float = 1024.0, most_centres: int = 4096) -> DataFrame:
+    """(query_id, rank, vec_id, score) for the rows whose id is divisible by `every`."""
+    found = _visit(*_pairs(spark, table, k, every, scale, most_centres), k)
+    # Every copy of a query row brings the same answers; k of them fill its ranks.
+    found = found.withColumn("copy", F.explode(F.sequence(F.lit(1).cast("long"), F.col("times"))))
     rank = F.row_number().over(W.partitionBy("query_id").orderBy(F.col("score").desc(), "vec_id"))
     return found.withColumn("rank", rank.cast("int")).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
 
