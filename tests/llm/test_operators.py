@@ -379,16 +379,37 @@ def test_language_model_normalises_and_base_is_exact(spark):
         assert rows[i].base_score == pytest.approx(sum(np.log10((train.get(w, 0) + 1) / (total + len(train) + 1)) for w in ws))
         assert (rows[i].n_tokens, rows[i].n_known, rows[i].train_tokens) == (len(ws), sum(w in train for w in ws), total)
     assert sum(r.score for r in rows.values()) > 0.8 * sum(r.base_score for r in rows.values())
-    model = lm_scoring.train(np.random.default_rng(1).integers(0, 9, (5, 4)).astype(float))
-    assert np.exp(model.log_probabilities()).sum(1) == pytest.approx(1)
+    near, far, norm = lm_scoring.train(*np.random.default_rng(1).integers(0, 9, (2, 5, 4)).astype(float)).tables()
+    assert (10 ** (near[:, None, :] + far[None] - norm[:, :, None])).sum(2) == pytest.approx(1, abs=1e-5)
     assert lm_scoring.score_texts(spark, docs(spark, []).select("doc_id", "text")).count() == 0
 
 
+def test_language_model_learns_from_both_words_before():
+    """A word that depends on the word two before it alone is foretold by the second position only."""
+    rng, n = np.random.default_rng(4), 6
+    texts = []
+    for _ in range(400):
+        t = [int(x) for x in rng.integers(2, n, 2)]
+        while len(t) < 30:
+            t.append(t[-2] if rng.random() < 0.8 else int(rng.integers(2, n)))
+        texts.append([*t, lm_scoring.STOP])
+    first, second = np.zeros((n + 1, n)), np.zeros((n + 1, n))
+    tokens = [(a, b, c) for t in texts for a, b, c in zip([n, n, *t], [n, *t], t)]
+    for two, one, w in tokens:
+        first[one, w] += 1
+        second[two, w] += 1
+    near, far, norm = lm_scoring.train(first, second).tables()
+    both = np.mean([near[one, w] + far[two, w] - norm[one, two] for two, one, w in tokens])
+    alone = np.mean([near[one, w] - np.log10((10 ** near[one]).sum()) for _, one, w in tokens])
+    entropy = -np.mean([np.log10(second[two, w] / second[two].sum()) for two, _, w in tokens])
+    assert both > alone + 0.1 and -both < entropy + 0.01
+
+
 def test_scores_are_sums_of_the_models_own_probabilities(spark, monkeypatch):
     """Every row's score is a plain sum over its tokens, and the probabilities of all tokens after a context add to one."""
     made = []
     train = lm_scoring.train
-    monkeypatch.setattr(lm_scoring, "train", lambda pairs: made.append(train(pairs)) or made[-1])
+    monkeypatch.setattr(lm_scoring, "train", lambda *pairs: made.append(train(*pairs)) or made[-1])
     rng = random.Random(16)
     texts = [" ".join(f"w{min(rng.randrange(40), rng.randrange(40))}" for _ in range(rng.randrange(30))) for _ in range(80)] + [None, "", "never seen"]
     rows = {r.doc_id: r.score for r in lm_scoring.score_texts(spark, docs(spark, texts).select("doc_id", "text"), n_classes=12, frequent=10**6).collect()}
@@ -402,16 +423,18 @@ def test_scores_are_sums_of_the_models_own_probabilities(spark, monkeypatch):
     cls = {w: 2 + k for k, w in enumerate(ranked)} | {None: 1}
     other = [w for w in count if w not in cls]
     size = sum(count[w] for w in other) + len(other) + 1
-    logp = made[0].log_probabilities() / np.log(10)
+    scores = [side.scores().astype(float) for side in (made[0].near, made[0].far)]
+    logp = scores[0][:, None] + scores[1][None]
+    logp = (logp - np.log(np.exp(logp).sum(2, keepdims=True))) / np.log(10)
     inside = lambda w: np.log10((count.get(w, 0) + 1) / size) if w not in cls else 0.0
     for i, x in enumerate(texts):
-        before, want = 12, 0.0
+        before, want = (12, 12), 0.0
         for w in [*(x or "").split(), None]:
-            want += logp[before, cls.get(w, 0)] + inside(w)
-            before = cls.get(w, 0)
+            want += logp[*before, cls.get(w, 0)] + inside(w)
+            before = (cls.get(w, 0), before[0])
         assert rows[i] == pytest.approx(want, abs=1e-4)
-    for before in range(13):
-        total = sum(10 ** (logp[before, cls.get(w, 0)] + inside(w)) for w in [*count, "unseen"])
+    for before in itertools.product(range(13), range(13)):
+        total = sum(10 ** (logp[*before, cls.get(w, 0)] + inside(w)) for w in [*count, "unseen"])
         assert total == pytest.approx(1, abs=1e-5)
 
 

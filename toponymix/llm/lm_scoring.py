@@ -2,10 +2,16 @@
 
 Word counts of all training texts are summed on the cluster; the most frequent words become the model's classes, with
 one class for the end of a text and one for all other words, whose members share that class's mass by their counts. The
-model predicts the next class from the vector of the word before: score = C[h] . R[w] + b[w]. Its noise-contrastive
-objective depends on the corpus only through the pair counts of classes, which are summed over all training texts, so
-training is exact full-batch ascent over the whole corpus with a driver footprint fixed by the number of classes.
-Scoring multiplies the two factor matrices in one batched product, normalises each row, and looks tokens up.
+model predicts the next class w from the two words before it, each position with matrices of its own:
+score = C1[h1] . R1[w] + b1[w] + C2[h2] . R2[w] + b2[w].
+
+Training is noise-contrastive, position after position. The nearest is held against smoothed unigram noise. The second is
+held against noise drawn from the model of the first, so the first cancels in its odds and its objective depends on the
+corpus only through pair counts at distance two and the expected noise; the latter follows from the pair counts at distance
+one, as all but the last of them are the contexts of a next token. Both tables are summed over all training texts: training
+is exact full-batch ascent over the whole corpus with a driver footprint fixed by the number of classes. Batched products of
+the factors give the scores of all contexts and, in one more product, the normaliser of every pair of contexts; tokens look
+them up.
 
 Counts of frequent words (at most `frequent`, documented bound) are broadcast; counts of all rarer words are joined by
 a shuffle, so every token meets its exact count. Words are told apart by a 64-bit hash.
@@ -78,8 +84,8 @@ def token_counts(docs: DataFrame, hold: int = 1_500_000) -> DataFrame:
     return docs.select("text").mapInArrow(run, "h long, c long").groupBy("h").agg(F.sum("c").alias("c"))
 
 
-def classes_of(vocab: Vocabulary, words: np.ndarray, counts: np.ndarray, n_classes: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """(class before, class, row, position in the vocabulary) of every token, each row closed by its end token."""
+def classes_of(vocab: Vocabulary, words: np.ndarray, counts: np.ndarray, n_classes: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(class before, class before that, class, row, position in the vocabulary) of every token, each row closed by its end token."""
     at = vocab.find(words)
     own = np.where(at >= 0, vocab.ids[at] if len(vocab.ids) else OTHER, OTHER)
     rows = np.arange(len(counts))
@@ -91,19 +97,26 @@ def classes_of(vocab: Vocabulary, words: np.ndarray, counts: np.ndarray, n_class
     cls[~is_end], pos[~is_end] = own, at
     before = np.empty(total, np.int64)
     before[1:] = cls[:-1]
-    before[ends - counts] = n_classes  # the start of a text is a context of its own
-    return before, cls, np.repeat(rows, counts + 1), pos
+    second = np.empty(total, np.int64)
+    second[2:] = cls[:-2]
+    # The start of a text is a context of its own.
+    before[ends - counts] = n_classes
+    second[ends - counts] = n_classes
+    second[(ends - counts + 1)[counts > 0]] = n_classes
+    return before, second, cls, np.repeat(rows, counts + 1), pos
 
 
 def pair_counts(docs: DataFrame, vocab, n_classes: int) -> DataFrame:
-    """(pair, c): how often each class follows each context class, over all texts."""
+    """(pair, c): how often each class follows each context class, over all texts; then the same at distance two."""
+    cells = (n_classes + 1) * n_classes
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        total = np.zeros((n_classes + 1) * n_classes, np.int64)
+        total = np.zeros(2 * cells, np.int64)
         for batch in batches:
             for _, _, words, counts in _slices(batch):
-                before, cls, _, _ = classes_of(vocab.value, words, counts, n_classes)
-                total += np.bincount(before * n_classes + cls, minlength=len(total))
+                before, second, cls, _, _ = classes_of(vocab.value, words, counts, n_classes)
+                for at, context in enumerate((before, second)):
+                    total[at * cells : (at + 1) * cells] += np.bincount(context * n_classes + cls, minlength=cells)
         there = np.flatnonzero(total)
         yield pa.RecordBatch.from_arrays([pa.array(there), pa.array(total[there])], ["pair", "c"])
 
@@ -111,42 +124,73 @@ def pair_counts(docs: DataFrame, vocab, n_classes: int) -> DataFrame:
 
 
 @dataclass
-class LogBilinear:
+class Position:
     context: np.ndarray
     target: np.ndarray
     bias: np.ndarray
 
-    def log_probabilities(self) -> np.ndarray:
-        """Normalised natural-log probabilities: rows are contexts."""
-        s = self.context @ self.target.T + self.bias
-        top = s.max(1, keepdims=True)
-        return s - top - np.log(np.exp(s - top).sum(1, keepdims=True))
+    def scores(self) -> np.ndarray:
+        """Rows are contexts, columns classes."""
+        return self.context @ self.target.T + self.bias
+
+
+@dataclass
+class LogBilinear:
+    near: Position
+    far: Position
 
+    def tables(self) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(near, far, norm) in base 10: a class w after h1, with h2 before that, has near[h1, w] + far[h2, w] - norm[h1, h2]."""
+        near, far = self.near.scores(), self.far.scores()
+        near -= near.max(1, keepdims=True)
+        far -= far.max(1, keepdims=True)
+        norm = np.log10(np.maximum(np.exp(near) @ np.exp(far).T, 1e-37))
+        return near / np.float32(math.log(10)), far / np.float32(math.log(10)), norm
 
-def train(pairs: np.ndarray, dims: int = 24, noise: int = 10, steps: int = 250, rate: float = 0.03, seed: int = 7) -> LogBilinear:
-    """Ascent on the expected noise-contrastive objective of the pair counts (contexts by classes), with Adam.
 
-    Noise is the smoothed unigram distribution; its expectation is taken in closed form instead of by sampling.
+def ascend(data: np.ndarray, drawn: np.ndarray, offset: np.ndarray | float, bias: np.ndarray, decay: float, dims: int, steps: int, rate: float, seed: int) -> Position:
+    """Ascent with Adam on the expected noise-contrastive objective of one position.
+
+    data and drawn are the shares of true and of noise tokens by context and class, offset is the log density of the noise that
+    the scores are held against. The noise's expectation is taken in closed form instead of by sampling. decay draws the factors
+    to zero, as a normal prior does.
     """
     rng = np.random.default_rng(seed)
-    contexts, classes = pairs.shape
-    data = (pairs / max(pairs.sum(), 1)).astype(np.float32)
-    unigram = (pairs.sum(0) + 1.0) / (pairs.sum() + classes)
-    log_noise = np.log(noise * unigram).astype(np.float32)
-    drawn = (data.sum(1, keepdims=True) * noise * unigram).astype(np.float32)
-    p = [rng.normal(0, 0.1, (contexts, dims)).astype(np.float32), rng.normal(0, 0.1, (classes, dims)).astype(np.float32), np.log(unigram).astype(np.float32)]
+    contexts, classes = data.shape
+    p = [rng.normal(0, 0.1, (contexts, dims)).astype(np.float32), rng.normal(0, 0.1, (classes, dims)).astype(np.float32), bias.astype(np.float32)]
     m, v = [np.zeros_like(x) for x in p], [np.zeros_like(x) for x in p]
+    both = data + drawn
     for step in range(1, steps + 1):
-        delta = p[0] @ p[1].T + (p[2] - log_noise)
-        sure = 1 / (1 + np.exp(-delta))
-        g = data - (data + drawn) * sure
-        grads = [g @ p[1], g.T @ p[0], g.sum(0)]
+        delta = p[0] @ p[1].T + (p[2] - offset)
+        g = data - both / (1 + np.exp(-delta))
+        grads = [g @ p[1] - decay * p[0], g.T @ p[0] - decay * p[1], g.sum(0)]
         lr = rate * (1 - 0.9 * step / steps)
         for k, d in enumerate(grads):
             m[k] = 0.9 * m[k] + 0.1 * d
             v[k] = 0.99 * v[k] + 0.01 * d * d
             p[k] = p[k] + lr * (m[k] / (1 - 0.9**step)) / (np.sqrt(v[k] / (1 - 0.99**step)) + 1e-9)
-    return LogBilinear(*p)
+    return Position(*p)
+
+
+def train(first: np.ndarray, second: np.ndarray, dims: int = 24, noise: int = 10, prior: float = 4.0, steps: int = 250, rate: float = 0.03, seed: int = 7) -> LogBilinear:
+    """Model of the pair counts (contexts by classes) at distances one and two; the last context is the start of a text.
+
+    prior is the precision of the factors in units of one token, so its weight falls as the corpus grows.
+    """
+    classes, total = first.shape[1], max(first.sum(), 1)
+    unigram = (first.sum(0) + 1.0) / (first.sum() + classes)
+    data = (first / total).astype(np.float32)
+    near = ascend(data, (data.sum(1, keepdims=True) * noise * unigram).astype(np.float32), np.log(noise * unigram).astype(np.float32), np.log(unigram), float(prior / total), dims, steps, rate, seed)
+    s = near.scores()
+    p = np.exp(s - s.max(1, keepdims=True))
+    p /= p.sum(1, keepdims=True)
+    # Share of tokens by context at distance two and one: a pair at distance one, unless it ends its text, is followed by one token.
+    contexts = np.zeros((classes + 1, classes + 1), np.float32)
+    contexts[:, :classes] = data
+    contexts[:, STOP] = 0
+    contexts[-1, -1] = data[:, STOP].sum()
+    far = ascend((second / total).astype(np.float32), noise * (contexts @ p), np.float32(math.log(noise)), np.zeros(classes), float(prior / total), dims, steps, rate, seed + 1)
+    return LogBilinear(near, far)
 
 
 def _frequent(counts: DataFrame, most: int):
@@ -161,7 +205,7 @@ def _frequent(counts: DataFrame, most: int):
     return counts.where(frequent), counts.where(~frequent)
 
 
-def score_texts(spark: SparkSession, docs: DataFrame, held_out=None, n_classes: int = 1024, frequent: int = 1 << 19) -> DataFrame:
+def score_texts(spark: SparkSession, docs: DataFrame, held_out=None, n_classes: int = 2048, frequent: int = 1 << 19) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score of every row of docs (doc_id, text)."""
     rule = (crc_bucket(7) == 2) if held_out is None else held_out
     docs = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text"))
@@ -184,23 +228,23 @@ def score_texts(spark: SparkSession, docs: DataFrame, held_out=None, n_classes:
 
     vocab = spark.sparkContext.broadcast(Vocabulary(keys, c, ids))
     found = pair_counts(train_docs, vocab, n_classes).toArrow()
-    pairs = np.zeros((n_classes + 1) * n_classes)
+    pairs = np.zeros(2 * (n_classes + 1) * n_classes)
     pairs[found.column("pair").to_numpy()] = found.column("c").to_numpy()
-    model = spark.sparkContext.broadcast(train(pairs.reshape(n_classes + 1, n_classes)))
+    model = spark.sparkContext.broadcast(train(*pairs.reshape(2, n_classes + 1, n_classes)).tables())
 
     schema = "rid long, h long, tf long, doc_id long, n_tokens long, known long, lg double, lp double, n_other long"
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        voc, logp = vocab.value, (model.value.log_probabilities() / math.log(10)).astype(np.float64)
+        voc, (near, far, norm) = vocab.value, model.value
         next_row = TaskContext.get().partitionId() << 36
         lg_of = np.append(np.log10(voc.counts + 1.0), 0.0)
         known_of = np.append(np.ones(len(voc.counts), np.int64), 0)
         for batch in batches:
             for i, j, words, n in _slices(batch):
-                before, cls, row, pos = classes_of(voc, words, n, n_classes)
+                before, second, cls, row, pos = classes_of(voc, words, n, n_classes)
                 rows = j - i
                 other = cls == OTHER
-                lp = np.bincount(row, logp[before, cls], rows) + np.bincount(row[other], lg_of[pos[other]], rows)
+                lp = np.bincount(row, near[before, cls] + far[second, cls] - norm[before, second], rows) + np.bincount(row[other], lg_of[pos[other]], rows)
                 end = cls == STOP
                 lg = np.bincount(row, np.where(end, math.log10(end_count + 1.0), lg_of[pos]), rows)
                 known = np.bincount(row, known_of[pos], rows).astype(np.int64) + (end_count > 0)
