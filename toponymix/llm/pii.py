@@ -15,7 +15,7 @@ equal ids each give a row; an empty table gives an empty result; extra columns a
 
 from __future__ import annotations
 
-import math
+from collections.abc import Callable
 from functools import reduce
 
 import numpy as np
@@ -128,6 +128,28 @@ def fit_classifier(x: np.ndarray, y: np.ndarray, n: np.ndarray, rounds: int = 40
     return w
 
 
+def secret_score(cand: DataFrame) -> Callable[[list[Column]], Column]:
+    """The span classifier, fitted on the votes v0.. and features f0.. of all candidates: features to score."""
+    names = [c for c in cand.columns if c[0] in "vf" and c[1:].isdigit()]
+    nv = sum(c[0] == "v" for c in names)
+    nf = len(names) - nv
+    grouped = cand.groupBy(*names).agg(F.count(F.lit(1)).alias("n")).collect()
+    if not grouped:
+        return lambda of: F.lit(-1.0)
+    per_votes: dict[tuple[int, ...], int] = {}
+    for r in grouped:
+        per_votes[tuple(r[:nv])] = per_votes.get(tuple(r[:nv]), 0) + r.n
+    posterior = fit_label_model(sorted(per_votes.items()))
+    x = np.array([r[nv : nv + nf] for r in grouped], float)
+    weights = fit_classifier(x, np.array([posterior[tuple(r[:nv])] for r in grouped]), np.array([float(r.n) for r in grouped]))
+    return lambda of: reduce(lambda a, j: a + of[j] * float(weights[j]), range(nf), F.lit(float(weights[-1])))
+
+
+def _near(gap: Column) -> Column:
+    """The 24 characters before a span."""
+    return F.substr(gap, F.greatest(F.length(gap) - 23, F.lit(1)), F.lit(24))
+
+
 def spans(spark: SparkSession, docs: DataFrame, text: str = "text") -> DataFrame:
     """(row, doc_id, kind, start, end, keep): every base span and candidate; each row has one entry of null kind."""
     whole = F.coalesce(F.col(text), F.lit(""))
@@ -136,7 +158,7 @@ def spans(spark: SparkSession, docs: DataFrame, text: str = "text") -> DataFrame
     def part(k: int, kind: str) -> Column:
         def one(s: Column, i: Column) -> Column:
             gap, m = s["gap"], s["m"]
-            near = F.substr(gap, F.greatest(F.length(gap) - 23, F.lit(1)), F.lit(24)) if kind == "secret" else F.lit("")
+            near = _near(gap) if kind == "secret" else F.lit("")
             return F.struct(
                 F.lit(k).alias("k"),
                 i.alias("i"),
@@ -159,18 +181,7 @@ def spans(spark: SparkSession, docs: DataFrame, text: str = "text") -> DataFrame
     fs = [F.when(secret, f.cast("int")).alias(f"f{j}") for j, f in enumerate(features(F.col("m"), F.col("b")))]
     cand = materialise(placed.where(F.col("k").isNull() | secret | F.col("ok")).select("row", "doc_id", "k", "start", "end", *vs, *fs), spark)
 
-    nv, nf = len(vs), len(fs)
-    names = [f"v{j}" for j in range(nv)] + [f"f{j}" for j in range(nf)]
-    grouped = cand.where(secret).groupBy(*names).agg(F.count(F.lit(1)).alias("n")).collect()
-    per_votes: dict[tuple[int, ...], int] = {}
-    for r in grouped:
-        per_votes[tuple(r[:nv])] = per_votes.get(tuple(r[:nv]), 0) + r.n
-    posterior = fit_label_model(sorted(per_votes.items()))
-    score = F.lit(-1.0)
-    if grouped:
-        x = np.array([r[nv : nv + nf] for r in grouped], float)
-        weights = fit_classifier(x, np.array([posterior[tuple(r[:nv])] for r in grouped]), np.array([float(r.n) for r in grouped]))
-        score = reduce(lambda a, j: a + F.col(f"f{j}") * float(weights[j]), range(nf), F.lit(float(weights[-1])))
+    score = secret_score(cand.where(secret))([F.col(f"f{j}") for j in range(len(fs))])
     keep = F.when(F.col("k").isNull(), False).when(secret, score > 0).otherwise(True)
     return cand.select("row", "doc_id", "k", "start", "end", keep.alias("keep"))
 
@@ -192,14 +203,32 @@ def report(spark: SparkSession, docs: DataFrame, text: str = "text") -> DataFram
 def mask(spark: SparkSession, docs: DataFrame, text: str = "text") -> DataFrame:
     """docs with every found span replaced by its kind in angle brackets; counts of characters follow where given.
 
-    Spans are found once, then the text is rebuilt from code-point positions; overlapping spans are replaced as one,
-    by the kind of the earliest, longest of them.
+    The classifier is fitted in one pass over the candidates; a second one finds the spans of each text and rebuilds it from
+    code-point positions in place, so no text is shuffled or written in between. Overlapping spans are replaced as one, by
+    the kind of the earliest, longest of them.
     """
-    keyed = docs.withColumn("_row", F.monotonically_increasing_id())
-    keyed = materialise(keyed, spark)
-    found = spans(spark, keyed.select(F.struct("_row").alias("doc_id"), F.col(text).alias("text")))
-    tag = F.get(F.array(*[F.lit(f"<{k.upper()}>") for k in KINDS]), F.col("k"))
-    per = found.where("keep").groupBy(F.col("doc_id._row").alias("_row")).agg(F.array_sort(F.collect_list(F.struct("start", (-F.col("end")).alias("e"), tag.alias("tag")))).alias("_s"))
+    whole = F.coalesce(F.col(text), F.lit(""))
+    matches = lambda kind: F.filter(segments(whole, kind), lambda s: s["m"].isNotNull())
+    found = docs.select(F.explode(F.transform(matches("secret"), lambda s: F.struct(s["m"].alias("m"), _near(s["gap"]).alias("b")))).alias("s")).select("s.*")
+    vs = [v.alias(f"v{j}") for j, v in enumerate(votes(F.col("m"), F.col("b")))]
+    fs = [f.cast("int").alias(f"f{j}") for j, f in enumerate(features(F.col("m"), F.col("b")))]
+    weighed = secret_score(found.select(*vs, *fs))
+
+    def private(kind: str, s: Column) -> Column:
+        if kind != "secret":
+            return valid(kind, s["m"])
+        return weighed([f.cast("int") for f in features(s["m"], _near(s["gap"]))]) > 0
+
+    def placed(kind: str) -> Column:
+        none = F.array().cast("array<struct<start:bigint,e:bigint,tag:string>>")
+
+        def step(a: Column, s: Column) -> Column:
+            start = a["at"] + F.length(s["gap"])
+            end = start + F.length(s["m"])
+            one = F.array(F.struct(start.alias("start"), (-end).alias("e"), F.lit(f"<{kind.upper()}>").alias("tag")))
+            return F.struct(end.alias("at"), F.when(private(kind, s), F.concat(a["out"], one)).otherwise(a["out"]).alias("out"))
+
+        return F.aggregate(matches(kind), F.struct(F.lit(0).cast("long").alias("at"), none.alias("out")), step, lambda a: a["out"])
 
     def step(a: Column, s: Column) -> Column:
         fresh = s["start"] >= a["at"]
@@ -208,7 +237,11 @@ def mask(spark: SparkSession, docs: DataFrame, text: str = "text") -> DataFrame:
 
     start = F.struct(F.lit("").alias("out"), F.lit(0).cast("long").alias("at"))
     rebuilt = F.aggregate("_s", start, step, lambda a: F.concat(a["out"], F.substr(text, (a["at"] + 1).cast("int"), F.length(text))))
-    out = keyed.join(per, "_row", "left").withColumn(text, F.when(F.col("_s").isNull(), F.col(text)).otherwise(rebuilt))
+    some = F.size("_s") > 0
+    out = docs.withColumn("_s", F.array_sort(F.concat(*[placed(kind) for kind in KINDS])))
     if "n_chars" in docs.columns:
-        out = out.withColumn("n_chars", F.when(F.col("_s").isNull(), F.col("n_chars")).otherwise(F.length(text).cast(docs.schema["n_chars"].dataType)))
+        out = out.withColumn("_masked", F.when(some, rebuilt).otherwise(F.col(text)))
+        out = out.withColumn("n_chars", F.when(some, F.length("_masked").cast(docs.schema["n_chars"].dataType)).otherwise(F.col("n_chars"))).withColumn(text, F.col("_masked"))
+    else:
+        out = out.withColumn(text, F.when(some, rebuilt).otherwise(F.col(text)))
     return out.select(*docs.columns)
