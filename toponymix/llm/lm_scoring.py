@@ -144,8 +144,23 @@ class LogBilinear:
         near, far = self.near.scores(), self.far.scores()
         near -= near.max(1, keepdims=True)
         far -= far.max(1, keepdims=True)
-        norm = np.log10(np.maximum(np.exp(near) @ np.exp(far).T, 1e-37))
-        return near / np.float32(math.log(10)), far / np.float32(math.log(10)), norm
+        norm = np.exp(near) @ np.exp(far).T
+        np.log10(np.maximum(norm, 1e-37, out=norm), out=norm)
+        near /= np.float32(math.log(10))
+        far /= np.float32(math.log(10))
+        return near, far, norm
+
+
+#: The tables of the last model that this process has worked out, by its broadcast.
+_WORKED_OUT: dict[int, tuple[LogBilinear, tuple[np.ndarray, np.ndarray, np.ndarray]]] = {}
+
+
+def _tables(model) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    key = id(model.value)
+    if key not in _WORKED_OUT:
+        _WORKED_OUT.clear()
+        _WORKED_OUT[key] = (model.value, model.value.tables())
+    return _WORKED_OUT[key][1]
 
 
 def ascend(data: np.ndarray, drawn: np.ndarray, offset: np.ndarray | float, bias: np.ndarray, decay: float, dims: int, steps: int, rate: float, seed: int) -> Position:
@@ -153,16 +168,24 @@ def ascend(data: np.ndarray, drawn: np.ndarray, offset: np.ndarray | float, bias
 
     data and drawn are the shares of true and of noise tokens by context and class, offset is the log density of the noise that
     the scores are held against. The noise's expectation is taken in closed form instead of by sampling. decay draws the factors
-    to zero, as a normal prior does.
+    to zero, as a normal prior does. `drawn` is overwritten.
     """
     rng = np.random.default_rng(seed)
     contexts, classes = data.shape
+    # Two tables are reused by all steps, so the driver holds four of them at a time.
+    g, work = np.empty_like(data), np.empty_like(data)
     p = [rng.normal(0, 0.1, (contexts, dims)).astype(np.float32), rng.normal(0, 0.1, (classes, dims)).astype(np.float32), bias.astype(np.float32)]
     m, v = [np.zeros_like(x) for x in p], [np.zeros_like(x) for x in p]
-    both = data + drawn
+    both = drawn
+    both += data
     for step in range(1, steps + 1):
-        delta = p[0] @ p[1].T + (p[2] - offset)
-        g = data - both / (1 + np.exp(-delta))
+        np.matmul(p[0], p[1].T, out=g)
+        g += p[2] - offset
+        np.negative(g, out=g)
+        np.exp(g, out=g)
+        g += 1
+        np.divide(both, g, out=work)
+        np.subtract(data, work, out=g)
         grads = [g @ p[1] - decay * p[0], g.T @ p[0] - decay * p[1], g.sum(0)]
         lr = rate * (1 - 0.9 * step / steps)
         for k, d in enumerate(grads):
@@ -179,17 +202,24 @@ def train(first: np.ndarray, second: np.ndarray, dims: int = 24, noise: int = 10
     """
     classes, total = first.shape[1], max(first.sum(), 1)
     unigram = (first.sum(0) + 1.0) / (first.sum() + classes)
-    data = (first / total).astype(np.float32)
-    near = ascend(data, (data.sum(1, keepdims=True) * noise * unigram).astype(np.float32), np.log(noise * unigram).astype(np.float32), np.log(unigram), float(prior / total), dims, steps, rate, seed)
-    s = near.scores()
-    p = np.exp(s - s.max(1, keepdims=True))
+    data = np.divide(first, total, dtype=np.float32, casting="unsafe")
+    drawn = np.multiply(data.sum(1, keepdims=True) * noise, unigram, dtype=np.float32, casting="unsafe")
+    near = ascend(data, drawn, np.log(noise * unigram).astype(np.float32), np.log(unigram), float(prior / total), dims, steps, rate, seed)
+    del drawn
+    p = near.scores()
+    p -= p.max(1, keepdims=True)
+    np.exp(p, out=p)
     p /= p.sum(1, keepdims=True)
     # Share of tokens by context at distance two and one: a pair at distance one, unless it ends its text, is followed by one token.
     contexts = np.zeros((classes + 1, classes + 1), np.float32)
     contexts[:, :classes] = data
     contexts[:, STOP] = 0
     contexts[-1, -1] = data[:, STOP].sum()
-    far = ascend((second / total).astype(np.float32), noise * (contexts @ p), np.float32(math.log(noise)), np.zeros(classes), float(prior / total), dims, steps, rate, seed + 1)
+    drawn = contexts @ p
+    drawn *= noise
+    del contexts, p
+    np.divide(second, total, out=data, casting="unsafe")
+    far = ascend(data, drawn, np.float32(math.log(noise)), np.zeros(classes), float(prior / total), dims, steps, rate, seed + 1)
     return LogBilinear(near, far)
 
 
@@ -227,15 +257,17 @@ def score_texts(spark: SparkSession, docs: DataFrame, held_out=None, n_classes:
     end_count = int(c[keys == END].sum()) or int(counts.where(F.col("h") == END).agg(F.coalesce(F.sum("c"), F.lit(0))).first()[0])
 
     vocab = spark.sparkContext.broadcast(Vocabulary(keys, c, ids))
-    found = pair_counts(train_docs, vocab, n_classes).toArrow()
-    pairs = np.zeros(2 * (n_classes + 1) * n_classes)
-    pairs[found.column("pair").to_numpy()] = found.column("c").to_numpy()
-    model = spark.sparkContext.broadcast(train(*pairs.reshape(2, n_classes + 1, n_classes)).tables())
+    pairs = np.zeros((2, n_classes + 1, n_classes), np.int64)
+    for batch in pair_counts(train_docs, vocab, n_classes).toArrow().to_batches():
+        pairs.reshape(-1)[batch.column("pair").to_numpy()] = batch.column("c").to_numpy()
+    # The factors are sent, not the tables of all contexts; each Python worker works these out once.
+    model = spark.sparkContext.broadcast(train(*pairs))
+    del pairs
 
     schema = "rid long, h long, tf long, doc_id long, n_tokens long, known long, lg double, lp double, n_other long"
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        voc, (near, far, norm) = vocab.value, model.value
+        voc, (near, far, norm) = vocab.value, _tables(model)
         next_row = TaskContext.get().partitionId() << 36
         lg_of = np.append(np.log10(voc.counts + 1.0), 0.0)
         known_of = np.append(np.ones(len(voc.counts), np.int64), 0)
