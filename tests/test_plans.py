@@ -3,6 +3,8 @@
 from __future__ import annotations
 
 import duckdb
+import numpy as np
+import pandas as pd
 import pytest
 from pyspark.sql import functions as F
 
@@ -153,3 +155,36 @@ def test_corpus_registry_may_be_missing(monkeypatch):
     monkeypatch.setitem(sys.modules, "toponymix.llm", None)
     names = set(entry.queries())
     assert not any(n.startswith("op") for n in names) and set(entry.oracle_sql()) <= names
+
+
+@pytest.mark.parametrize("size", (3, 1000))
+def test_blocks_equal_plain_pairs_and_shuffle_none(spark, size):
+    """Counts and rows of all pairs equal plain loops, in one block or many; no pair is shuffled or labelled by a join."""
+    import random
+
+    from toponymix.operators import blocks, evaluate, textbase
+
+    rng = random.Random(5)
+    name = lambda: " ".join(rng.choice(["Red", "blue", "gear", "bolt", "Ünit", "x"]) for _ in range(rng.randint(1, 4)))
+    std = sorted({(0 if d < 2 else 1, d, name()) for d in (0, 1, 10) for _ in range(9)})
+    cand = sorted({(0 if d < 2 else 1, d, name() + "s") for d in (0, 1, 10, 11) for _ in range(8)})
+    truth = [(*s[:2], s[2], c[2]) for s in std for c in cand if s[:2] == c[:2] and rng.random() < 0.2]
+    at = "city int, district int, name string"
+    s, c, t = spark.createDataFrame(std, at), spark.createDataFrame(cand, at), spark.createDataFrame(truth, "city int, district int, std_name string, cand_name string")
+    grams = lambda x: {f"  {x.lower()} "[i : i + 3] for i in range(len(x) + 1)}
+    want: dict[tuple, list[int]] = {}
+    for a in std:
+        for b in cand:
+            if a[:2] == b[:2]:
+                ga, gb = grams(a[2]), grams(b[2])
+                e = want.setdefault((*a[:2], len(ga & gb), len(ga), len(a[2]), len(gb), len(b[2])), [0, 0])
+                e[0] += 1
+                e[1] += (*a, b[2]) in truth
+    got = blocks.counts(s, c, t, blocks.shared_trigrams, size)
+    assert {tuple(r)[:7]: [r.k, r.h] for r in got.collect()} == want
+    rows = blocks.rows(s, c, t, blocks.hashed_products, size).withColumn("score", textbase.product_cosine())
+    plain = {(*a, b[2]): (np.array(textbase.hashed_trigrams(pd.Series([a[2]]))[0]) * textbase.hashed_trigrams(pd.Series([b[2]]))[0]).sum() for a in std for b in cand if a[:2] == b[:2]}
+    assert {(r.city, r.district, r.std_name, r.cand_name): r.score for r in rows.collect()} == pytest.approx(plain)
+    keyed = evaluate.gathered(got.select("city", "district", (textbase.product_cosine()).alias("score"), "k", "h"))
+    pairs = blocks.rows(s, c, t, blocks.shared_trigrams, size).withColumn("score", textbase.product_cosine())
+    assert evaluate.best_cut(keyed, t).first() == evaluate.best_cut(pairs.select("city", "district", "std_name", "cand_name", "score"), t).first()
