@@ -188,3 +188,9 @@ def test_blocks_equal_plain_pairs_and_shuffle_none(spark, size):
     keyed = evaluate.gathered(got.select("city", "district", (textbase.product_cosine()).alias("score"), "k", "h"))
     pairs = blocks.rows(s, c, t, blocks.shared_trigrams, size).withColumn("score", textbase.product_cosine())
     assert evaluate.best_cut(keyed, t).first() == evaluate.best_cut(pairs.select("city", "district", "std_name", "cand_name", "score"), t).first()
+
+
+def test_sweep_of_sides_joins_nothing_at_the_end(spark):
+    """Each side of `m2_d_sweep` is written by itself: the final plan holds no join and no broadcast."""
+    plan = workloads.queries()["m2_d_sweep"](spark, "/root/testdata/sf0.001")._jdf.queryExecution().executedPlan().toString()
+    assert "Join" not in plan and "Broadcast" not in plan
