@@ -96,3 +96,16 @@ def test_evaluations_read_counted_scores(spark, sf_dir, monkeypatch):
     for m in ("M2", "M3"):
         assert workloads._tr(t, [m]).count() == 1
     assert D.missing_mass(t, [20, 50]).count() == 2
+
+
+def test_edits_follow_no_cell_of_the_table(spark, monkeypatch):
+    """Distances come from the last column's steps; names around 32 and 64 characters, where the words change."""
+    counted = []
+    monkeypatch.setattr(np, "bitwise_count", lambda x, f=np.bitwise_count: counted.append(x.dtype) or f(x))
+    rng = random.Random(8)
+    left, right = (["".join(rng.choice("abc é") for _ in range(n)) for n in (1, 31, 32, 33, 63, 64, 65, 0)] for _ in range(2))
+    pairs = spark.createDataFrame([(a, b) for a in left for b in right], "std_name string, cand_name string")
+    want = {(r.std_name, r.cand_name): r.edits for r in textbase.edit(pairs).collect()}
+    got = pairwise.edits(left, right)
+    assert {(a, b): got[i, j] for i, a in enumerate(left) for j, b in enumerate(right)} == want
+    assert {np.dtype(np.uint32), np.dtype(np.uint64)} == set(counted)
