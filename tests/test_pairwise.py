@@ -98,6 +98,37 @@ def test_evaluations_read_counted_scores(spark, sf_dir, monkeypatch):
     assert D.missing_mass(t, [20, 50]).count() == 2
 
 
+@pytest.mark.parametrize("name", ["m3_kl_smooth", "m3_kl_symmetric"])
+def test_pairs_are_rounded_in_their_block(spark, sf_dir, name):
+    """No decimal is made for each of many rows above the blocks' task."""
+    above, found, _ = plan_of(workloads.queries()[name](spark, sf_dir)).partition("MapInArrow")
+    assert found and "round(" not in above
+
+
+def test_rounding_goes_half_away_from_zero():
+    """As SQL rounds: ties, the double just below one half, infinities; never minus zero."""
+    x = np.array([0.5, -0.5, 0.49999999999999994, -0.49999999999999994, 2.5, np.inf, -np.inf])
+    assert pairwise.rounded(x, 0).tolist() == [1, -1, 0, 0, 3, np.inf, -np.inf]
+    assert not np.signbit(pairwise.rounded(np.array([-0.0, -1e-9]), 6)).any()
+
+
+def test_inverse_and_jaccard_equal_their_plain_forms(spark):
+    """M3's score and the likeness of cell sets, of every pair, rounded and not; empty footprints stay null."""
+    std, cand, auth, pings, truth = toy(spark, 4)
+    sides = pairwise.named(std, cand, truth, raster.packed(auth, pings, 4))
+    columns = ["kl", "inverse", "jaccard", "n_shared_cells", "cells_std", "cells_cand"]
+    rows = pairwise.compared(*sides, columns, 4, 4, 1e-3, size=4).collect()
+    want = {tuple(r[:4]): r.score for r in score.distribution(pairwise.compared(*sides, ["kl"], 4, 4, 1e-3, size=4), "M3").collect()}
+    near = {tuple(r[:4]): (r.inverse, r.jaccard) for r in pairwise.compared(*sides, columns[1:3], 4, 4, 1e-3, size=4, places={"inverse": 4, "jaccard": 6}).collect()}
+    assert len(rows) == len(want) == len(near) and any(r.inverse is None for r in rows)
+    for r in rows:
+        inverse, jaccard = near[tuple(r[:4])]
+        assert r.inverse == want[tuple(r[:4])] and (r.jaccard is None) == (r.kl is None) == (jaccard is None)
+        if r.jaccard is not None:
+            assert r.jaccard == r.n_shared_cells / (r.cells_std + r.cells_cand - r.n_shared_cells)
+            assert jaccard == pytest.approx(r.jaccard, abs=5.1e-7) and (inverse == r.inverse or inverse == pytest.approx(r.inverse, abs=5.1e-5))
+
+
 def test_edits_follow_no_cell_of_the_table(spark, monkeypatch):
     """Distances come from the last column's steps; names around 32 and 64 characters, where the words change."""
     counted = []
