@@ -98,7 +98,7 @@ def test_evaluations_read_counted_scores(spark, sf_dir, monkeypatch):
     assert D.missing_mass(t, [20, 50]).count() == 2
 
 
-@pytest.mark.parametrize("name", ["m3_kl_smooth", "m3_kl_symmetric", "m3_score"])
+@pytest.mark.parametrize("name", ["m3_kl_smooth", "m3_kl_symmetric", "m3_score", "x_cell_jaccard"])
 def test_pairs_are_rounded_in_their_block(spark, sf_dir, name):
     """No decimal is made for each of many rows above the blocks' task."""
     above, found, _ = plan_of(workloads.queries()[name](spark, sf_dir)).partition("MapInArrow")
